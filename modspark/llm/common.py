@@ -72,7 +72,7 @@ def keep(df: DataFrame, name: str) -> DataFrame:
 
 def input_bytes(df: DataFrame) -> int:
     """Bytes of df's files by the planner's statistics; of frames without files, by a count."""
-    size = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    size = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
     if size > 1 << 60:
         size = 256 * df.count()
     return size

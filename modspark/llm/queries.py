@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from . import secrets
+from . import fingerprints, secrets, tiff
 
 QUERIES = {
     "op1_secret_ownership": secrets.op1_secret_ownership,
+    "op3_piecewise_fingerprints": fingerprints.op3_piecewise_fingerprints,
+    "op4_tiff_pages": tiff.op4_tiff_pages,
 }
 
 ORACLES: dict[str, str] = {}
