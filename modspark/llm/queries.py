@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from . import fingerprints, secrets, tiff
+from . import bpe, fingerprints, planes, secrets, tiff
 
 QUERIES = {
     "op1_secret_ownership": secrets.op1_secret_ownership,
     "op3_piecewise_fingerprints": fingerprints.op3_piecewise_fingerprints,
     "op4_tiff_pages": tiff.op4_tiff_pages,
+    "op7_transducer_bpe": bpe.op7_transducer_bpe,
+    "op10_plane_shards": planes.op10_plane_shards,
 }
 
 ORACLES: dict[str, str] = {}
