@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import bpe, fingerprints, planes, secrets, tiff
+from . import bpe, fingerprints, mixing, planes, secrets, tiff
 
 QUERIES = {
     "op1_secret_ownership": secrets.op1_secret_ownership,
     "op3_piecewise_fingerprints": fingerprints.op3_piecewise_fingerprints,
     "op4_tiff_pages": tiff.op4_tiff_pages,
+    "op5_pivotal_mix": mixing.op5_pivotal_mix,
     "op7_transducer_bpe": bpe.op7_transducer_bpe,
     "op10_plane_shards": planes.op10_plane_shards,
 }
