@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, fingerprints, mixing, pii, planes, quality, secrets, tiff
+from . import bpe, fingerprints, line_templates, mixing, pii, planes, quality, secrets, tiff
 
 QUERIES = {
     "op1_secret_ownership": secrets.op1_secret_ownership,
@@ -11,8 +11,11 @@ QUERIES = {
     "op5_pivotal_mix": mixing.op5_pivotal_mix,
     "op6_semi_markov_pii": pii.op6_semi_markov_pii,
     "op7_transducer_bpe": bpe.op7_transducer_bpe,
+    "op8_line_templates": line_templates.op8_line_templates,
     "op9_nb_svm_quality": quality.op9_nb_svm_quality,
     "op10_plane_shards": planes.op10_plane_shards,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op8_line_templates": line_templates.OP8_SQL,
+}
