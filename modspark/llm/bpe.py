@@ -56,8 +56,15 @@ def frequent_words(docs: DataFrame, path: str, most: int, text_col: str = "text"
             yield pd.DataFrame({"word": list(counts), "n": list(counts.values())})
 
     each = docs.select(common.whole_text(docs, text_col).alias("text")).mapInPandas(count, "word string, n long")
-    top = each.groupBy("word").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "word").limit(most)
-    return [r["word"] for r in top.select("word").toLocalIterator()]
+    total = common.keep(each.groupBy("word").agg(F.sum("n").alias("n")), "words")
+    # the least count whose words, with all more frequent ones, are no more than asked for: one short row per distinct count
+    room, least = most, None
+    for r in total.groupBy("n").agg(F.count("*").alias("words")).orderBy(F.desc("n")).toLocalIterator():
+        room -= r["words"]
+        if room < 0:
+            break
+        least = r["n"]
+    return sorted(r["word"] for r in total.where(F.col("n") >= least).select("word").collect()) if least is not None else []
 
 
 def compile_lexicon(docs: DataFrame, path: str, most: int = LEXICON_WORDS, text_col: str = "text") -> bytes:
@@ -87,7 +94,7 @@ def encode(docs: DataFrame, path: str | None = None, lexicon_words: int = LEXICO
     return rest.withColumn("_both", both(F.col(text_col))).select(*rest.columns, "_both.ids", "_both.decoded")
 
 
-DIGESTS = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
+DIGESTS = "n_tokens long, ids_sha256 string, decoded_sha256 string"
 
 
 def encode_digests(docs: DataFrame, path: str | None = None, lexicon_words: int = LEXICON_WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -95,19 +102,15 @@ def encode_digests(docs: DataFrame, path: str | None = None, lexicon_words: int
     path = path or default_path()
     blob = docs.sparkSession.sparkContext.broadcast(compile_lexicon(docs, path, lexicon_words, text_col))
 
-    def digest(batches):
-        coder = coder_for(path, blob.value)
-        for pdf in batches:
-            rows = []
-            for text in pdf["text"]:
-                ids, decoded = coder.encode(text)
-                rows.append((len(ids) // 4, hashlib.sha256(ids).hexdigest(), hashlib.sha256(decoded.encode("utf-8", "surrogatepass")).hexdigest()))
-            out = pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256"])
-            out.insert(0, "doc_id", pdf["doc_id"].array)
-            yield out
-
-    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), common.whole_text(docs, text_col).alias("text"))
-    return src.mapInPandas(digest, DIGESTS)
+    @F.pandas_udf(DIGESTS)
+    def digest(texts: pd.Series) -> pd.DataFrame:
+        coder, rows = coder_for(path, blob.value), []
+        for text in texts:
+            ids, decoded = coder.encode(text)
+            rows.append((len(ids) // 4, hashlib.sha256(ids).hexdigest(), hashlib.sha256(decoded.encode("utf-8", "surrogatepass")).hexdigest()))
+        return pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256"])
+
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), digest(common.whole_text(docs, text_col)).alias("coded")).select("doc_id", "coded.*")
 
 
 def op7_transducer_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -9,6 +9,7 @@ import tempfile
 import uuid
 import weakref
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -88,5 +89,19 @@ def whole_text(df: DataFrame, text_col: str = "text"):
     return F.coalesce(F.col(text_col), F.lit(""))
 
 
+def id_and_gone(id_col: str = "doc_id") -> list:
+    """The id and whether it is null, as columns without nulls: pandas would turn an id column with nulls into floats."""
+    return [F.coalesce(F.col(id_col).cast("long"), F.lit(0)).alias("doc_id"), F.col(id_col).cast("long").isNull().alias("gone")]
+
+
+def frame(rows: list[tuple], schema: str) -> pd.DataFrame:
+    """rows as pandas; whole numbers stay whole where there are nulls among them."""
+    columns = list(zip(*rows, strict=True)) or [()] * len(schema.split(", "))
+    out = {}
+    for (name, kind), values in zip((x.split() for x in schema.split(", ")), columns, strict=True):
+        out[name] = pd.array(list(values), dtype="Int64") if kind in ("long", "int") else list(values)
+    return pd.DataFrame(out)
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")

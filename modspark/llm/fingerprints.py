@@ -6,8 +6,8 @@ fingerprint holds the signatures at that block size and at its double. Two finge
 where they have a block size in common.
 
 Defined results: null and empty texts have the fingerprint of no bytes, alike with weight 1 to one another; equal texts have
-equal fingerprints; texts of any length are read whole; rows with the same id are ordered by their text, a null id comes
-first; the last row's successor is the first row, also when they are the same row; an empty table gives an empty result.
+equal fingerprints; texts of any length are read whole; rows with the same id are ordered by their text, a null id goes
+with 0; the last row's successor is the first row, also when they are the same row; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -162,41 +162,40 @@ def _in_task(batches):
     from pyspark import TaskContext
 
     part, held = TaskContext.get().partitionId(), None
-    names = [x.split()[0] for x in ROWS.split(", ")]
     blank = (None,) * 6
     for pdf in batches:
         rows = []
-        for doc_id, text in zip(pdf["doc_id"], pdf["text"], strict=True):
-            doc_id = None if pd.isna(doc_id) else int(doc_id)
+        for doc_id, gone, text in zip(pdf["doc_id"], pdf["gone"], pdf["text"], strict=True):
+            doc_id = None if gone else int(doc_id)
             mine = fingerprint(text)
             if held is None:
                 rows.append((doc_id, *blank, 1, part, text))
             else:
                 rows.append((*_compared(*held, text, mine), 0, part, None))
             held = (doc_id, text, mine)
-        yield pd.DataFrame(rows, columns=names).astype({"doc_id": "Int64", "n_chars": "Int64"})
+        yield common.frame(rows, ROWS)
     if held is not None:
-        yield pd.DataFrame([(held[0], *blank, 2, part, held[1])], columns=names).astype({"doc_id": "Int64", "n_chars": "Int64"})
+        yield common.frame([(held[0], *blank, 2, part, held[1])], ROWS)
 
 
 def _at_ends(batches):
     for pdf in batches:
         rows = []
-        for doc_id, text, follower in zip(pdf["doc_id"], pdf["text"], pdf["follower"], strict=True):
-            rows.append(_compared(None if pd.isna(doc_id) else int(doc_id), text, fingerprint(text), follower, fingerprint(follower)))
-        yield pd.DataFrame(rows, columns=[x.split()[0] for x in RESULT.split(", ")]).astype({"doc_id": "Int64"})
+        for doc_id, gone, text, follower in zip(pdf["doc_id"], pdf["gone"], pdf["text"], pdf["follower"], strict=True):
+            rows.append(_compared(None if gone else int(doc_id), text, fingerprint(text), follower, fingerprint(follower)))
+        yield common.frame(rows, RESULT)
 
 
 def against_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Each row's fingerprint against that of its edited text and of the row after it in id order."""
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), common.whole_text(docs, text_col).alias("text"))
-    done = common.keep(ordered.in_order(rows, "doc_id", "text").mapInPandas(_in_task, ROWS), "fingerprints")
+    rows = docs.select(*common.id_and_gone(id_col), common.whole_text(docs, text_col).alias("text"))
+    done = common.keep(ordered.in_order(rows, "doc_id", "gone", "text").mapInPandas(_in_task, ROWS), "fingerprints")
     firsts, lasts = done.where("edge = 1"), done.where("edge = 2")
     # before: the task whose last row a task's first row follows; the first task's row follows the last row of all
     links = ordered.next_part(firsts.select("part"))
     end = lasts.agg(F.max("part")).first()[0]
     led = firsts.select("part", F.col("text").alias("follower")).join(links, "part").select(F.coalesce("before", F.lit(end)).alias("part"), "follower")
-    tail = lasts.select("part", "doc_id", "text").join(led, "part").select("doc_id", "text", "follower").mapInPandas(_at_ends, RESULT)
+    tail = lasts.select("part", *common.id_and_gone(), "text").join(led, "part").select("doc_id", "gone", "text", "follower").mapInPandas(_at_ends, RESULT)
     return done.where("edge = 0").select(*[x.split()[0] for x in RESULT.split(", ")]).unionByName(tail)
 
 

@@ -126,8 +126,7 @@ def mix(docs: DataFrame, weights: tuple = WEIGHTS, most: float = MOST_COPIES, se
         def settle(pdf: pd.DataFrame) -> pd.DataFrame:
             pdf = pdf.sort_values(["size", "key"], ascending=[False, True])  # what stays open is a short document then
             rows = list(zip(pdf["key"], [None if pd.isna(x) else x for x in pdf["source"]], pdf["size"].tolist(), pdf["whole"].tolist(), pdf["p"].tolist(), pdf["node"].tolist(), strict=True))
-            out = pd.DataFrame(_settle(rows, seed, level), columns=[x.split()[0] for x in DECIDED.split(", ")])
-            return out.astype({"taken": "Int64"})
+            return common.frame(_settle(rows, seed, level), DECIDED)
 
         return settle
 

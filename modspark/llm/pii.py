@@ -288,28 +288,25 @@ def joined(spans) -> str:
     return ",".join(f"{KINDS[k]}:{s}:{e}" for s, k, e in spans)
 
 
-RESULT = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long"
+RESULT = "n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long"
 
 
 def detect(docs: DataFrame, weights: np.ndarray | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per input row, in one pass without a shuffle. weights: of another fit."""
     w = fitted() if weights is None else weights
 
-    def scan(batches):
-        for pdf in batches:
-            rows = []
-            for text in pdf["text"]:
-                base, spans = all_spans(text, w)
-                counts = [0] * len(KINDS)
-                for _, k, _ in base:
-                    counts[k] += 1
-                rows.append((*counts, hashlib.sha256(joined(base).encode()).hexdigest(), joined(spans), len(spans) - len(base)))
-            out = pd.DataFrame(rows, columns=[x.split()[0] for x in RESULT.split(", ")][1:])
-            out.insert(0, "doc_id", pdf["doc_id"].array)
-            yield out
-
-    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), common.whole_text(docs, text_col).alias("text"))
-    return src.mapInPandas(scan, RESULT)
+    @F.pandas_udf(RESULT)
+    def scan(texts: pd.Series) -> pd.DataFrame:
+        rows = []
+        for text in texts:
+            base, spans = all_spans(text, w)
+            counts = [0] * len(KINDS)
+            for _, k, _ in base:
+                counts[k] += 1
+            rows.append((*counts, hashlib.sha256(joined(base).encode()).hexdigest(), joined(spans), len(spans) - len(base)))
+        return pd.DataFrame(rows, columns=[x.split()[0] for x in RESULT.split(", ")])
+
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), scan(common.whole_text(docs, text_col)).alias("found")).select("doc_id", "found.*")
 
 
 def op6_semi_markov_pii(spark: SparkSession, sf_dir: str) -> DataFrame:

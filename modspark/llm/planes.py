@@ -7,7 +7,7 @@ index of its blocks and a table of its documents, so that any document can be re
 Shards are written through Spark's own writers, as rows (shard, number, content): whatever store Spark reaches can hold them, a
 lost or repeated task leaves nothing behind, and ``content`` is the file, byte for byte.
 
-Defined results: a null text has the end id only; rows with the same id are ordered by their text, null ids come first; texts
+Defined results: a null text has the end id only; rows with the same id are ordered by their text, null ids go with 0; texts
 of any length are written whole, over as many blocks as they need; an empty table gives no shard and an empty result.
 """
 
@@ -122,10 +122,10 @@ def shards(docs: DataFrame, path: str | None = None, end_id: int = 2, kind: int
         part, number, end = TaskContext.get().partitionId(), 0, np.array([end_id], "<u4").tobytes()
         held, doc_ids, lengths, n = [], [], [], 0
         for pdf in batches:
-            for doc_id, text in zip(pdf["doc_id"], pdf["text"], strict=True):
+            for doc_id, gone, text in zip(pdf["doc_id"], pdf["gone"], pdf["text"], strict=True):
                 ids = coder.encode(text) + end
                 held.append(ids)
-                doc_ids.append(None if pd.isna(doc_id) else int(doc_id))
+                doc_ids.append(None if gone else int(doc_id))
                 lengths.append(len(ids) // 4)
                 n += lengths[-1]
                 if n >= SHARD_IDS:
@@ -134,8 +134,11 @@ def shards(docs: DataFrame, path: str | None = None, end_id: int = 2, kind: int
         if doc_ids:
             yield pd.DataFrame([(part, number, n, write_shard(np.frombuffer(b"".join(held), "<u4"), doc_ids, lengths, block, kind))], columns=["part", "shard", "n_ids", "content"])
 
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), common.whole_text(docs, text_col).alias("text"))
-    return ordered.in_order(rows, "doc_id", "text").mapInPandas(pack, "part int, shard int, n_ids long, content binary")
+    rows = docs.select(*common.id_and_gone(id_col), common.whole_text(docs, text_col).alias("text"))
+    return ordered.in_order(rows, "doc_id", "gone", "text").mapInPandas(pack, "part int, shard int, n_ids long, content binary")
+
+
+READ = "part int, shard int, doc_id long, at long, n_tokens long, ids_crc32 long"
 
 
 def read_back(written: DataFrame) -> DataFrame:
@@ -146,9 +149,9 @@ def read_back(written: DataFrame) -> DataFrame:
             for part, number, content in pdf[["part", "shard", "content"]].itertuples(index=False, name=None):
                 shard = Shard(content)
                 rows = [(part, number, d, s, n, zlib.crc32(np.ascontiguousarray(shard.read(s, n), "<u4").tobytes())) for d, s, n in zip(shard.doc_ids, shard.starts.tolist(), shard.lengths.tolist(), strict=True)]
-                yield pd.DataFrame(rows, columns=["part", "shard", "doc_id", "at", "n_tokens", "ids_crc32"]).astype({"doc_id": "Int64"})
+                yield common.frame(rows, READ)
 
-    each = written.select("part", "shard", "content").mapInPandas(unpack, "part int, shard int, doc_id long, at long, n_tokens long, ids_crc32 long")
+    each = written.select("part", "shard", "content").mapInPandas(unpack, READ)
     # one short row per shard: where it begins among all ids
     order = Window.orderBy("part", "shard").rowsBetween(Window.unboundedPreceding, -1)
     begins = written.select("part", "shard", "n_ids").withColumn("begin", F.coalesce(F.sum("n_ids").over(order), F.lit(0))).drop("n_ids")

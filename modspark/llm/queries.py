@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import bpe, fingerprints, line_templates, mixing, pii, planes, quality, secrets, tiff
+from . import bpe, fingerprints, jaccard, line_templates, mixing, pii, planes, quality, secrets, tiff
 
 QUERIES = {
     "op1_secret_ownership": secrets.op1_secret_ownership,
+    "op2_adaptive_jaccard": jaccard.op2_adaptive_jaccard,
     "op3_piecewise_fingerprints": fingerprints.op3_piecewise_fingerprints,
     "op4_tiff_pages": tiff.op4_tiff_pages,
     "op5_pivotal_mix": mixing.op5_pivotal_mix,
@@ -17,5 +18,6 @@ QUERIES = {
 }
 
 ORACLES: dict[str, str] = {
+    "op2_adaptive_jaccard": jaccard.OP2_SQL,
     "op8_line_templates": line_templates.OP8_SQL,
 }

@@ -33,7 +33,7 @@ OPAQUE = re.compile(r"[A-Za-z0-9+/_=-]{20,}")
 MIN_ASSIGN, MIN_ACCESS = 6, 20
 
 SCAN_SCHEMA = (
-    "doc_id long, owner string, row_key string, n_assign long, n_access long, n_hex long, base_sha256 string, "
+    "n_assign long, n_access long, n_hex long, base_sha256 string, "
     "base_spans string, candidates array<struct<h:string,start:int,end:int,entropy:double>>"
 )
 
@@ -79,19 +79,14 @@ def scan_text(text: str) -> tuple:
     return (*counts, hashlib.sha256(said.encode()).hexdigest(), said, cands)
 
 
-def _scan(batches):
-    for pdf in batches:
-        rows = []
-        for doc_id, owner, text in zip(pdf["doc_id"], pdf["owner"], pdf["text"], strict=True):
-            key = xxhash.xxh3_128_hexdigest(f"{doc_id}\0{text}".encode("utf-8", "surrogatepass"))
-            rows.append((doc_id, owner, key, *scan_text(text)))
-        yield pd.DataFrame(rows, columns=[x.split()[0] for x in SCAN_SCHEMA.split(", ")])
-
-
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", owner_col: str = "source") -> DataFrame:
-    """One row per input row: base spans and candidates, without the text."""
+    """One row per input row: base spans and candidates, without the text. row_key: equal for repeated rows alone."""
+    @F.pandas_udf(SCAN_SCHEMA)
+    def found(texts: pd.Series) -> pd.DataFrame:
+        return pd.DataFrame([scan_text(t) for t in texts], columns=["n_assign", "n_access", "n_hex", "base_sha256", "base_spans", "candidates"])
+
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(owner_col).cast("string").alias("owner"), common.whole_text(docs, text_col).alias("text"))
-    return src.mapInPandas(_scan, SCAN_SCHEMA)
+    return src.select("doc_id", "owner", F.xxhash64("doc_id", "owner", "text").alias("row_key"), found("text").alias("found")).select("doc_id", "owner", "row_key", "found.*")
 
 
 def ownership(scanned: DataFrame) -> DataFrame:

@@ -287,7 +287,7 @@ def pages(df: DataFrame, bytes_col: str = "media", keep_cols: tuple[str, ...] =
 
 
 def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
-    """doc_id, n_bytes, media: each text's UTF-8 bytes, padded with 0 to a positive multiple of 64, as a TIFF."""
+    """doc_id (0 where gone is true), gone, n_bytes, media: each text's UTF-8 bytes, padded with 0 to a positive multiple of 64, as a TIFF."""
 
     def make(batches):
         for pdf in batches:
@@ -296,10 +296,10 @@ def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how
                 raw = text.encode("utf-8", "surrogatepass")
                 n.append(len(raw))
                 media.append(write(raw + b"\0" * (-len(raw) % ROW or (0 if raw else ROW)), **how))
-            yield pd.DataFrame({"doc_id": pdf["doc_id"], "n_bytes": n, "media": media})
+            yield pd.DataFrame({"doc_id": pdf["doc_id"], "gone": pdf["gone"], "n_bytes": n, "media": media})
 
-    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), common.whole_text(docs, text_col).alias("text"))
-    return src.mapInPandas(make, "doc_id long, n_bytes long, media binary")
+    src = docs.select(*common.id_and_gone(id_col), common.whole_text(docs, text_col).alias("text"))
+    return src.mapInPandas(make, "doc_id long, gone boolean, n_bytes long, media binary")
 
 
 def feature(samples: np.ndarray, n_pages: int) -> str:
@@ -318,7 +318,6 @@ DIGESTS = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string,
 
 def _digests(batches):
     """Joins the pages of each file again: page 0 begins a file."""
-    names = [x.split()[0] for x in DIGESTS.split(", ")]
     held, parts = None, []
 
     def done():
@@ -328,20 +327,20 @@ def _digests(batches):
 
     for pdf in batches:
         rows = []
-        for doc_id, n_bytes, media_bytes, media_sha, page, samples, error in pdf[["doc_id", "n_bytes", "media_bytes", "media_sha256", "page", "samples", "error"]].itertuples(index=False, name=None):
+        for doc_id, gone, n_bytes, media_bytes, media_sha, page, samples, error in pdf[["doc_id", "gone", "n_bytes", "media_bytes", "media_sha256", "page", "samples", "error"]].itertuples(index=False, name=None):
             if error is not None:
                 raise ValueError(f"stored page can't be read back: {error}")
             if page == 0:
                 if held is not None:
                     rows.append(done())
-                held, parts = (None if pd.isna(doc_id) else int(doc_id), n_bytes, media_bytes, media_sha), []
+                held, parts = (None if gone else int(doc_id), n_bytes, media_bytes, media_sha), []
             parts.append(samples)
-        yield pd.DataFrame(rows, columns=names).astype({"doc_id": "Int64"})
+        yield common.frame(rows, DIGESTS)
     if held is not None:
-        yield pd.DataFrame([done()], columns=names).astype({"doc_id": "Int64"})
+        yield common.frame([done()], DIGESTS)
 
 
 def op4_tiff_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     stored = store(common.documents(spark, sf_dir), compression=DEFLATE, predictor=1)
     told = stored.withColumn("media_bytes", F.length("media").cast("long")).withColumn("media_sha256", F.sha2("media", 256))
-    return pages(told, "media", ("doc_id", "n_bytes", "media_bytes", "media_sha256")).mapInPandas(_digests, DIGESTS)
+    return pages(told, "media", ("doc_id", "gone", "n_bytes", "media_bytes", "media_sha256")).mapInPandas(_digests, DIGESTS)
