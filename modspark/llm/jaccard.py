@@ -26,7 +26,7 @@ import math
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common
@@ -417,6 +417,16 @@ def link_classes(docs: DataFrame, star_rounds: int = STAR_ROUNDS, id_col: str =
     return out.select("doc_id", F.col("size").alias("n_shingles"), F.when(F.col("component_id") < -(1 << 62), F.lit(None)).otherwise(F.col("component_id")).alias("component_id"))
 
 
+def one_of_each_class(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """docs with one row of each class, that of the least id. Rows without an id cannot be named by a class, and stay."""
+    classes = link_classes(docs, id_col=id_col, text_col=text_col)
+    stay = classes.where("doc_id = component_id").select(F.col("doc_id").alias("_stays")).distinct()
+    kept = docs.where(F.col(id_col).isNotNull()).join(stay, F.col(id_col).cast("long") == F.col("_stays"), "left_semi")
+    order = Window.partitionBy(id_col, F.xxhash64(text_col)).orderBy(F.lit(0))
+    once = kept.withColumn("_n", F.row_number().over(order)).where("_n = 1").drop("_n")
+    return once.unionByName(docs.where(F.col(id_col).isNull()))
+
+
 def op2_adaptive_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return link_classes(common.documents(spark, sf_dir))
 

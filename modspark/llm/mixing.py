@@ -37,6 +37,11 @@ def word_count(text_col: str = "text"):
     return F.when(F.length(text) == 0, 0).otherwise(F.greatest(cuts - lead - trail, F.lit(0))).cast("long")
 
 
+def row_print(id_col: str = "doc_id", text_col: str = "text", source_col: str = "source"):
+    """Column: equal for rows that agree in id, source and text alone."""
+    return F.xxhash64(F.col(id_col), F.col(id_col).isNull(), F.col(source_col), F.col(source_col).isNull(), F.col(text_col), F.col(text_col).isNull())
+
+
 def target_sizes(sizes: dict, weights: tuple = WEIGHTS, most: float = MOST_COPIES) -> dict:
     """source -> target. The sum of all sizes is shared by weight; what exceeds most times a source's size is shared again
     among the others, until none exceeds. sizes: source (None last) -> size."""
@@ -103,8 +108,8 @@ def _settle(rows: list[tuple], seed: int, level: int) -> list[tuple]:
 
 
 def mix(docs: DataFrame, weights: tuple = WEIGHTS, most: float = MOST_COPIES, seed: int = 7, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """doc_id, source, size, source_size, target, copies, taken of every row."""
-    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), word_count(text_col).alias("size"), F.xxhash64(common.whole_text(docs, text_col)).alias("print"))
+    """doc_id, source, print, size, source_size, target, copies (expected), taken of every row."""
+    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), word_count(text_col).alias("size"), row_print(id_col, text_col, source_col).alias("print"))
     sized = common.keep(src, "sizes")
     # one short row per source on the driver: sources are few by their nature, each weighted by hand
     per_source = [(r["source"], int(r["size"]), int(r["n"])) for r in sized.groupBy("source").agg(F.sum("size").alias("size"), F.count("*").alias("n")).collect()]
@@ -144,7 +149,17 @@ def mix(docs: DataFrame, weights: tuple = WEIGHTS, most: float = MOST_COPIES, se
     taken = decided[0].select("key", F.col("taken"))
     for x in decided[1:]:
         taken = taken.unionByName(x.select("key", "taken"))
-    return keyed.join(taken, "key").select("doc_id", "source", "size", "source_size", "target", "copies", "taken")
+    return keyed.join(taken, "key").select("doc_id", "source", "print", "size", "source_size", "target", "copies", "taken")
+
+
+def repeat(docs: DataFrame, **how) -> DataFrame:
+    """docs with each row as often as the mix takes it; rows of no size are not taken. Equal rows stand for one another."""
+    n = F.coalesce(F.try_divide("taken", "size").cast("int"), F.lit(0))
+    times = mix(docs, **how).groupBy("print").agg(F.sum(n).cast("int").alias("_times")).withColumnRenamed("print", "_print")
+    names = {k: how[k] for k in ("id_col", "text_col", "source_col") if k in how}
+    joined = docs.withColumn("_print", row_print(**names)).join(times.where("_times > 0"), "_print")
+    one = joined.withColumn("_n", F.row_number().over(Window.partitionBy("_print").orderBy("_times"))).where("_n = 1")
+    return one.withColumn("_copy", F.explode(F.array_repeat(F.lit(1), F.col("_times")))).select(*docs.columns)
 
 
 def op5_pivotal_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
