@@ -32,8 +32,13 @@ def _row_key(id_col: str, text_col: str):
 def line_keys(docs: DataFrame, depth: int = DEPTH, min_tokens: int = MIN_TOKENS, min_body: int = MIN_BODY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """row, id, pos and the template keys of every line that has enough tokens."""
     lines = docs.select(_row_key(id_col, text_col).alias("row"), F.col(id_col).alias("id"), F.posexplode(F.split(common.whole_text(docs, text_col), "\n", -1)).alias("pos", "line"))
-    body = F.btrim(F.regexp_replace("line", _FIELD, "<*>"), F.lit(" \t\n\x0b\x0c\r"))
-    split = lines.where(F.length("line") > 0).select("row", "id", "pos", F.split(body, r"[\x20\x09-\x0D]+", -1).alias("tokens"))
+    # explode(array(x)) computes x once for all that follows; plain columns would be computed anew in every filter and branch
+    masked = F.when(F.col("line").rlike("[0-9]"), F.regexp_replace("line", _FIELD, "<*>")).otherwise(F.col("line"))
+    bodies = lines.where(F.length("line") > 0).select("row", "id", "pos", F.explode(F.array(masked)).alias("body"))
+    uneven = F.col("body").rlike(r"[\x09-\x0D]|\x20\x20|^\x20|\x20\z")
+    trimmed = F.btrim("body", F.lit(" \t\n\x0b\x0c\r"))
+    tokens = F.when(uneven, F.split(trimmed, r"[\x20\x09-\x0D]+", -1)).otherwise(F.split("body", " ", -1))
+    split = bodies.select("row", "id", "pos", F.explode(F.array(tokens)).alias("tokens"))
     counted = split.withColumn("n", F.size("tokens")).where((F.col("n") >= min_tokens) & (F.element_at("tokens", 1) != ""))
     # the first half of the body ends here
     cut = F.lit(depth) + F.floor((F.col("n") - depth + 1) / 2).cast("int")
@@ -53,7 +58,7 @@ def recurring(keys: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
 def drop_recurring(docs: DataFrame, depth: int = DEPTH, min_tokens: int = MIN_TOKENS, min_body: int = MIN_BODY, min_docs: int = MIN_DOCS, id_col: str = "doc_id", text_col: str = "text", dropped_col: str | None = None) -> DataFrame:
     """docs with the recurring lines gone from the text; dropped_col: also the dropped lines' positions."""
     keys = common.keep(line_keys(docs, depth, min_tokens, min_body, id_col, text_col), "lines")
-    many = recurring(keys, min_docs)
+    many = common.keep(recurring(keys, min_docs), "templates")  # a table of its own, so that a hot key's join can be split
     hits = keys.select("row", "pos", F.explode("keys").alias("key")).join(many, "key").where(F.col("row") != F.col("first_row"))
     gone = hits.groupBy("row").agg(F.collect_set("pos").alias("_gone")).select(F.col("row").alias(_ROW), "_gone")
     out = docs.withColumn(_ROW, _row_key(id_col, text_col)).join(gone, _ROW, "left")
