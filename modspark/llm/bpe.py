@@ -15,15 +15,19 @@ from __future__ import annotations
 import hashlib
 from collections import Counter
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import common, tokens
 
 LEXICON_WORDS = 32_768
 #: Counters that a task ends with, and those it holds while counting.
 COUNTERS, HELD = 65_536, 600_000
+#: Rows that leave an encoding worker at once.
+CHUNK = 256
 
 
 def default_path() -> str:
@@ -77,21 +81,31 @@ def coder_for(path: str, blob: bytes) -> tokens.LexiconCoder:
     return tokens.worker_cache(("coder", path, hashlib.sha256(blob).hexdigest()), lambda: tokens.LexiconCoder(path, tokens.Lexicon.mapped(blob)))
 
 
-def encode(docs: DataFrame, path: str | None = None, lexicon_words: int = LEXICON_WORDS, text_col: str = "text") -> DataFrame:
-    """docs' columns with ``ids`` (array of int) and ``decoded``; columns of these names are replaced."""
+def encode(docs: DataFrame, path: str | None = None, lexicon_words: int = LEXICON_WORDS, text_col: str = "text", decoded: bool = True) -> DataFrame:
+    """docs' columns with ``ids`` (array of int) and, if asked for, ``decoded``; columns of these names are replaced.
+
+    Rows leave a worker some hundred at a time: ids take more room than their text.
+    """
     path = path or default_path()
     blob = docs.sparkSession.sparkContext.broadcast(compile_lexicon(docs, path, lexicon_words, text_col))
+    rest = docs.select(F.col(text_col).alias("_text"), *[c for c in docs.columns if c not in ("ids", "decoded")])
+    new = [T.StructField("ids", T.ArrayType(T.IntegerType()))] + ([T.StructField("decoded", T.StringType())] if decoded else [])
+    schema = T.StructType(rest.schema.fields[1:] + new)
 
-    @F.pandas_udf("ids array<int>, decoded string")
-    def both(texts: pd.Series) -> pd.DataFrame:
-        import numpy as np
+    def code(batches):
+        import pyarrow as pa
 
         coder = coder_for(path, blob.value)
-        got = [coder.encode(t) for t in texts.fillna("")]
-        return pd.DataFrame({"ids": [np.frombuffer(a, "<i4") for a, _ in got], "decoded": [b for _, b in got]})
-
-    rest = docs.drop("ids", "decoded") if text_col not in ("ids", "decoded") else docs
-    return rest.withColumn("_both", both(F.col(text_col))).select(*rest.columns, "_both.ids", "_both.decoded")
+        for batch in batches:
+            for at in range(0, batch.num_rows, CHUNK):
+                part = batch.slice(at, CHUNK)
+                got = [coder.encode(t or "") for t in part.column(0).to_pylist()]
+                ends = np.cumsum([0, *(len(x) // 4 for x, _ in got)]).astype(np.int32)
+                ids = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(x for x, _ in got), "<i4")))
+                more = [ids, pa.array([x for _, x in got], pa.string())] if decoded else [ids]
+                yield pa.RecordBatch.from_arrays([*part.columns[1:], *more], names=schema.names)
+
+    return rest.mapInArrow(code, schema)
 
 
 DIGESTS = "n_tokens long, ids_sha256 string, decoded_sha256 string"
