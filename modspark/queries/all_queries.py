@@ -1,6 +1,6 @@
 """All queries but those of the corpus operators."""
 
-from . import methods  # noqa: F401  registers its queries
+from . import around, methods  # noqa: F401  they register their queries
 from .base import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES"]
