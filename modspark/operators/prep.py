@@ -73,9 +73,15 @@ def node_table(arcs: DataFrame, ids: DataFrame | None = None) -> DataFrame:
 
 
 def with_order(graph: Graph, order: str = "input", seed: int = 1, key: DataFrame | None = None) -> Graph:
-    """The graph streamed in another order: input, reverse, hash, degree, or time (key: id, ts)."""
+    """The graph streamed in another order: input, reverse, hash, degree, first_seen, or time (key: id, ts).
+
+    first_seen: nodes as they come up in the edges sorted by their ends, as a crawl would number them; sides of bipartite graphs mix.
+    """
     if order == "input":
         return graph
+    if order == "first_seen":
+        seen = graph.arcs.groupBy(F.col("src").alias("id")).agg(F.min(F.struct(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b"))).alias("ts"))
+        return with_order(graph, "time", key=seen)
     by = {"reverse": [F.col("id").desc()], "hash": [F.xxhash64(F.col("id"), F.lit(seed)), F.col("id")], "degree": [F.col("wdeg").desc(), F.col("id")], "time": [F.col("ts"), F.col("id")]}[order]
     nodes = graph.nodes if key is None else graph.nodes.join(key, "id", "left")
     ranked = nodes.withColumn("rank", (F.row_number().over(Window.orderBy(*by)) - 1).cast("long"))
