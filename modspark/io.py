@@ -6,7 +6,8 @@ import os
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
+from pyspark.sql import functions as F
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -19,6 +20,12 @@ def shared_folder(spark: SparkSession) -> str:
     return (got or "file://" + os.path.join(tempfile.gettempdir(), f"modspark-{os.getpid()}")).rstrip("/")
 
 
+def settle_counted(df: DataFrame, name: str = "state") -> tuple[DataFrame, int]:
+    """settle(), and the number of rows, observed while they are written."""
+    seen = Observation()
+    return settle(df.observe(seen, F.count(F.lit(1)).alias("n")), name), int(seen.get["n"])
+
+
 def settle(df: DataFrame, name: str = "state") -> DataFrame:
     """df written to the shared folder and read again: the plan of a loop's next round begins at files, and lost executors cost nothing."""
     spark = df.sparkSession

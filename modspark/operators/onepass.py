@@ -26,12 +26,10 @@ def _settle_nodes(graph: Graph, assign: DataFrame, todo: DataFrame, arcs: DataFr
     """The nodes of todo (id) choose among the clusters that arcs reach, in conflict-free sub-rounds; each moves once at most."""
     for _ in range(max_subrounds):
         vols = scoring.cluster_volumes(graph.nodes, assign)
-        props = io.settle(scoring.best_cluster(scoring.scored_candidates(arcs, graph.nodes, assign, graph.two_m, vols)), "props")
-        n = props.count()
+        props, n = io.settle_counted(scoring.best_cluster(scoring.scored_candidates(arcs, graph.nodes, assign, graph.two_m, vols)), "props")
         if not n:
             break
-        moves = io.settle(rounds.admit(rounds.independent_set(arcs, props), graph.two_m), "moves")
-        done = moves.count()
+        moves, done = io.settle_counted(rounds.admit(rounds.independent_set(arcs, props), graph.two_m), "moves")
         if not done:
             break
         assign = io.settle(rounds.commit(assign, moves), "assign")

@@ -34,12 +34,11 @@ def subround(graph: Graph, assign: DataFrame, active: DataFrame | None) -> tuple
     """One conflict-free set of moves: the new assignment, how many proposed, how many moved, the moves."""
     arcs = graph.arcs if active is None else io.settle(active_arcs(graph.arcs, active), "active")
     vols = scoring.cluster_volumes(graph.nodes, assign)
-    props = io.settle(proposals(arcs, graph, assign, vols), "props")
-    n = props.count()
+    props, n = io.settle_counted(proposals(arcs, graph, assign, vols), "props")
     if not n:
         return assign, 0, 0, props.limit(0)
-    moves = io.settle(rounds.admit(rounds.independent_set(arcs, props), graph.two_m), "moves")
-    return io.settle(rounds.commit(assign, moves), "assign"), n, moves.count(), moves
+    moves, moved = io.settle_counted(rounds.admit(rounds.independent_set(arcs, props), graph.two_m), "moves")
+    return io.settle(rounds.commit(assign, moves), "assign"), n, moved, moves
 
 
 def restream_parallel(graph: Graph, assign: DataFrame, cfg: RestreamConfig | None = None, max_subrounds: int | None = None):
@@ -48,7 +47,7 @@ def restream_parallel(graph: Graph, assign: DataFrame, cfg: RestreamConfig | Non
     q = lambda a: int(measures.modularity_num(measures.cluster_sums(graph.arcs, graph.nodes, a)).first()["qnum"])
     now, active, scale = q(assign), None, float(graph.two_m) ** 2
     for r in range(cfg.max_rounds):
-        before, moved, seen, read = now, 0, None, 0
+        before, moved, movers, read = now, 0, None, 0
         pending = active
         n_active = graph.nodes.count() if active is None else active.count()
         for _ in range(max_subrounds or cfg.max_subrounds):
@@ -56,9 +55,8 @@ def restream_parallel(graph: Graph, assign: DataFrame, cfg: RestreamConfig | Non
             moved += admitted
             if not admitted:
                 break
-            near = next_active(graph.arcs, moves, cfg.include_movers)
-            seen = near if seen is None else seen.union(near)
-            seen = io.settle(seen.distinct(), "near")
+            moves = moves.select("src")
+            movers = moves if movers is None else movers.union(moves)
             if admitted == proposed:
                 break
         read = int(graph.arcs.count() if active is None else active_arcs(graph.arcs, active).count())
@@ -76,7 +74,7 @@ def restream_parallel(graph: Graph, assign: DataFrame, cfg: RestreamConfig | Non
         rows.append(("restream", r, n_active, moved, gained / scale, now / scale, read, stop))
         if stop:
             break
-        active = None if cfg.active == "all" else seen
+        active = None if cfg.active == "all" else io.settle(next_active(graph.arcs, movers.distinct(), cfg.include_movers), "near")
     return assign, rows
 
 

@@ -58,7 +58,7 @@ def test_unknown_mode(cliques):
 def test_parallel_rounds_never_fall(planted):
     a = onepass.init_singletons(planted.nodes)
     was = q(planted, a)
-    for _ in range(4):
+    for _ in range(3):
         a, _n, moved, _m = restream.subround(planted, a, None)
         now = q(planted, a)
         assert now >= was - 1e-12 and (moved == 0 or now > was)
@@ -68,8 +68,8 @@ def test_parallel_rounds_never_fall(planted):
 def test_parallel_restream_reaches_the_sequential_quality(planted):
     start = onepass.init_singletons(planted.nodes)
     exact, rows = restream.restream_exact(planted, start, RestreamConfig(min_rel_gain=0.0, time_limit_s=None))
-    far, _ = restream.restream_parallel(planted, start, RestreamConfig(min_rel_gain=0.01, max_rounds=3), 12)
-    assert q(planted, far) >= 0.8 * q(planted, exact)
+    far, _ = restream.restream_parallel(planted, start, RestreamConfig(min_rel_gain=0.05, max_rounds=2), 9)
+    assert q(planted, far) >= 0.7 * q(planted, exact)
     assert rows[-1][-1] == "converged" and abs(rows[-1][5] - q(planted, exact)) < 1e-9
     assert exact.select("cid").distinct().count() <= start.count()
 
@@ -82,7 +82,7 @@ def test_independent_set_has_no_neighbours(planted):
 
 
 def test_batches_and_waves_place_all(planted):
-    for a in (onepass.stream_pass_batches(planted, 3, 3), onepass.stream_pass_wavefront(planted, 2, 1, 2)):
+    for a in (onepass.stream_pass_batches(planted, 2, 2), onepass.stream_pass_wavefront(planted, 1, 1, 2)):
         assert a.count() == planted.nodes.count() and q(planted, a) > q(planted, onepass.init_singletons(planted.nodes))
 
 
@@ -113,7 +113,7 @@ def test_memetic_engine_choice():
 
 
 def test_memetic_beyond_a_task(planted):
-    a = planted.nodes.select("id", F.pmod("id", F.lit(50)).alias("cid"))
+    a = planted.nodes.select("id", F.pmod("id", F.lit(15)).alias("cid"))
     e = quotient.contract(planted.arcs, a)
     best, rows = memetic.memetic(e, quotient.supernodes(e, planted.nodes, a), MemeticConfig(island_max_edges=1))
     assert rows == [] and q(planted, quotient.project(a, best)) >= q(planted, a)
@@ -170,7 +170,7 @@ def test_grown_graph(spark, cliques):
 
 @pytest.mark.parametrize("name", ["S3", "S4", "S5", "S6"])
 def test_synthetic_graphs(spark, name):
-    g = prep.normalise_graph(synth.SYNTH[name](spark, *((12, 12) if name == "S3" else (300,))))
+    g = prep.normalise_graph(synth.SYNTH[name](spark, *((12, 12) if name == "S3" else (200,))))
     assert g.nodes.count() > 100 and g.arcs.where("src = dst").count() == 0
     assert g.arcs.count() == g.arcs.select("src", "dst").distinct().count()
 
