@@ -601,6 +601,77 @@ def _(spark, sf_dir):
     return experiments.compare(spark, sf_dir, ["G8"], _CFG)
 
 
+@query("rq_quality_table")
+def _(spark, sf_dir):
+    from ..plans import experiments
+
+    return experiments.quality_table(experiments.compare(spark, sf_dir, ["S1"], _CFG))
+
+
+@query("rq_mode_profiles")
+def _(spark, sf_dir):
+    from ..plans import experiments
+
+    return experiments.mode_profiles(experiments.compare(spark, sf_dir, ["G8"], _CFG, tuple(clustering.MODES)))
+
+
+@query("rq_ground_truth")
+def _(spark, sf_dir):
+    from ..plans import experiments
+
+    return experiments.compare(spark, sf_dir, ["G3", "G8"], _CFG, ("single_pass", "full", "edge_stream")).where("metric in ('nmi', 'modularity')")
+
+
+@query("rq_cap_sweep")
+def _(spark, sf_dir):
+    from ..plans import experiments
+
+    return experiments.cap_sweep(spark, sf_dir, ["G6", "S2"])
+
+
+@query("rq_edge_order")
+def _(spark, sf_dir):
+    from ..plans import experiments
+
+    return experiments.edge_order(spark, sf_dir, ["G8"])
+
+
+@query("rq_memetic_budget")
+def _(spark, sf_dir):
+    from ..plans import experiments
+
+    return experiments.memetic_budget(spark, sf_dir, ["G6"], (0, 4))
+
+
+@query("rq_restream_ablation")
+def _(spark, sf_dir):
+    from ..plans import experiments
+
+    return experiments.restream_ablation(spark, sf_dir, ["G6"])
+
+
+@query("synth_graph_stats")
+def _(spark, sf_dir):
+    """Nodes, edges and components of every synthetic family at its default size."""
+    from ..operators.prep import graph_stats
+    from ..sources import synth
+
+    out = None
+    for name in synth.SYNTH:
+        g = graph(spark, sf_dir, name)
+        x = graph_stats(g).select(F.lit(name).alias("name"), "n", "m", "max_deg")
+        out = x if out is None else out.unionByName(x)
+    return out
+
+
+@query("synth_cliques_recovered", "SELECT i // 5 AS clique, 5 AS members, 1 AS clusters FROM range(40) t(i) GROUP BY 1")
+def _(spark, sf_dir):
+    """Ring of cliques: Louvain's clusters against the cliques."""
+    g = graph(spark, sf_dir, "S1")
+    a = louvain.louvain(g, 1).join(g.nodes.select("id", F.floor(F.col("okey").cast("long") / 5).alias("clique")), "id")
+    return a.groupBy("clique").agg(F.count("*").alias("members"), F.count_distinct("cid").alias("clusters"))
+
+
 @query("incremental_edges", with_graph("G8", "SELECT count(*) AS nodes, CAST(sum(wdeg) + 2 AS BIGINT) AS two_m, CAST(0 AS BIGINT) AS lost FROM nodes"))
 def _(spark, sf_dir):
     g = graph(spark, sf_dir, "G8")
