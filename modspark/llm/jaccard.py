@@ -38,12 +38,11 @@ WORDS, OVER, UNDER = 5, 3, 4
 STAR_ROUNDS = 2
 #: Matches that a node may ask for, and the costs of a list entry and of a verification in relation.
 LEVELS, LIST_COST, VERIFY_COST = (1, 2, 3, 4, 6, 8, 12, 16, 24, 32, 48, 64), 1.0, 40.0
-#: Input bytes for a bucket, and the least number of buckets.
-BUCKET_BYTES, LEAST_BUCKETS = 16 << 20, 64
+#: Input bytes for a bucket, and the least and greatest number of buckets (beyond 16 TB of input, buckets grow).
+BUCKET_BYTES, LEAST_BUCKETS, MOST_BUCKETS = 16 << 20, 64, 1 << 20
 
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 _MULT = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
-_LOW48 = np.uint64((1 << 48) - 1)
 
 
 class _WordHashes(dict):
@@ -132,7 +131,7 @@ def _deal(buckets: int):
             if len(firsts):
                 each = np.concatenate([sets[i] for i in firsts])
                 owner = np.repeat(firsts, sizes[firsts])
-                place = ((each >> np.uint64(48)) * np.uint64(buckets) >> np.uint64(16)).astype(np.uint16)
+                place = ((each >> np.uint64(40)) * np.uint64(buckets) >> np.uint64(24)).astype(np.uint16 if buckets <= 1 << 16 else np.uint32)
                 order = np.argsort(place, kind="stable")
                 each, owner, place = each[order], owner[order], place[order]
                 cuts = _runs(place)
@@ -221,7 +220,7 @@ def _nodes(pdf: pd.DataFrame) -> pd.DataFrame:
             low, owner, rarity = _unpack(p, "u1", "<u8", "u1")
             wide = np.zeros((len(low) // 6, 8), np.uint8)
             wide[:, :6] = low.reshape(-1, 6)
-            tokens.append(wide.view("<u8").reshape(-1) | np.uint64(from_ - 1) << np.uint64(48))
+            tokens.append(wide.view("<u8").reshape(-1) | np.uint64((from_ - 1) & 0xFFFF) << np.uint64(48))
             owners.append(owner)
             rarities.append(rarity)
     if tokens:
@@ -387,7 +386,7 @@ def _verify(pdf: pd.DataFrame) -> pd.DataFrame:
 def link_classes(docs: DataFrame, star_rounds: int = STAR_ROUNDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id of every row."""
     src = docs.select(*common.id_and_gone(id_col), common.whole_text(docs, text_col).alias("text"))
-    buckets = min(common.task_count(src, LEAST_BUCKETS, BUCKET_BYTES), 1 << 16)
+    buckets = min(common.task_count(src, LEAST_BUCKETS, BUCKET_BYTES), MOST_BUCKETS)
     sent = src.mapInPandas(_deal(buckets), SENT)
     counted = sent.groupBy("bucket").applyInPandas(_count(buckets), SENT)
     told = common.keep(counted.groupBy("bucket").applyInPandas(_nodes, NODES), "nodes")
