@@ -17,6 +17,7 @@ import os
 import re
 import tempfile
 import unicodedata
+from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -39,6 +40,11 @@ def byte_signs() -> list[str]:
     return [signs[b] for b in range(256)]
 
 
+def signed(word: str, _table={b: s for b, s in enumerate(byte_signs())}) -> str:  # noqa: B006, C416  a constant
+    """The word's bytes as signs."""
+    return word.encode("utf-8", "surrogatepass").decode("latin-1").translate(_table)
+
+
 class Merger:
     """Ranked pair merges of one vocabulary file, spelled out: what the library's compiled model does, to test it against."""
 
@@ -230,6 +236,13 @@ _GAP = " \t-\r\u0085 "
 FAST_BYTE_RULE = re.compile(f"'(?:[stmd]|re|ve|ll)| ?[{LETTERS}]+| ?[{DIGITS}]+| ?[^{_GAP}{LETTERS}{DIGITS}]+|[{_GAP}]+(?![^{_GAP}])|[{_GAP}]+")
 
 
+def usual(text: str) -> bool:
+    """Whether the faster rules split the text as the general ones do; ASCII needs no look at every character."""
+    if text.isascii() and not any(c in text for c in "\x1c\x1d\x1e\x1f"):
+        return True
+    return not UNUSUAL.search(text)
+
+
 class LexiconCoder:
     """word_bpe: normalises, splits, looks words up, merges the rest; decodes as the library's ids-to-text does."""
 
@@ -246,7 +259,7 @@ class LexiconCoder:
 
     def merged_ids(self, word: str) -> list[int]:
         """Ids of a word by the ranked merges of the file's model."""
-        return [x.id for x in self.merge("".join([self.signs[b] for b in word.encode("utf-8", "surrogatepass")]))]
+        return [x.id for x in self.merge(signed(word))]
 
     def word_ids(self, word: str) -> list[int]:
         """Ids of one split word: the lexicon's, else merged."""
@@ -258,13 +271,13 @@ class LexiconCoder:
 
     def _code(self, word: str) -> tuple[bytes, str]:
         ids = self.word_ids(word)
-        return np.array(ids, "<u4").tobytes(), "".join([" " + self.names[i] for i in ids])
+        return array("I", ids).tobytes(), "".join([" " + self.names[i] for i in ids])
 
     def words(self, text: str) -> list[str] | None:
         """The split words; None for texts that only the library normalises surely."""
         if any(x in text for x in self.added):
             return None
-        if not UNUSUAL.search(text):
+        if usual(text):
             return FAST_WORD_RULE.findall(unicodedata.normalize("NFC", text).lower())
         return None
 
@@ -280,25 +293,23 @@ class LexiconCoder:
 
 
 class ByteCoder:
-    """byte_bpe: ids of a text as 16-bit or 32-bit integers."""
+    """byte_bpe: ids of a text as 32-bit integers."""
 
-    def __init__(self, path: str, dtype: str = "<u4"):
+    def __init__(self, path: str):
         self.signs = byte_signs()
         self.library = Tokenizer.from_file(path)
         self.merge = self.library.model.tokenize
         with open(path, encoding="utf-8") as f:
             self.added = [x["content"] for x in json.load(f)["added_tokens"]]
-        self.dtype = dtype
         self.codes = _Codes(self._code)
 
     def _code(self, piece: str) -> bytes:
-        signs = self.signs
-        return np.array([x.id for x in self.merge("".join([signs[b] for b in piece.encode("utf-8", "surrogatepass")]))], self.dtype).tobytes()
+        return array("I", [x.id for x in self.merge(signed(piece))]).tobytes()
 
     def encode(self, text: str) -> bytes:
         if any(x in text for x in self.added):
-            return np.array(self.library.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
-        rule = BYTE_RULE if UNUSUAL.search(text) else FAST_BYTE_RULE
+            return array("I", self.library.encode(text, add_special_tokens=False).ids).tobytes()
+        rule = FAST_BYTE_RULE if usual(text) else BYTE_RULE
         return b"".join(map(self.codes.__getitem__, rule.findall(text)))
 
 

@@ -353,7 +353,7 @@ def test_pii_rows(awkward, empty):
 
 # --- 7, 10 ---
 
-ODD = ["", "  a  b　c", "it's I'LL don't", "<|endoftext|> x<|startoftext|>", "İstanbul ß ŉ", "日本語 テスト１２３", "áé ê̂", "²½¾ ª µ", "\x85x\xa0y\xadz\x1c", "ΑΣ Σ", "tab\t\tnew\n\n l \r\n", "٣٤", "x" * 5000, "🎉🎊", "K Å ﬁ", "\x00\x01 a", "'s 'T ſ'ſ", "a  b   c "]
+ODD = ["", "  a  b　c", "it's I'LL don't", "<|endoftext|> x<|startoftext|>", "İstanbul ß ŉ", "日本語 テスト１２３", "áé ê̂", "²½¾ ª µ", "\x85x\xa0y\xadz\x1c", "ΑΣ Σ", "tab\t\tnew\n\n l \r\n", "٣٤", "x" * 5000, "🎉🎊", "K Å ﬁ", "\x00\x01 a", "a\x1cb c\x1f d", "\x7f \x0b\x0c x\x08y", "'s 'T ſ'ſ", "a  b   c "]
 
 
 @pytest.mark.parametrize(("name", "coder"), [("word_bpe_49k.json", tokens.LexiconCoder), ("byte_bpe_50k.json", tokens.ByteCoder)])
