@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import itertools
+
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -22,24 +25,59 @@ def stream_pass_exact(graph: Graph, candidates: str = "assigned") -> DataFrame:
     return run_local(graph, lambda g, order: (kernels.stream_pass(g, order, candidates), []))[0]
 
 
-def _settle_nodes(graph: Graph, assign: DataFrame, todo: DataFrame, arcs: DataFrame, max_subrounds: int) -> DataFrame:
-    """The nodes of todo (id) choose among the clusters that arcs reach, in conflict-free sub-rounds; each moves once at most."""
-    for _ in range(max_subrounds):
+def _place_in_order(graph: Graph, assign: DataFrame, arcs: DataFrame) -> DataFrame:
+    """src, target: the nodes that arcs begin at choose one after the other in rank order, in one task that gets their arcs alone."""
+    begun = arcs.select("src").distinct()
+    known = assign.join(begun.withColumnRenamed("src", "id").union(arcs.select("dst")).distinct(), "id", "left_semi")
+    null = F.lit(0).cast("long")
+    vols = scoring.cluster_volumes(graph.nodes, assign).join(known.select("cid").distinct(), "cid", "left_semi")
+    own = graph.nodes.join(begun.withColumnRenamed("src", "id"), "id", "left_semi")
+    rows = arcs.where("src <> dst").select(F.lit(0).alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), F.col("w").cast("decimal(38,0)").alias("c"))
+    rows = rows.union(own.select(F.lit(1), "id", "rank", F.col("wdeg").cast("decimal(38,0)")))
+    rows = rows.union(known.select(F.lit(2), "id", "cid", null.cast("decimal(38,0)")))
+    rows = rows.union(vols.select(F.lit(3), "cid", null, F.col("vol").cast("decimal(38,0)")))
+    two_m = graph.two_m
+
+    def solve(pdf: pd.DataFrame) -> pd.DataFrame:
+        links: dict[int, list] = {}
+        nodes, label, vol = [], {}, {}
+        for kind, a, b, c in zip(pdf["kind"].tolist(), pdf["a"].tolist(), pdf["b"].tolist(), map(int, pdf["c"]), strict=True):
+            if kind == 0:
+                links.setdefault(a, []).append((b, c))
+            elif kind == 1:
+                nodes.append((b, a, c))
+            elif kind == 2:
+                label[a] = b
+            else:
+                vol[a] = c
+        moved = kernels.place_in_order(sorted(nodes), links, label, vol, two_m)
+        return pd.DataFrame({"src": list(moved), "target": list(moved.values())}, dtype="int64")
+
+    return rows.groupBy(F.lit(0).alias("all")).applyInPandas(solve, "src long, target long")
+
+
+def _settle_nodes(graph: Graph, assign: DataFrame, todo: DataFrame, arcs: DataFrame, max_subrounds: int, task_arcs: int = ClusterConfig.exact_limit_arcs) -> DataFrame:
+    """The nodes of todo (id) choose among the clusters that arcs reach, in conflict-free sub-rounds; each moves once at most.
+
+    After max_subrounds the nodes that are left choose in rank order, in one task, once their arcs are no more than task_arcs; until
+    then further sub-rounds follow. Each admits a move, so none that still gains is left out.
+    """
+    left = itertools.count(1)
+    while True:
         vols = scoring.cluster_volumes(graph.nodes, assign)
         props, n = io.settle_counted(scoring.best_cluster(scoring.scored_candidates(arcs, graph.nodes, assign, graph.two_m, vols)), "props")
         if not n:
-            break
-        moves, done = io.settle_counted(rounds.admit(rounds.independent_set(arcs, props), graph.two_m), "moves")
-        if not done:
-            break
+            return assign
+        # arcs to earlier nodes alone show a conflict to one of its ends; both must see it
+        both = arcs.select("src", "dst").union(arcs.select("dst", "src"))
+        moves = io.settle(rounds.admit(rounds.independent_set(both, props), graph.two_m), "moves")
         assign = io.settle(rounds.commit(assign, moves), "assign")
-        arcs = io.settle(arcs.join(moves.select("src"), "src", "left_anti"), "arcs")
-        if done == n:
-            break
-    return assign
+        arcs, n_arcs = io.settle_counted(arcs.join(moves.select("src"), "src", "left_anti"), "arcs")
+        if next(left) >= max_subrounds and n_arcs <= task_arcs:
+            return io.settle(rounds.commit(assign, _place_in_order(graph, assign, arcs)), "assign") if n_arcs else assign
 
 
-def stream_pass_batches(graph: Graph, n_batches: int = 8, max_subrounds: int = 6, candidates: str = "assigned") -> DataFrame:
+def stream_pass_batches(graph: Graph, n_batches: int = 8, max_subrounds: int = 6, candidates: str = "assigned", task_arcs: int = ClusterConfig.exact_limit_arcs) -> DataFrame:
     """The stream in chunks of ranks; a chunk's nodes see the clusters of all earlier ranks and of their own chunk's, as they settle."""
     n = graph.nodes.count()
     assign = io.settle(init_singletons(graph.nodes), "assign")
@@ -50,7 +88,7 @@ def stream_pass_batches(graph: Graph, n_batches: int = 8, max_subrounds: int = 6
         arcs = graph.arcs.join(chunk.select(F.col("id").alias("src"), F.col("rank").alias("rs")), "src")
         if candidates == "assigned":
             arcs = arcs.join(r.select(F.col("id").alias("dst"), F.col("rank").alias("rd")), "dst").where("rd < rs")
-        assign = _settle_nodes(graph, assign, chunk, io.settle(arcs.select("src", "dst", "w"), "chunk"), max_subrounds)
+        assign = _settle_nodes(graph, assign, chunk, io.settle(arcs.select("src", "dst", "w"), "chunk"), max_subrounds, task_arcs)
     return assign
 
 
@@ -88,4 +126,4 @@ def stream_pass(graph: Graph, cfg: ClusterConfig | None = None) -> DataFrame:
     arcs = graph.nodes.agg(F.sum("deg")).first()[0] or 0
     if arcs <= cfg.exact_limit_arcs and graph.two_m < MAX_INT_2M:
         return stream_pass_exact(graph, cfg.candidates)
-    return stream_pass_batches(graph, cfg.n_batches, cfg.max_subrounds, cfg.candidates)
+    return stream_pass_batches(graph, cfg.n_batches, cfg.max_subrounds, cfg.candidates, cfg.exact_limit_arcs)

@@ -86,6 +86,17 @@ def test_batches_and_waves_place_all(planted):
         assert a.count() == planted.nodes.count() and q(planted, a) > q(planted, onepass.init_singletons(planted.nodes))
 
 
+def test_batches_leave_no_gain_on_a_dense_graph(spark):
+    g = prep.normalise_graph(synth.planted_partition(spark, 120, 4, 40, 0.7))
+    exact = q(g, onepass.stream_pass_exact(g))
+    assert q(g, onepass.stream_pass_batches(g, 1, 1)) > 0.6 * exact
+    ring = prep.normalise_graph(synth.ring_of_cliques(spark, 2, 5))
+    arcs = ring.arcs.where("dst < src")
+    alone = onepass.stream_pass_batches(ring, 1, 1, task_arcs=0)
+    late = restream.proposals(arcs, ring, alone, scoring.cluster_volumes(ring.nodes, alone)).where("src = cur")
+    assert late.join(alone.groupBy("cid").count().where("count = 1"), F.col("cur") == F.col("cid")).count() == 0
+
+
 def test_quotient_equals_increments_and_keeps_modularity(planted):
     a = planted.nodes.select("id", F.pmod("id", F.lit(9)).alias("cid"))
     whole = quotient.contract(planted.arcs, a)
