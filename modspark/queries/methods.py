@@ -578,7 +578,10 @@ def _(spark, sf_dir):
 
 # --- the pipeline ---
 
-_CFG = ClusterConfig(memetic=MemeticConfig(population=4, max_rounds=6), restream=RestreamConfig(time_limit_s=None))
+#: The defaults; without a time limit, which would make results depend on the machine.
+_CFG = ClusterConfig(restream=RestreamConfig(time_limit_s=None))
+#: The survey's graphs.
+_ALL = [*(f"G{i}" for i in range(1, 11)), *(f"S{i}" for i in range(1, 7))]
 
 for _mode in clustering.MODES:
 
@@ -595,31 +598,31 @@ for _mode in clustering.MODES:
 
 @query("mode_comparison")
 def _(spark, sf_dir):
-    """Modularity, clusters and NMI of every mode and baseline on the geographic tree, long format."""
+    """Modularity, clusters and NMI of every mode and baseline on all graphs, long format."""
     from ..plans import experiments
 
-    return experiments.compare(spark, sf_dir, ["G8"], _CFG)
+    return experiments.compare(spark, sf_dir, _ALL, _CFG)
 
 
 @query("rq_quality_table")
 def _(spark, sf_dir):
     from ..plans import experiments
 
-    return experiments.quality_table(experiments.compare(spark, sf_dir, ["S1"], _CFG))
+    return experiments.quality_table(experiments.compare(spark, sf_dir, _ALL, _CFG))
 
 
 @query("rq_mode_profiles")
 def _(spark, sf_dir):
     from ..plans import experiments
 
-    return experiments.mode_profiles(experiments.compare(spark, sf_dir, ["G8"], _CFG, tuple(clustering.MODES)))
+    return experiments.mode_profiles(experiments.compare(spark, sf_dir, _ALL, _CFG, tuple(clustering.MODES)))
 
 
 @query("rq_ground_truth")
 def _(spark, sf_dir):
     from ..plans import experiments
 
-    return experiments.compare(spark, sf_dir, ["G3", "G8"], _CFG, ("single_pass", "full", "edge_stream")).where("metric in ('nmi', 'modularity')")
+    return experiments.compare(spark, sf_dir, ["G3", "G5", "G8", "G1", "G6", "G7", "S1", "S2"], _CFG).where("metric in ('nmi', 'modularity')")
 
 
 @query("rq_cap_sweep")
@@ -633,21 +636,21 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     from ..plans import experiments
 
-    return experiments.edge_order(spark, sf_dir, ["G8"])
+    return experiments.edge_order(spark, sf_dir, ["S2", "G9"])
 
 
 @query("rq_memetic_budget")
 def _(spark, sf_dir):
     from ..plans import experiments
 
-    return experiments.memetic_budget(spark, sf_dir, ["G6"], (0, 4))
+    return experiments.memetic_budget(spark, sf_dir, ["G1", "G6"], (0, 5, 20, 80))
 
 
 @query("rq_restream_ablation")
 def _(spark, sf_dir):
     from ..plans import experiments
 
-    return experiments.restream_ablation(spark, sf_dir, ["G6"])
+    return experiments.restream_ablation(spark, sf_dir, ["G5", "G9", "S2"])
 
 
 @query("synth_graph_stats")

@@ -42,3 +42,28 @@ def test_entry(spark):
 def test_sql_belongs_to_queries():
     assert set(entry.oracle_sql()) <= set(entry.queries())
     assert len(all_queries.QUERIES) > 140
+
+
+def test_experiments_run_whole_workloads(monkeypatch):
+    from modspark.config import MemeticConfig
+    from modspark.plans import experiments
+
+    asked = []
+    for name in ("compare", "edge_order", "memetic_budget", "restream_ablation"):
+        monkeypatch.setattr(experiments, name, lambda spark, sf_dir, names, *more, _n=name: asked.append((_n, set(names), more)) or _Frame())
+    for name in ("quality_table", "mode_profiles"):
+        monkeypatch.setattr(experiments, name, lambda scores: scores)
+    every = {f"G{i}" for i in range(1, 11)} | {f"S{i}" for i in range(1, 7)}
+    want = {"rq_quality_table": every, "rq_mode_profiles": every, "mode_comparison": every, "rq_ground_truth": {"G3", "G5", "G8", "G1", "G6", "G7", "S1", "S2"},
+            "rq_edge_order": {"S2", "G9"}, "rq_memetic_budget": {"G1", "G6"}, "rq_restream_ablation": {"G5", "G9", "S2"}}
+    for name, graphs in want.items():
+        all_queries.QUERIES[name](None, "")
+        fn, names, more = asked.pop()
+        assert names == graphs, name
+        assert fn != "compare" or more[0].memetic == MemeticConfig()
+        assert name != "rq_memetic_budget" or more == ((0, 5, 20, 80),)
+
+
+class _Frame:
+    def where(self, _):
+        return self
