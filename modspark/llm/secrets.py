@@ -1,11 +1,12 @@
 """Secret scan with corpus-wide ownership frequency.
 
 Each text is scanned once for candidate credentials. The hashes of the candidates' values are then counted over the whole
-corpus, by distinct repositories (rows) and distinct owners. A value that many owners hold is a copied example; one that a
-single owner holds, in few repositories and with the entropy of a random key, looks live.
+corpus, by distinct repositories (texts of an owner) and distinct owners. A value that many owners hold is a copied example;
+one that a single owner holds, in however many repositories, and with the entropy of a random key, looks live. All other
+candidates are unsure, and are told as such.
 
-Defined results: a null text scans as an empty one; a null owner is an owner of its own (the unnamed one); repeated rows
-count as repositories of their own; an empty table gives an empty result; a column of the input that isn't asked for is
+Defined results: a null text scans as an empty one; a null owner is an owner of its own (the unnamed one); equal texts of
+one owner count as one repository; an empty table gives an empty result; a column of the input that isn't asked for is
 never read, so clashing names do no harm. Nothing is capped: a value in a third of all rows is pre-aggregated per task.
 """
 
@@ -86,19 +87,19 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", owner_
         return pd.DataFrame([scan_text(t) for t in texts], columns=["n_assign", "n_access", "n_hex", "base_sha256", "base_spans", "candidates"])
 
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(owner_col).cast("string").alias("owner"), common.whole_text(docs, text_col).alias("text"))
-    return src.select("doc_id", "owner", F.xxhash64("doc_id", "owner", "text").alias("row_key"), found("text").alias("found")).select("doc_id", "owner", "row_key", "found.*")
+    return src.select("doc_id", "owner", F.xxhash64("doc_id", "owner", "text").alias("row_key"), F.xxhash64("text").alias("text_key"), found("text").alias("found")).select("doc_id", "owner", "row_key", "text_key", "found.*")
 
 
 def ownership(scanned: DataFrame) -> DataFrame:
-    """h, n_repos, n_owners over all rows. Two sums with map-side combining: a hot value is one row per task."""
-    each = scanned.select("owner", F.explode(F.array_distinct(F.transform("candidates", lambda c: c["h"]))).alias("h"))
+    """h, n_repos, n_owners over all rows. Sums with map-side combining: a hot value is one row per task and text, then one per task."""
+    each = scanned.select("owner", "text_key", F.explode(F.array_distinct(F.transform("candidates", lambda c: c["h"]))).alias("h")).groupBy("h", "owner", "text_key").agg(F.count("*").alias("rows"))
     return each.groupBy("h", "owner").agg(F.count("*").alias("n")).groupBy("h").agg(F.sum("n").alias("n_repos"), F.count("*").alias("n_owners"))
 
 
-def detect(docs: DataFrame, max_owners: int = 1, max_repos: int = 3, min_example_owners: int = 3, min_entropy: float = 2.8, **columns) -> DataFrame:
-    """Per input row: base counts and spans, the spans of live-looking values and of copied examples.
+def detect(docs: DataFrame, max_owners: int = 1, min_example_owners: int = 3, min_entropy: float = 2.8, **columns) -> DataFrame:
+    """Per input row: base counts and spans, the spans of live-looking values, of copied examples and of all other candidates.
 
-    max_owners, max_repos: a live value is held by at most so many owners, in at most so many rows.
+    max_owners: a live value is held by at most so many owners.
     min_example_owners: from so many owners on, a value is an example. min_entropy: bits per character of a live value.
     """
     scanned = common.keep(scan(docs, **columns), "secrets")
@@ -106,9 +107,10 @@ def detect(docs: DataFrame, max_owners: int = 1, max_repos: int = 3, min_example
     each = scanned.select("row_key", F.explode("candidates").alias("c")).select("row_key", "c.*").dropDuplicates(["row_key", "start", "end"])
     label = (
         F.when(F.col("n_owners") >= min_example_owners, "example")
-        .when((F.col("n_owners") <= max_owners) & (F.col("n_repos") <= max_repos) & (F.col("entropy") >= min_entropy), "live")
+        .when((F.col("n_owners") <= max_owners) & (F.col("entropy") >= min_entropy), "live")
+        .otherwise("unsure")
     )
-    told = each.join(freq, "h").withColumn("label", label).where("label is not null")
+    told = each.join(freq, "h").withColumn("label", label)
     per_row = told.groupBy("row_key").agg(F.array_sort(F.collect_list(F.struct("start", "label", "end"))).alias("found"))
     out = scanned.join(per_row, "row_key", "left")
     said = F.concat_ws(",", F.transform("found", lambda x: F.concat_ws(":", x["label"], x["start"], x["end"])))

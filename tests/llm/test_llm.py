@@ -83,6 +83,16 @@ def test_secret_ownership(spark, awkward, empty):
     assert secrets.detect(clash, text_col="t").count() == 6
 
 
+def test_secrets_lose_no_candidate(spark):
+    key, two, flat = "token = 9f8e7d6c5b4a39281706f5e4d3c2b1a0", "token = 00112233445566778899aabbccddeeff", "password = aaaaaaaa"
+    rows = [(i, f"file {i} {key}", "a") for i in range(5)] + [(5, "file 0 " + key, "a"), (6, two, "a"), (7, two, "b"), (8, flat, "c")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = {r["doc_id"]: r for r in collected(secrets.detect(docs))}
+    assert all(got[i]["n_live"] == 1 for i in range(6))
+    assert all(got[i]["n_live"] == got[i]["n_example"] == 0 and ",unsure:" in got[i]["spans"] for i in (6, 7, 8))
+    assert sorted((r["n_owners"], r["n_repos"]) for r in secrets.ownership(secrets.scan(docs)).collect()) == [(1, 1), (1, 5), (2, 2)]
+
+
 # --- 2 ---
 
 
