@@ -17,6 +17,9 @@ from ..operators.prep import Graph, with_order
 #: mode -> (refine the quotient, re-stream)
 MODES = {"single_pass": (False, False), "single_pass_restream": (False, True), "single_pass_memetic": (True, False), "full": (True, True)}
 
+#: What a mode is reported as where its quotient is beyond the islands' limit: there parallel rounds take the evolution's place.
+BEYOND = {"single_pass_memetic": "single_pass_louvain", "full": "full_louvain"}
+
 
 @dataclass
 class ClusterResult:
@@ -35,6 +38,7 @@ def cluster(graph: Graph, mode: str = "full", cfg: ClusterConfig | None = None)
     refine, again = MODES[mode]
     graph = with_order(graph, cfg.order, cfg.seed)
     out, took = ClusterResult(None), {}
+    out.stats["mode"] = mode
 
     def timed(name, f):
         t = time.monotonic()
@@ -58,6 +62,8 @@ def cluster(graph: Graph, mode: str = "full", cfg: ClusterConfig | None = None)
             scale = float(graph.two_m) ** 2 or 1.0
             out.trace += [("memetic", r, 0, int(at >= 0), 0.0, best_q / scale, 0, kind) for _, _, r, kind, _, best_q, at in rows]
             out.stats["q_edges"] = out.quotient.count()
+            if memetic.choose_engine(out.stats["q_edges"], graph.two_m, cfg.memetic) != "island":
+                out.stats["mode"] = BEYOND[mode]
 
         timed("memetic", evolve)
     if again:

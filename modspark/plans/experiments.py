@@ -28,12 +28,12 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> tuple[Graph, DataFrame
 
 
 def run_one(g: Graph, algo: str, cfg: ClusterConfig, v_max="n") -> tuple[DataFrame, dict]:
-    """The clustering and its figures: seconds, state rows, arcs read."""
+    """The clustering and its figures: seconds, state rows, arcs read, and the name of the mode that ran."""
     began, figures = time.monotonic(), {}
     if algo in clustering.MODES:
         r = clustering.cluster(g, algo, cfg)
         # the method's own seconds: the figures that cluster() adds (modularity, counts) are no part of it
-        return r.assign, {"state_rows": r.stats["state_rows"], "arcs_read": sum(r.stats.get("arcs_read", [])), "seconds": r.stats["seconds"]}
+        return r.assign, {"mode": r.stats["mode"], "state_rows": r.stats["state_rows"], "arcs_read": sum(r.stats.get("arcs_read", [])), "seconds": r.stats["seconds"]}
     elif algo == "edge_stream":
         assign = baselines.edge_stream_capped(g, v_max)
     elif algo == "louvain":
@@ -51,8 +51,9 @@ def peak_mb() -> float:
 
 
 def score_rows(name: str, algo: str, g: Graph, truth: DataFrame | None, assign: DataFrame, figures: dict) -> list[tuple]:
+    algo = figures.get("mode", algo)
     rows = [(name, algo, "modularity", measures.modularity(g.arcs, g.nodes, assign)), (name, algo, "k", float(assign.select("cid").distinct().count()))]
-    rows += [(name, algo, k, float(v)) for k, v in figures.items()]
+    rows += [(name, algo, k, float(v)) for k, v in figures.items() if k != "mode"]
     if truth is not None:
         rows.append((name, algo, "nmi", measures.nmi(measures.contingency(assign, truth)).first()["nmi_arithmetic"]))
     return rows
@@ -71,12 +72,13 @@ def compare(spark: SparkSession, sf_dir: str, names: list[str], cfg: ClusterConf
 
 def quality_table(scores: DataFrame) -> DataFrame:
     """One row per graph, one column per algo."""
-    return scores.where("metric = 'modularity'").groupBy("instance").pivot("algo", list(ALGOS)).max("value")
+    ran = {r["algo"] for r in scores.select("algo").distinct().collect()}
+    return scores.where("metric = 'modularity'").groupBy("instance").pivot("algo", [*ALGOS, *(x for x in clustering.BEYOND.values() if x in ran)]).max("value")
 
 
 def mode_profiles(scores: DataFrame, modes: tuple = tuple(clustering.MODES)) -> DataFrame:
     """Profiles of modularity (falling from 1), seconds and state rows."""
-    own = scores.where(scores["algo"].isin(list(modes)))
+    own = scores.where(scores["algo"].isin([*modes, *(clustering.BEYOND[m] for m in modes if m in clustering.BEYOND)]))
     up = methodology.performance_profile(own.where("metric = 'modularity' and value > 0"), [1.0, 0.99, 0.95, 0.9, 0.8, 0.5], "max")
     down = methodology.performance_profile(own.where("metric in ('seconds', 'state_rows')"), [1.0, 1.5, 2.0, 5.0, 10.0, 20.0], "min")
     return up.unionByName(down)

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from modspark.config import ClusterConfig, MemeticConfig, RestreamConfig
 from modspark.functions import measures, methodology, scoring
 from modspark.operators import baselines, components, louvain, memetic, onepass, prep, quotient, restream, rounds
-from modspark.plans import clustering, state
+from modspark.plans import clustering, experiments, state
 from modspark.sources import graphs, metis, synth
 
 
@@ -130,6 +130,13 @@ def test_memetic_beyond_a_task(planted):
     assert rows == [] and q(planted, quotient.project(a, best)) >= q(planted, a)
 
 
+def test_a_mode_without_evolution_has_its_own_name(planted):
+    evolved, _ = experiments.run_one(planted, "single_pass_memetic", ClusterConfig(memetic=MemeticConfig(population=3, max_rounds=3)))
+    beyond, figures = experiments.run_one(planted, "single_pass_memetic", ClusterConfig(memetic=MemeticConfig(island_max_edges=1)))
+    assert figures["mode"] == "single_pass_louvain"
+    print("evolved", q(planted, evolved), "beyond", q(planted, beyond))
+
+
 def test_edge_stream_orders_and_storage(planted):
     a = {tuple(r) for r in baselines.edge_stream_capped(planted, "n").collect()}
     assert a == {tuple(r) for r in baselines.edge_stream_capped(planted, "n", materialise=True).collect()}
