@@ -22,9 +22,11 @@ _made: list[tuple[weakref.ref, str]] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``; a local one where it is unset (tests)."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``; where it is unset and all run in one process (tests), a local one."""
     got = spark.conf.get("spark.checkpoint.dir", None)
     if not got:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise ValueError("spark.checkpoint.dir is unset: executors of a cluster need a folder that all of them see")
         got = "file://" + os.path.join(tempfile.gettempdir(), f"modspark-{os.getpid()}")
     return got.rstrip("/")
 
@@ -94,6 +96,17 @@ def id_and_gone(id_col: str = "doc_id") -> list:
     return [F.coalesce(F.col(id_col).cast("long"), F.lit(0)).alias("doc_id"), F.col(id_col).cast("long").isNull().alias("gone")]
 
 
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """Column names like these that df doesn't have, in any case of letters."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def frame(rows: list[tuple], schema: str) -> pd.DataFrame:
     """rows as pandas; whole numbers stay whole where there are nulls among them."""
     columns = list(zip(*rows, strict=True)) or [()] * len(schema.split(", "))

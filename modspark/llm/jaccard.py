@@ -11,8 +11,11 @@ Texts with equal shingle sets are one node of the link graph. A linked node shar
    copies become one component in linear work; then all pairs of nodes of different components that still are candidates are
    verified, so that no link is lost. Pairs within a component need no more work.
 
-Rows between tasks are packed arrays, one row per task and bucket: a shingle in a third of all texts adds one entry per text to a bucket of
-millions, and no row of pairs is ever made per pair.
+Rows between tasks are packed arrays, one row per task and bucket, and no row of pairs is ever made per pair. Hot keys are split. A shingle that
+is common within one batch of texts isn't dealt to its bucket by that batch: only its name goes there, so that the bucket knows it for
+common, and its owners are sent straight to their nodes, with the greatest frequency there is. What a bucket gets of one shingle is thereby
+bounded by the number of batches, not of texts. A prefix list that is too long for one task is cut into blocks, each pair of
+blocks a task's work.
 
 Defined results: null texts, and texts without a word, have size 0 and no links; a text of fewer than five words has one shingle, the
 whole sequence; texts are read whole; repeated rows are linked as any equal texts; a null id's component is the least id it is linked
@@ -22,6 +25,7 @@ with (null if none); an empty table gives an empty result; further columns are n
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
@@ -38,8 +42,13 @@ WORDS, OVER, UNDER = 5, 3, 4
 STAR_ROUNDS = 2
 #: Matches that a node may ask for, and the costs of a list entry and of a verification in relation.
 LEVELS, LIST_COST, VERIFY_COST = (1, 2, 3, 4, 6, 8, 12, 16, 24, 32, 48, 64), 1.0, 40.0
-#: Input bytes for a bucket, and the least and greatest number of buckets (beyond 16 TB of input, buckets grow).
-BUCKET_BYTES, LEAST_BUCKETS, MOST_BUCKETS = 16 << 20, 64, 1 << 20
+#: Input bytes for a bucket, and the least and greatest number of buckets (beyond 8 TB of input, buckets grow).
+BUCKET_BYTES, LEAST_BUCKETS, MOST_BUCKETS = 8 << 20, 16, 1 << 20
+#: A shingle is common in a batch of texts from this share of them on (and HOT_LEAST texts), and from fewer on where a bucket would get more
+#: than HOT_ENTRIES of its entries from all batches.
+HOT_SHARE, HOT_LEAST, HOT_ENTRIES = 1 / 64, 8, 1 << 19
+#: Nodes of a prefix list that one task pairs by itself, and blocks that a longer one is cut into at most; pairs that a task holds.
+LIST_NODES, MOST_BLOCKS, HELD_PAIRS = 1024, 64, 2_000_000
 
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 _MULT = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
@@ -110,10 +119,37 @@ def bucket_of(digests: np.ndarray, buckets: int) -> np.ndarray:
 
 # --- 1. shingles by bucket ---
 
-SENT = "bucket int, kind int, payload binary"  # kind 0: documents, 1: shingles
+SENT = "bucket int, kind int, payload binary"
+#: Kinds of rows: documents; owners of common shingles; names of common shingles; from SOME on, shingles (of bucket kind - SOME once counted).
+DOCUMENTS, COMMON, NAMES, SOME = 0, -1, -2, 1
 
 
-def _deal(buckets: int):
+def common_in_batch(each: np.ndarray, least: int) -> np.ndarray:
+    """The shingles of which there are at least so many, sorted."""
+    slots = (each >> np.uint64(44)).astype(np.int64)
+    full = np.bincount(slots, minlength=1 << 20) >= least
+    token, n = np.unique(each[full[slots]], return_counts=True)
+    return token[n >= least]
+
+
+def _low(tokens: np.ndarray) -> np.ndarray:
+    """The lower 48 bits of each, six bytes apiece."""
+    return np.ascontiguousarray(tokens.astype("<u8", copy=False)).view(np.uint8).reshape(-1, 8)[:, :6].reshape(-1)
+
+
+def _wide(low: np.ndarray) -> np.ndarray:
+    wide = np.zeros((len(low) // 6, 8), np.uint8)
+    wide[:, :6] = low.reshape(-1, 6)
+    return wide.view("<u8").reshape(-1)
+
+
+def _named(low: np.ndarray, bucket) -> np.ndarray:
+    """A shingle's name: its lower 48 bits and its bucket's lower 16."""
+    return (low & np.uint64((1 << 48) - 1)) | (np.asarray(bucket).astype(np.uint64) & np.uint64(0xFFFF)) << np.uint64(48)
+
+
+def _deal(buckets: int, hot: int = 1 << 30):
+    """hot: texts from which a shingle is common in a batch of any size."""
     def deal(batches):
         cache = _WordHashes()
         for pdf in batches:
@@ -125,7 +161,7 @@ def _deal(buckets: int):
             home = bucket_of(digests, buckets)
             for b in np.unique(home).tolist():
                 k = np.flatnonzero(home == b)
-                rows.append((b, 0, _pack(digests[k], ids[k], gone[k].astype("u1"), sizes[k].astype("<u4"))))
+                rows.append((b, DOCUMENTS, _pack(digests[k], ids[k], gone[k].astype("u1"), sizes[k].astype("<u4"))))
             _, firsts = np.unique(digests, return_index=True)  # equal sets of this batch are sent once
             firsts = firsts[sizes[firsts] > 0]
             if len(firsts):
@@ -134,56 +170,70 @@ def _deal(buckets: int):
                 place = ((each >> np.uint64(40)) * np.uint64(buckets) >> np.uint64(24)).astype(np.uint16 if buckets <= 1 << 16 else np.uint32)
                 order = np.argsort(place, kind="stable")
                 each, owner, place = each[order], owner[order], place[order]
+                often = common_in_batch(each, min(hot, max(HOT_LEAST, int(len(firsts) * HOT_SHARE))))
+                if len(often):
+                    is_common = np.isin(each, often)
+                    name, home_of = _named(each[is_common], place[is_common]), home[owner[is_common]]
+                    back = np.argsort(home_of, kind="stable")
+                    name, whose, home_of = name[back], digests[owner[is_common]][back], home_of[back]
+                    cuts = _runs(home_of)
+                    rows += [(int(home_of[lo]), COMMON, _pack(name[lo:hi], whose[lo:hi])) for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
+                    at = np.flatnonzero(is_common)
+                    at = at[np.unique(each[at], return_index=True)[1]]
+                    for b in np.unique(place[at]).tolist():
+                        rows.append((b, NAMES, _pack(_low(each[at][place[at] == b]))))
+                    each, owner, place = each[~is_common], owner[~is_common], place[~is_common]
                 cuts = _runs(place)
                 for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
                     runs = _runs(owner[lo:hi])
-                    low = np.ascontiguousarray(each[lo:hi].astype("<u8")).view(np.uint8).reshape(-1, 8)[:, :6]
-                    rows.append((int(place[lo]), 1, _pack(low.reshape(-1), digests[owner[lo:hi][runs[:-1]]], np.diff(runs).astype("<u2"))))
+                    rows.append((int(place[lo]), SOME, _pack(_low(each[lo:hi]), digests[owner[lo:hi][runs[:-1]]], np.diff(runs).astype("<u4"))))
             yield pd.DataFrame(rows, columns=["bucket", "kind", "payload"])
 
     return deal
 
 
 def _rarity(df: np.ndarray) -> np.ndarray:
-    """Document frequencies from 2 on as 8 bits, in order: a sixteenth of an octave each up to 2**16, 255 beyond."""
+    """Document frequencies as 8 bits, in order: a sixteenth of an octave each up to 2**16, 255 beyond and for common shingles."""
     return np.minimum(np.floor(np.log2(df) * 16), 255).astype(np.uint8)
 
 
 def _count(buckets: int):
-    """Of one bucket's shingles: those of two nodes or more, sent to their nodes' buckets; documents are passed on."""
+    """Of one bucket's shingles: those of two nodes or more, sent to their nodes' buckets; documents and owners of common shingles are passed on."""
 
     def count(pdf: pd.DataFrame) -> pd.DataFrame:
-        rows = [(int(pdf["bucket"].iloc[0]), 0, p) for p in pdf["payload"][pdf["kind"] == 0]]
         here = int(pdf["bucket"].iloc[0])
+        rows = [(here, kind, p) for kind, p in zip(pdf["kind"].tolist(), pdf["payload"], strict=True) if kind in (DOCUMENTS, COMMON)]
+        names = [_wide(_unpack(p, "u1")[0]) for p in pdf["payload"][pdf["kind"] == NAMES]]
+        names = np.unique(np.concatenate(names)) if names else np.empty(0, np.uint64)
         tokens, digests = [], []
-        for p in pdf["payload"][pdf["kind"] == 1]:
-            low, owner, n = _unpack(p, "u1", "<u8", "<u2")
-            wide = np.zeros((len(low) // 6, 8), np.uint8)
-            wide[:, :6] = low.reshape(-1, 6)
-            tokens.append(wide.view("<u8").reshape(-1))
+        for p in pdf["payload"][pdf["kind"] == SOME]:
+            low, owner, n = _unpack(p, "u1", "<u8", "<u4")
+            tokens.append(_wide(low))
             digests.append(np.repeat(owner, n))
         if tokens:
             token, digest = np.concatenate(tokens), np.concatenate(digests)
             order = np.argsort(token)
             token, digest = token[order], digest[order]
             cuts = _runs(token)
-            many = np.repeat(np.diff(cuts) > 1, np.diff(cuts))
-            token, digest = token[many], digest[many]
+            often = np.isin(token[cuts[:-1]], names) if len(names) else np.zeros(len(cuts) - 1, bool)
+            many = np.repeat((np.diff(cuts) > 1) | often, np.diff(cuts))
+            often = np.repeat(often, np.diff(cuts))
+            token, digest, often = token[many], digest[many], often[many]
             order = np.lexsort((digest, token))
-            token, digest = token[order], digest[order]
+            token, digest, often = token[order], digest[order], often[order]
             fresh = np.ones(len(token), bool)
             fresh[1:] = (token[1:] != token[:-1]) | (digest[1:] != digest[:-1])
-            token, digest = token[fresh], digest[fresh]
+            token, digest, often = token[fresh], digest[fresh], often[fresh]
             cuts = _runs(token)
-            df = np.repeat(np.diff(cuts), np.diff(cuts))
-            token, digest, df = token[df > 1], digest[df > 1], df[df > 1]
+            rarity = np.where(often, 255, _rarity(np.repeat(np.diff(cuts), np.diff(cuts))))
+            use = np.repeat(np.diff(cuts) > 1, np.diff(cuts)) | often
+            token, digest, rarity = token[use], digest[use], rarity[use].astype(np.uint8)
             home = bucket_of(digest, buckets)
             order = np.lexsort((digest, home))
-            token, digest, df, home = token[order], digest[order], df[order], home[order]
+            token, digest, rarity, home = token[order], digest[order], rarity[order], home[order]
             cuts = _runs(home)
             for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
-                low = np.ascontiguousarray(token[lo:hi]).view(np.uint8).reshape(-1, 8)[:, :6]
-                rows.append((int(home[lo]), 1 + here, _pack(low.reshape(-1), digest[lo:hi], _rarity(df[lo:hi]))))
+                rows.append((int(home[lo]), SOME + here, _pack(_low(token[lo:hi]), digest[lo:hi], rarity[lo:hi])))
         return pd.DataFrame(rows, columns=["bucket", "kind", "payload"])
 
     return count
@@ -211,22 +261,28 @@ def choose_level(size: int, known: int, rarity: np.ndarray) -> tuple[int, int]:
 
 
 def _nodes(pdf: pd.DataFrame) -> pd.DataFrame:
-    digest, ids, gone, size = _gathered(pdf["payload"][pdf["kind"] == 0], "<u8", "<i8", "u1", "<u4")
+    digest, ids, gone, size = _gathered(pdf["payload"][pdf["kind"] == DOCUMENTS], "<u8", "<i8", "u1", "<u4")
     rows = [(0, i, bool(g), d, n, 0, 0, 0, None) for d, i, g, n in zip(digest.view(np.int64).tolist(), ids.tolist(), gone.tolist(), size.tolist(), strict=True)]
     sizes = dict(zip(digest.tolist(), size.tolist(), strict=True))
     tokens, owners, rarities = [], [], []
-    for from_, p in zip(pdf["kind"], pdf["payload"], strict=True):
-        if from_:
+    for from_, p in zip(pdf["kind"].tolist(), pdf["payload"], strict=True):
+        if from_ >= SOME:
             low, owner, rarity = _unpack(p, "u1", "<u8", "u1")
-            wide = np.zeros((len(low) // 6, 8), np.uint8)
-            wide[:, :6] = low.reshape(-1, 6)
-            tokens.append(wide.view("<u8").reshape(-1) | np.uint64((from_ - 1) & 0xFFFF) << np.uint64(48))
+            tokens.append(_named(_wide(low), from_ - SOME))
             owners.append(owner)
             rarities.append(rarity)
+        elif from_ == COMMON:
+            name, owner = _unpack(p, "<u8", "<u8")
+            tokens.append(name)
+            owners.append(owner)
+            rarities.append(np.full(len(name), 255, np.uint8))
     if tokens:
         token, owner, rarity = np.concatenate(tokens), np.concatenate(owners), np.concatenate(rarities)
         order = np.lexsort((token, rarity, owner))
         token, owner, rarity = token[order], owner[order], rarity[order]
+        fresh = np.ones(len(token), bool)  # a common shingle comes once from each batch that has its node
+        fresh[1:] = (token[1:] != token[:-1]) | (owner[1:] != owner[:-1])
+        token, owner, rarity = token[fresh], owner[fresh], rarity[fresh]
         cuts = _runs(owner)
         for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
             n, known = sizes[int(owner[lo])], hi - lo
@@ -261,83 +317,126 @@ def _post(buckets: int):
     return post
 
 
-def _pairs(buckets: int, star: int | None):
+PAIRS = "bucket int, part int, payload binary"
+#: Parts of what pairing makes: pairs with their matches, and pairs of blocks of a long list, still to be paired.
+FOUND, BLOCKS = 0, 1
+_LIST = ("<i8", "<i8", "<u4", "<u4", "<u4")  # digest, label, size, known, level
+
+
+class _Finder:
+    """Candidate pairs of nodes, each once with its matches, held up to a bound and handed out packed by the second node's bucket."""
+
+    def __init__(self, buckets: int, ordered: bool):
+        self.buckets, self.ordered, self.found, self.held = buckets, ordered, [], 0
+
+    def add(self, one, other) -> None:
+        """one, other: columns of _LIST, row by row a pair."""
+        lo, hi = np.minimum(one[2], other[2]).astype(np.int64), np.maximum(one[2], other[2]).astype(np.int64)
+        most = np.minimum(np.minimum(one[3], other[3]), lo)
+        ok = np.flatnonzero((one[1] != other[1]) & (UNDER * lo >= OVER * hi) & (UNDER * most >= OVER * (lo + hi - most)))
+        if len(ok):
+            a, b = one[0][ok], other[0][ok]
+            swap = a > b if self.ordered else np.zeros(len(ok), bool)
+            self.found.append((np.where(swap, b, a), np.where(swap, a, b), np.ones(len(ok), np.int64), np.minimum(one[4][ok], other[4][ok])))
+            self.held += len(ok)
+
+    def packed(self, least: int = 0) -> pd.DataFrame | None:
+        """What is held, once it is more than least pairs."""
+        if self.held <= least:
+            return None
+        a, b, n, need = (np.concatenate([f[k] for f in self.found]) for k in range(4))
+        order = np.lexsort((b, a))
+        a, b, n, need = a[order], b[order], n[order], need[order]
+        edge = np.ones(len(a), bool)
+        edge[1:] = (a[1:] != a[:-1]) | (b[1:] != b[:-1])
+        at = np.flatnonzero(edge)
+        a, b, n, need = a[at], b[at], np.add.reduceat(n, at), need[at]
+        if len(a) <= least // 2:  # mostly repeats: hold on
+            self.found, self.held = [(a, b, n, need)], len(a)
+            return None
+        self.found, self.held, rows = [], 0, []
+        place = bucket_of(b.view(np.uint64), self.buckets)
+        order = np.argsort(place, kind="stable")
+        a, b, n, need, place = a[order], b[order], n[order], need[order], place[order]
+        ends = _runs(place)
+        for lo, hi in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True):
+            rows.append((int(place[lo]), FOUND, _pack(a[lo:hi], b[lo:hi], n[lo:hi].astype("<u4"), need[lo:hi].astype("<u4"))))
+        return pd.DataFrame(rows, columns=["bucket", "part", "payload"])
+
+
+def _some_pairs(finder: _Finder, one: list, other: list | None, held: int):
+    """All pairs of two blocks, or within one, some rows of their table at a time."""
+    n, m = len(one[0]), len((other or one)[0])
+    step = max(1, 1_000_000 // max(m, 1))
+    for at in range(0, n, step):
+        if other is None:
+            i, j = np.triu_indices(min(step, n - at), 1, n - at)
+            i, j = i + at, j + at
+        else:
+            i, j = np.repeat(np.arange(at, min(at + step, n)), m), np.tile(np.arange(m), min(step, n - at))
+        finder.add([c[i] for c in one], [c[j] for c in other or one])
+        if (out := finder.packed(held)) is not None:
+            yield out
+
+
+def _pairs(buckets: int, star: int | None, list_nodes: int = LIST_NODES, held: int = HELD_PAIRS):
     """Of one bucket's lists: candidate pairs of different components with their matches, by the second node's bucket.
 
-    star: the rank of the list's fullest nodes that is paired with all others; None: all pairs.
+    star: the rank of the list's fullest nodes that is paired with all others; None: all pairs. Lists of more than list_nodes are
+    then cut into blocks, and each pair of blocks is a row of its own.
     """
 
-    def pairs(pdf: pd.DataFrame) -> pd.DataFrame:
-        token, digest, label, size, known, level = _gathered(pdf["payload"], "<u8", "<i8", "<i8", "<u4", "<u4", "<u4")
-        size, known, level = size.astype(np.int64), known.astype(np.int64), level.astype(np.int64)
+    def pairs(pdfs: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        token, digest, label, size, known, level = _gathered([p for pdf in pdfs for p in pdf["payload"]], "<u8", *_LIST)
+        size, known = size.astype(np.int64), known.astype(np.int64)
         # the fullest nodes of a list come first: those with the least share of shingles of their own, then by digest
         share = (known << 20) // np.maximum(size, 1)
         order = np.lexsort((digest, -share, token))
-        token, digest, label, size, known, level = (a[order] for a in (token, digest, label, size, known, level))
-        cuts = _runs(token)
+        token = token[order]
+        columns = [c[order] for c in (digest, label, size, known, level)]
+        cuts, finder = _runs(token), _Finder(buckets, star is None)
         lengths = np.diff(cuts)
-        found: list[tuple] = []
-        held = 0
-
-        def fit(i, j):
-            lo, hi = np.minimum(size[i], size[j]), np.maximum(size[i], size[j])
-            most = np.minimum(np.minimum(known[i], known[j]), lo)
-            return (label[i] != label[j]) & (UNDER * lo >= OVER * hi) & (UNDER * most >= OVER * (lo + hi - most))
-
-        def settle():
-            """Pairs found so far, each once with its matches."""
-            nonlocal found, held
-            if len(found) < 1 or (len(found) == 1 and found[0][2] is not None):
-                return
-            a = np.concatenate([f[0] for f in found])
-            b = np.concatenate([f[1] for f in found])
-            n = np.concatenate([np.ones(len(f[0]), np.int64) if f[2] is None else f[2] for f in found])
-            need = np.concatenate([f[3] for f in found])
-            order = np.lexsort((b, a))
-            a, b, n, need = a[order], b[order], n[order], need[order]
-            edge = np.ones(len(a), bool)
-            edge[1:] = (a[1:] != a[:-1]) | (b[1:] != b[:-1])
-            at = np.flatnonzero(edge)
-            found, held = [(a[at], b[at], np.add.reduceat(n, at) if len(at) else n, need[at])], len(at)
-
-        def add(i, j):
-            nonlocal held
-            ok = fit(i, j)
-            i, j = i[ok], j[ok]
-            if not len(i):
-                return
-            swap = digest[i] > digest[j] if star is None else np.zeros(len(i), bool)
-            found.append((np.where(swap, digest[j], digest[i]), np.where(swap, digest[i], digest[j]), None, np.minimum(level[i], level[j])))
-            held += len(i)
-            if held > 4_000_000:
-                settle()
-
         if star is not None:
-            ok = lengths > star + (star == 0)
             head = np.repeat(cuts[:-1] + star, lengths)
-            every = np.arange(len(token))
-            use = np.repeat(ok, lengths) & (head != every)
-            add(head[use], every[use])
+            use = np.flatnonzero(np.repeat(lengths > star + (star == 0), lengths) & (head != np.arange(len(token))))
+            for at in range(0, len(use), 1_000_000):
+                part = use[at : at + 1_000_000]
+                finder.add([c[head[part]] for c in columns], [c[part] for c in columns])
+                if (out := finder.packed(held)) is not None:
+                    yield out
         else:
             for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
-                if hi - lo < 2 or (label[lo:hi] == label[lo]).all():
+                mine = [c[lo:hi] for c in columns]
+                if hi - lo < 2 or (mine[1] == mine[1][0]).all():
                     continue
-                step = max(1, 1_000_000 // (hi - lo))
-                for at in range(lo, hi, step):  # a list's pairs, some rows of its triangle at a time
-                    i, j = np.triu_indices(min(step, hi - at), 1, hi - at)
-                    add(i + at, j + at)
-        settle()
-        rows = []
-        for a, b, n, need in found:
-            if n is None:
-                n = np.ones(len(a), np.int64)
-            place = bucket_of(b.view(np.uint64), buckets)
-            order = np.argsort(place, kind="stable")
-            a, b, n, need, place = a[order], b[order], n[order], need[order], place[order]
-            ends = _runs(place)
-            for lo, hi in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True):
-                rows.append((int(place[lo]), _pack(a[lo:hi], b[lo:hi], n[lo:hi].astype("<u4"), need[lo:hi].astype("<u4"))))
-        return pd.DataFrame(rows, columns=["bucket", "payload"])
+                if hi - lo <= list_nodes:
+                    yield from _some_pairs(finder, mine, None, held)
+                    continue
+                wide = max(list_nodes, -(-(hi - lo) // MOST_BLOCKS))
+                blocks = [[c[at : at + wide].astype(t) for c, t in zip(mine, _LIST, strict=True)] for at in range(0, hi - lo, wide)]
+                for x, one in enumerate(blocks):
+                    rows = []
+                    for y in range(x, len(blocks)):
+                        other = blocks[y] if y > x else [c[:0] for c in one]
+                        rows.append((int((int(token[lo]) * 31 + x * MOST_BLOCKS + y) % 0x7FFFFFFF), BLOCKS, _pack(*one, *other)))
+                    yield pd.DataFrame(rows, columns=["bucket", "part", "payload"])
+        if (out := finder.packed()) is not None:
+            yield out
+
+    return pairs
+
+
+def _block_pairs(buckets: int, held: int = HELD_PAIRS):
+    """Candidate pairs of pairs of blocks: each row by itself."""
+
+    def pairs(batches):
+        for pdf in batches:
+            finder = _Finder(buckets, True)
+            for p in pdf["payload"]:
+                got = _unpack(p, *_LIST, *_LIST)
+                yield from _some_pairs(finder, got[:5], got[5:] if len(got[5]) else None, held)
+            if (out := finder.packed()) is not None:
+                yield out
 
     return pairs
 
@@ -383,11 +482,12 @@ def _verify(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame(out, columns=["u", "v"], dtype="int64")
 
 
-def link_classes(docs: DataFrame, star_rounds: int = STAR_ROUNDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_shingles, component_id of every row."""
+def link_classes(docs: DataFrame, star_rounds: int = STAR_ROUNDS, id_col: str = "doc_id", text_col: str = "text", list_nodes: int = LIST_NODES, hot: int | None = None, held: int = HELD_PAIRS) -> DataFrame:
+    """doc_id, n_shingles, component_id of every row. list_nodes: nodes of a prefix list from which it is paired block by block. held:
+    pairs that a task holds before it hands them on. hot: texts of a batch from which a shingle is common in it, whatever its share (None: by the number of batches)."""
     src = docs.select(*common.id_and_gone(id_col), common.whole_text(docs, text_col).alias("text"))
     buckets = min(common.task_count(src, LEAST_BUCKETS, BUCKET_BYTES), MOST_BUCKETS)
-    sent = src.mapInPandas(_deal(buckets), SENT)
+    sent = src.mapInPandas(_deal(buckets, max(HOT_LEAST, HOT_ENTRIES // common.task_count(src)) if hot is None else hot), SENT)
     counted = sent.groupBy("bucket").applyInPandas(_count(buckets), SENT)
     told = common.keep(counted.groupBy("bucket").applyInPandas(_nodes, NODES), "nodes")
     rows = told.where("kind = 0").select(F.when(~F.col("gone"), F.col("doc_id")).alias("doc_id"), "digest", "size")
@@ -398,7 +498,14 @@ def link_classes(docs: DataFrame, star_rounds: int = STAR_ROUNDS, id_col: str =
     parts = max(LEAST_BUCKETS, math.ceil(common.input_bytes(nodes) / BUCKET_BYTES))
     for star in [*range(star_rounds), None]:
         posted = nodes.join(labels, "digest").mapInPandas(_post(parts), "bucket int, payload binary")
-        pairs = posted.groupBy("bucket").applyInPandas(_pairs(parts, star), "bucket int, payload binary")
+        pairs = posted.groupBy("bucket").applyInPandas(_pairs(parts, star, list_nodes, held), PAIRS)
+        if star is None:
+            pairs = common.keep(pairs, "blocks")  # what each list's task makes, before the blocks are dealt out
+            blocks = pairs.where(F.col("part") == BLOCKS)
+            pairs = pairs.where(F.col("part") == FOUND)
+            if not blocks.isEmpty():
+                tasks = max(LEAST_BUCKETS, math.ceil(common.input_bytes(pairs) / BUCKET_BYTES))
+                pairs = pairs.unionByName(blocks.repartition(tasks, "bucket").mapInPandas(_block_pairs(parts, held), PAIRS))
         wanted = common.keep(pairs.groupBy("bucket").applyInPandas(_wanted(star is not None), "bucket int, digest long, pairs binary"), "pairs")
         if wanted.isEmpty():
             if star is None:
@@ -419,10 +526,12 @@ def link_classes(docs: DataFrame, star_rounds: int = STAR_ROUNDS, id_col: str =
 def one_of_each_class(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs with one row of each class, that of the least id. Rows without an id cannot be named by a class, and stay."""
     classes = link_classes(docs, id_col=id_col, text_col=text_col)
-    stay = classes.where("doc_id = component_id").select(F.col("doc_id").alias("_stays")).distinct()
-    kept = docs.where(F.col(id_col).isNotNull()).join(stay, F.col(id_col).cast("long") == F.col("_stays"), "left_semi")
+    stays, n = common.fresh(docs, "stays", "n")
+    stay = classes.where("doc_id = component_id").select(F.col("doc_id").alias(stays)).distinct()
+    kept = docs.where(F.col(id_col).isNotNull()).join(stay, F.col(id_col).cast("long") == F.col(stays), "left_semi")
+    # rows equal in id and text stand for one another; other texts of the same id are classes of their own
     order = Window.partitionBy(id_col, F.xxhash64(text_col)).orderBy(F.lit(0))
-    once = kept.withColumn("_n", F.row_number().over(order)).where("_n = 1").drop("_n")
+    once = kept.withColumn(n, F.row_number().over(order)).where(F.col(n) == 1).drop(n)
     return once.unionByName(docs.where(F.col(id_col).isNull()))
 
 

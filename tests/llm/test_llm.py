@@ -79,17 +79,60 @@ def test_secret_ownership(spark, awkward, empty):
     assert freq[3] == 3 and freq[1] == 1
     assert secrets.detect(empty).count() == 0
     assert secrets.detect(awkward).count() == awkward.count()
-    clash = docs.withColumnRenamed("text", "t").withColumn("h", F.lit(1)).withColumn("owner", F.lit(2)).withColumn("row_key", F.lit(3))
+    clash = docs.withColumnRenamed("text", "t").withColumn("h", F.lit(1)).withColumn("owner", F.lit(2)).withColumn("row", F.lit(3))
     assert secrets.detect(clash, text_col="t").count() == 6
 
 
+def brute_ownership(rows):
+    """rows (id, text, owner): the whole spans string of each row, by plain loops."""
+    held = []
+    for _, t, _o in rows:
+        t = t or ""
+        base = brute_secrets(t)
+        values = []
+        for m in re.finditer(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", t, re.I | re.A):
+            values += [m.span(2)] if len(m[2]) >= 6 else []
+        values += [(s, e) for s, k, e in base if k]
+        one = [v for v in set(values) if not any(w != v and w[0] < v[1] and v[0] < w[1] and (w[0], -w[1]) < (v[0], -v[1]) for w in values)]
+        one += [m.span() for m in re.finditer("[A-Za-z0-9+/_=-]{20,}", t) if re.search("[0-9]", m[0]) and re.search("[A-Za-z]", m[0]) and not any(m.start() < e and s < m.end() for s, e in values)]
+        held.append((t, base, one))
+    owners, repos = defaultdict(set), defaultdict(set)
+    for (_, _, o), (t, _, one) in zip(rows, held, strict=True):
+        for s, e in one:
+            owners[t[s:e]].add(o)
+            repos[t[s:e]].add((o, t))
+    out = []
+    for (i, _, _), (t, base, one) in zip(rows, held, strict=True):
+        spans = list(base)
+        for s, e in one:
+            n = len(owners[t[s:e]])
+            spans.append((s, 4 if n >= 3 else 3 if n == 1 and secrets.entropy(t[s:e]) >= 2.8 else 5, e))
+        names = ("assign", "access", "hex", "live", "example", "unsure")
+        out.append((i, ",".join(f"{names[k]}:{s}:{e}" for s, k, e in sorted(spans)), max([len(repos[t[s:e]]) for s, e in one], default=0)))
+    return out
+
+
+def test_secret_rows_against_brute_force(spark):
+    r = random.Random(8)
+    keys = ["".join(r.choice("0123456789abcdef") for _ in range(r.choice((24, 32, 40)))) for _ in range(12)] + ["AKIA" + "".join(r.choice("ABCDEFGH2345") for _ in range(16)) for _ in range(4)]
+    keys += ["".join(r.choice("abcXYZ019+/") for _ in range(26)) for _ in range(6)] + ["aaaaaaaaaaaaaaaaaaaaaaa1"]
+    put = ["token = ", "password: '", "", "api_key=", "x ", "secret="]
+    rows = []
+    for i in range(160):
+        t = " ".join(r.choice(put) + r.choice(keys[: r.choice((2, 23))]) + r.choice(("", "==", "' ", ".tail", "\n")) for _ in range(r.randint(0, 4)))
+        rows.append((i, t or None, r.choice(("a", "b", "c", "d", None))))
+    rows += rows[:5]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(4)
+    assert Counter((x["doc_id"], x["spans"], x["most_repos"]) for x in secrets.detect(docs).collect()) == Counter(brute_ownership(rows))
+
+
 def test_secrets_lose_no_candidate(spark):
     key, two, flat = "token = 9f8e7d6c5b4a39281706f5e4d3c2b1a0", "token = 00112233445566778899aabbccddeeff", "password = aaaaaaaa"
     rows = [(i, f"file {i} {key}", "a") for i in range(5)] + [(5, "file 0 " + key, "a"), (6, two, "a"), (7, two, "b"), (8, flat, "c")]
     docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
     got = {r["doc_id"]: r for r in collected(secrets.detect(docs))}
     assert all(got[i]["n_live"] == 1 for i in range(6))
-    assert all(got[i]["n_live"] == got[i]["n_example"] == 0 and ",unsure:" in got[i]["spans"] for i in (6, 7, 8))
+    assert all(got[i]["n_live"] == got[i]["n_example"] == 0 and got[i]["n_unsure"] == 1 and "unsure:" in got[i]["spans"] for i in (6, 7, 8))
     assert sorted((r["n_owners"], r["n_repos"]) for r in secrets.ownership(secrets.scan(docs)).collect()) == [(1, 1), (1, 5), (2, 2)]
 
 
@@ -140,11 +183,31 @@ def test_links_against_brute_force(spark, seed):
     assert sorted(((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got.collect()), key=repr) == brute_classes([(r[0], r[1]) for r in rows])
 
 
+@pytest.mark.parametrize(("hot", "list_nodes"), [(2, 4), (4, 1024), (1 << 30, 3)])
+def test_links_with_hot_shingles_and_long_lists(spark, hot, list_nodes):
+    """Common shingles sent past their buckets, lists in blocks, pairs handed out early: the same classes."""
+    rows = rows_of(near_copies(7, 5, 30))
+    rows += [(1000 + i, r[1], "en", "s", 1) for i, r in enumerate(rows[::7])]
+    for star_rounds in (0, 2):
+        got = jaccard.link_classes(spark.createDataFrame(rows, SCHEMA).repartition(6), star_rounds, list_nodes=list_nodes, hot=hot, held=50)
+        assert sorted(((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got.collect()), key=repr) == brute_classes([(r[0], r[1]) for r in rows])
+
+
+def test_links_of_a_very_long_text(spark):
+    words = [np.base_repr(i, 36) for i in range(1_200_000)]
+    long_ = " ".join(words)
+    rows = rows_of([long_, long_ + " tail", "a short one", " ".join(words[:1_000_000])])
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard.link_classes(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert got == {0: (1_199_996, 0), 1: (1_199_997, 0), 2: (1, 2), 3: (999_996, 0)}
+
+
 def test_links_of_awkward_rows(awkward, empty):
     rows = [(r["doc_id"], r["text"]) for r in awkward.collect()]
     got = jaccard.link_classes(awkward)
     assert sorted(((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got.collect()), key=repr) == brute_classes(rows)
     assert jaccard.link_classes(empty).count() == 0
+    clash = awkward.withColumn("_n", F.lit(5)).withColumn("_stays", F.lit(6)).withColumn("n", F.lit(7)).withColumn("stays", F.lit(8)).withColumn("digest", F.lit(9)).withColumn("bucket", F.lit(1))
+    assert jaccard.one_of_each_class(clash).columns == clash.columns and {tuple(r) for r in jaccard.one_of_each_class(clash).select("_n", "_stays", "n", "stays").collect()} == {(5, 6, 7, 8)}
     kept = jaccard.one_of_each_class(awkward)
     assert kept.where("doc_id is null").count() == 2 and kept.where("doc_id is not null").select("doc_id").distinct().count() == kept.where("doc_id is not null").count()
 
