@@ -1,7 +1,10 @@
 """Personal data by contract patterns and a semi-Markov conditional random field.
 
 The patterns give base spans. They take the longest run and give up where it fails (two card numbers side by side, a phone number
-before an address): there the field decides. It works on windows around digits and at signs, over segments of up to ``REACH`` tokens.
+before an address), and they know one way of writing each kind only: there the field decides. It finds addresses that are spelled out
+or spaced, numeric addresses that are defanged or of version 6, and phone numbers without a plus sign. It works on windows: runs of
+words around digits and at signs; a window is found and cut into tokens in time that grows with its length, and a segment has up to
+``REACH`` tokens, so long unbroken runs cost no more than others.
 A segment of a type is scored by features of the whole span (checksum, parts, groups, neighbours); dynamic programming chooses
 boundaries and types of a window jointly, any other token being a segment of its own. Weights are fitted by conditional likelihood
 on windows made from a seeded grammar. Spans that the field finds and that touch no base span of their kind are added.
@@ -16,6 +19,7 @@ import hashlib
 import math
 import random
 import re
+from bisect import bisect_left, bisect_right
 from functools import lru_cache
 
 import numpy as np
@@ -79,16 +83,52 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
 # --- the field ---
 
 #: Tokens that a segment has at most.
-REACH = 24
-WINDOW = re.compile(r"[^\s]*[0-9@][^\s]*(?:[ ]{1,2}[^\s]*[0-9@][^\s]*)*|[A-Za-z0-9._%+-]+ ?[(\[] ?at ?[)\]] ?[^\s]+(?: ?[(\[] ?dot ?[)\]] ?[^\s]+)*")
+REACH = 40
 TOKEN = re.compile(r"[A-Za-z]+|[0-9]+|\s+|.", re.S)
 _AT, _DOT = r"(?: ?@ ?| ?[(\[] ?at ?[)\]] ?)", r"(?:\.| ?[(\[] ?dot ?[)\]] ?)"
+_HEX = "[0-9A-Fa-f]{1,4}"
 FORMS = (
-    re.compile(rf"[A-Za-z0-9._%+-]+{_AT}[A-Za-z0-9-]+(?:{_DOT}[A-Za-z0-9-]+)+"),
-    re.compile(r"[0-9]{1,3}(?:\.[0-9]{1,3}){3}"),
+    re.compile(rf"[A-Za-z0-9._%+-]++{_AT}[A-Za-z0-9-]+(?:{_DOT}[A-Za-z0-9-]+)+"),
+    re.compile(rf"[0-9]{{1,3}}(?:(?:\.|\[\.\]|\(\.\)| ?[\[(]dot[)\]] ?)[0-9]{{1,3}}){{3}}|(?:{_HEX}:){{7}}{_HEX}|(?:{_HEX}:){{1,6}}(?::{_HEX}){{1,6}}"),
     re.compile(r"[0-9](?:[\x20-]?[0-9]){11,18}"),
-    re.compile(r"(?:\+|00)?[\x20]?\(?[0-9][0-9()\x20.-]{6,}[0-9]"),
+    re.compile(r"(?:\+|00)?[\x20]?\(?[0-9][0-9()\x20.-]{6,24}[0-9]"),
 )
+#: Signs that a span of each form has at most.
+LONGEST = (1 << 30, 48, 40, 32)
+_TO_END = re.compile(r"\S*")
+_OTHER_SPACE = re.compile(r"\s")
+_SPELLED = re.compile(r"[(\[] ?at ?[)\]] ?\S*(?: ?[(\[] ?dot ?[)\]] ?\S+)*")
+_SPACED = re.compile(r"@ ?\S*")
+
+
+def _word_start(text: str, floor: int, at: int) -> int:
+    """Where the word that reaches up to at begins, not before floor."""
+    start = max(floor, 1 + max(text.rfind(c, floor, at) for c in " \n\t"))
+    for m in _OTHER_SPACE.finditer(text, start, at):
+        start = m.end()
+    return start
+
+
+def windows(text: str) -> list[tuple[int, int]]:
+    """Words with digits or at signs, those that stand side by side as one window; a spaced or spelled at sign takes in the words beside it."""
+    out: list[tuple[int, int]] = []
+    m, floor = ANY.search(text), 0
+    while m:
+        at, before = m.start(), m.start()
+        spelled, spaced = text[at] in "([", text[at] == "@" and (text[at - 1 : at] == " " or text[at + 1 : at + 2] == " ")
+        if (spelled or spaced) and before > floor and text[before - 1] == " ":
+            before -= 1
+        start = _word_start(text, floor, before)
+        end = (_SPELLED if spelled else _SPACED if spaced else _TO_END).match(text, at).end()
+        if out and start - floor <= 2 and not text[floor:start].strip(" "):
+            out[-1] = (out[-1][0], end)
+        else:
+            out.append((start, end))
+        floor = end
+        m = ANY.search(text, end)
+    return out
+
+
 CUES = (
     re.compile(r"(?:mail|contact|write)[^A-Za-z]*$", re.I), re.compile(r"(?:ip|host|server|addr\w*)[^A-Za-z]*$", re.I),
     re.compile(r"(?:card|visa|account|credit)[^A-Za-z]*$", re.I), re.compile(r"(?:tel|phone|call|fax|mobile)[^A-Za-z]*$", re.I),
@@ -114,9 +154,14 @@ def span_features(text: str, start: int, end: int, kind: int) -> np.ndarray:
         f[7] = "@" in s
         f[8] = " " in s
     elif kind == 1:
-        parts = s.split(".")
-        f[6] = all(int(x) <= 255 for x in parts)
-        f[7] = any(len(x) > 1 and x[0] == "0" for x in parts)
+        parts, six = re.findall("[0-9]+", s), ":" in s
+        f[6] = not six and all(int(x) <= 255 for x in parts)
+        f[7] = not six and any(len(x) > 1 and x[0] == "0" for x in parts)
+        f[8] = six
+        f[9] = six and s.count(":") > 2 and len(parts) > 1
+        f[10] = "[" in s or "(" in s
+        f[11] = s.count(":") == 7
+        f[12] = before == ":" or after == ":" and text[end + 1 : end + 2].isalnum()
     elif kind == 2:
         groups = re.split("[ -]", s)
         f[6] = luhn(d)
@@ -146,13 +191,16 @@ def candidates(text: str, start: int, end: int) -> tuple[list[int], list[tuple[i
         if c.isspace():
             continue
         digit = "0" <= c <= "9"
-        kinds = ([0] if c.isascii() and c.isalnum() or c in "._%+-" else []) + ([1, 2] if digit else []) + ([3] if digit or c in "+(" else [])
+        kinds = ([0] if c.isascii() and c.isalnum() or c in "._%+-" else []) + ([1] if digit or c in "abcdefABCDEF" else []) + ([2] if digit else []) + ([3] if digit or c in "+(" else [])
         for kind in kinds:
             if kind == 0 and i and text[bounds[i] - 1] in _LOCAL:
                 continue  # an address begins where its run does
             if not FORMS[kind].match(text, bounds[i], end):
                 continue
+            most = bounds[i] + LONGEST[kind]
             for j in range(i + 1, min(n, i + REACH) + 1):
+                if bounds[j] > most:
+                    break
                 if FORMS[kind].fullmatch(text, bounds[i], bounds[j]):
                     out.append((i, j, kind, span_features(text, bounds[i], bounds[j], kind)))
     return bounds, out
@@ -220,12 +268,16 @@ def _sample(r: random.Random) -> tuple[str, list[tuple[int, int, int]]]:
         return f"{word()}{r.choice(('', '.', '_'))}{num(r.randint(0, 2))}{at}{word()}{dot}{r.choice(('com', 'org', 'net', 'de'))}"
 
     def ip():
-        return ".".join(str(r.randint(0, 255)) for _ in range(4))
+        if r.random() < 0.3:
+            group = lambda: f"{r.randrange(1 << 16):x}"
+            left, right = r.randint(1, 4), r.randint(1, 3)
+            return ":".join(group() for _ in range(8)) if r.random() < 0.5 else ":".join([*(group() for _ in range(left + 1)), "", *(group() for _ in range(right))])
+        return r.choice((".", ".", ".", "[.]", "(.)", "[dot]")).join(str(r.randint(0, 255)) for _ in range(4))
 
     def wrong():
         bad = num(r.choice((12, 13, 15, 16)))
         bad = bad if not luhn(bad) else bad[:-1] + str((int(bad[-1]) + 1) % 10)
-        return r.choice((bad, bad, ".".join(str(r.randint(200, 999)) for _ in range(4)) + ".1", f"{num(4)}-{num(2)}-{num(2)}", f"{num(1)}.{num(1)}.", num(r.randint(1, 9)), "".join(r.choice("0123456789abcdef") for _ in range(40)), f"v{num(1)}.{num(2)}.{num(3)}", f"{num(2)}:{num(2)}:{num(2)} {num(4)}", f"{word()}@{word()}", f"{num(3)} {num(3)} {num(3)} {num(3)} {num(3)} {num(2)}", f"{num(10)}"))
+        return r.choice((bad, bad, ".".join(str(r.randint(200, 999)) for _ in range(4)) + ".1", f"{num(4)}-{num(2)}-{num(2)}", f"{num(1)}.{num(1)}.", num(r.randint(1, 9)), "".join(r.choice("0123456789abcdef") for _ in range(40)), f"v{num(1)}.{num(2)}.{num(3)}", f"{num(2)}:{num(2)}:{num(2)} {num(4)}", f"{word()}@{word()}", f"{num(2)}:{num(2)}:{num(2)}", f"{word()}::{word()}{num(1)}", f"{r.choice('abcdef')}::{r.choice('abcdef')}{num(1)}", f"{num(1)}.{num(1)}.{num(1)}", f"{num(3)} {num(3)} {num(3)} {num(3)} {num(3)} {num(2)}", f"{num(10)}"))
 
     text, spans = "", []
     for _ in range(r.randint(1, 4)):
@@ -240,14 +292,14 @@ def _sample(r: random.Random) -> tuple[str, list[tuple[int, int, int]]]:
 
 
 @lru_cache(maxsize=1)
-def fitted(windows: int = 500, rounds: int = 40, seed: int = 11) -> np.ndarray:
+def fitted(samples: int = 700, rounds: int = 40, seed: int = 11) -> np.ndarray:
     """Weights by kind: gradient ascent on the conditional likelihood, with per-weight steps and a ridge."""
     r = random.Random(seed)
     data = []
-    for _ in range(windows):
+    for _ in range(samples):
         text, spans = _sample(r)
-        for m in WINDOW.finditer(text):
-            bounds, segments = candidates(text, *m.span())
+        for window in windows(text):
+            bounds, segments = candidates(text, *window)
             true = {(s, e, k) for s, e, k in spans}
             gold = np.array([(bounds[i], bounds[j], k) in true for i, j, k, _ in segments], float)
             if segments:
@@ -267,8 +319,8 @@ def fitted(windows: int = 500, rounds: int = 40, seed: int = 11) -> np.ndarray:
 def field_spans(text: str, weights: np.ndarray) -> list[tuple[int, int, int]]:
     """(start, kind, end) that the field chooses."""
     out = []
-    for m in WINDOW.finditer(text):
-        bounds, segments = candidates(text, *m.span())
+    for window in windows(text):
+        bounds, segments = candidates(text, *window)
         if segments:
             out += [(bounds[i], k, bounds[j]) for i, j, k in best_segments(len(bounds) - 1, segments, weights)]
     return out
@@ -279,8 +331,10 @@ def all_spans(text: str, weights: np.ndarray) -> tuple[list, list]:
     if not ANY.search(text):
         return [], []
     base = base_spans(text)
-    taken = {k: [(s, e) for s, kk, e in base if kk == k] for k in range(len(KINDS))}
-    added = [(s, k, e) for s, k, e in field_spans(text, weights) if not any(a < e and s < b for a, b in taken[k])]
+    starts = {k: [s for s, kk, _ in base if kk == k] for k in range(len(KINDS))}
+    ends = {k: [e for _, kk, e in base if kk == k] for k in range(len(KINDS))}
+    # spans of one kind don't overlap: those that begin before e and those that end by s are as many if none touches
+    added = [(s, k, e) for s, k, e in field_spans(text, weights) if bisect_left(starts[k], e) == bisect_right(ends[k], s)]
     return base, sorted(base + added)
 
 
@@ -288,7 +342,8 @@ def joined(spans) -> str:
     return ",".join(f"{KINDS[k]}:{s}:{e}" for s, k, e in spans)
 
 
-RESULT = "n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long"
+#: n_spans: all spans; n_added: those of the field alone, and by kind.
+RESULT = "n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_spans long, n_added long, added_email long, added_ip long, added_card long, added_phone long"
 
 
 def detect(docs: DataFrame, weights: np.ndarray | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -300,10 +355,13 @@ def detect(docs: DataFrame, weights: np.ndarray | None = None, id_col: str = "do
         rows = []
         for text in texts:
             base, spans = all_spans(text, w)
-            counts = [0] * len(KINDS)
+            counts, added = [0] * len(KINDS), [0] * len(KINDS)
             for _, k, _ in base:
                 counts[k] += 1
-            rows.append((*counts, hashlib.sha256(joined(base).encode()).hexdigest(), joined(spans), len(spans) - len(base)))
+            for _, k, _ in spans:
+                added[k] += 1
+            added = [x - y for x, y in zip(added, counts, strict=True)]
+            rows.append((*counts, hashlib.sha256(joined(base).encode()).hexdigest(), joined(spans), len(spans), sum(added), *added))
         return pd.DataFrame(rows, columns=[x.split()[0] for x in RESULT.split(", ")])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), scan(common.whole_text(docs, text_col)).alias("found")).select("doc_id", "found.*")

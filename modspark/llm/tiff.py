@@ -1,12 +1,16 @@
 """TIFF columns: a writer for grey pages and a reader that yields one row per page.
 
 The reader walks the chain of image directories in either byte order, decodes strips and tiles that are stored plainly or
-with PackBits, LZW or deflate, and undoes horizontal differencing. The writer stores bytes as 8-bit grey samples, 64 to a row,
-over as many pages as the length needs.
-
-Defined results: null bytes give no page; a file that isn't a TIFF, is cut short, or has a loop in its chain gives one row with
-``error`` set and no samples for the page concerned; a payload of any length is stored whole; rows with the same id stay
-apart (each input row's pages follow one another); an empty table gives an empty result.
+with PackBits, LZW or deflate, and undoes horizontal differencing. It knows samples of 1, 2, 4 (one to a byte in the result), 8, 16
+and 32 bits, interleaved or in planes. The writer stores bytes as 8-bit grey samples, 64 to a row, over as many pages as
+the length needs; ``varied`` picks coding, predictor, strips or tiles and byte order by the payload's checksum, so that all of
+them are in use, and equal payloads are stored alike.
+
+Defined results: null bytes give no page; a file that isn't a TIFF, is cut short, has a loop in its chain, or whose tags are missing,
+zero or claim more samples than its blocks can hold, gives a row with ``error`` set and no samples for the page concerned (the claims are
+checked before anything is allocated); a payload of any length is stored whole; rows with the same id stay apart (each input row's pages
+follow one another); kept columns may have any names, those of the result included, which then come once, as the kept ones, with
+the page's columns named with a trailing ``_``; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -24,13 +28,15 @@ from . import common
 
 #: Tag numbers and codes of the format.
 WIDTH, HEIGHT, BITS, COMPRESSION, PHOTOMETRIC, STRIP_OFFSETS, SAMPLES, ROWS_PER_STRIP, STRIP_COUNTS = 256, 257, 258, 259, 262, 273, 277, 278, 279
-PREDICTOR, TILE_WIDTH, TILE_HEIGHT, TILE_OFFSETS, TILE_COUNTS, SAMPLE_FORMAT = 317, 322, 323, 324, 325, 339
+PLANAR, PREDICTOR, TILE_WIDTH, TILE_HEIGHT, TILE_OFFSETS, TILE_COUNTS, SAMPLE_FORMAT = 284, 317, 322, 323, 324, 325, 339
 PLAIN, LZW, DEFLATE, OLD_DEFLATE, PACKBITS = 1, 5, 8, 32946, 32773
 TYPE_BYTES = {1: 1, 2: 1, 3: 2, 4: 4, 5: 8, 6: 1, 7: 1, 8: 2, 9: 4, 10: 8, 11: 4, 12: 8}
 TYPE_CODES = {1: "B", 3: "H", 4: "I", 6: "b", 8: "h", 9: "i"}
 
 #: Samples in a row, and rows on a page, of files that write() makes.
 ROW, PAGE_ROWS, STRIP_ROWS = 64, 1 << 15, 1 << 12
+#: Bytes that a page may decode to, and that one stored byte can stand for at most (LZW's limit; deflate's is 1032).
+MOST_PAGE_BYTES, MOST_GROWTH = 1 << 30, 2600
 
 
 def unpack_bits(data: bytes) -> bytes:
@@ -132,11 +138,12 @@ def pack_lzw(data: bytes) -> bytes:
     return bytes(out)
 
 
-def _expand(data: bytes, how: int) -> bytes:
+def _expand(data: bytes, how: int, need: int) -> bytes:
+    """The block's bytes; of deflate no more than needed are made."""
     if how == PLAIN:
         return data
     if how in (DEFLATE, OLD_DEFLATE):
-        return zlib.decompress(data)
+        return zlib.decompressobj().decompress(data, need)
     if how == PACKBITS:
         return unpack_bits(data)
     if how == LZW:
@@ -192,6 +199,16 @@ def write(payload: bytes, compression: int = DEFLATE, predictor: int = 1, tile:
     return bytes(out)
 
 
+#: Codings, predictors, blocks and byte orders that varied() picks from.
+VARIETY = [(how, predictor, tile, order) for how in (DEFLATE, PACKBITS, LZW, PLAIN) for predictor in (1, 2) for tile in (None, (16, 64)) for order in "<>"]
+
+
+def varied(payload: bytes) -> bytes:
+    """payload as a TIFF whose coding is picked by its checksum."""
+    how, predictor, tile, order = VARIETY[zlib.crc32(payload) % len(VARIETY)]
+    return write(payload, how, predictor, tile, order)
+
+
 def _tags(data: bytes, at: int, order: str) -> tuple[dict[int, tuple], int]:
     (n,) = struct.unpack_from(order + "H", data, at)
     found = {}
@@ -208,26 +225,45 @@ def _tags(data: bytes, at: int, order: str) -> tuple[dict[int, tuple], int]:
 def _page(data: bytes, tags: dict[int, tuple], order: str) -> tuple[int, int, int, int, np.ndarray]:
     one = lambda tag, default: tags.get(tag, (default,))[0]
     wide, high, per = tags[WIDTH][0], tags[HEIGHT][0], one(SAMPLES, 1)
-    bits, how, predictor = one(BITS, 1), one(COMPRESSION, PLAIN), one(PREDICTOR, 1)
-    if bits not in (8, 16, 32) or predictor not in (1, 2) or one(284, 1) != 1:
+    bits, how, predictor, planar = one(BITS, 1), one(COMPRESSION, PLAIN), one(PREDICTOR, 1), one(PLANAR, 1) == 2
+    if bits not in (1, 2, 4, 8, 16, 32) or predictor not in (1, 2) or (predictor == 2 and bits < 8) or len(set(tags.get(BITS, (1,)))) > 1:
         raise ValueError(f"{bits} bits, predictor {predictor}")
-    kind = np.dtype(f"{order}u{bits // 8}")
     tiled = TILE_OFFSETS in tags
     bw, bh = (tags[TILE_WIDTH][0], tags[TILE_HEIGHT][0]) if tiled else (wide, min(one(ROWS_PER_STRIP, high), high))
+    if min(wide, high, per, bw, bh) <= 0:
+        raise ValueError("a size of zero")
     places, counts = (tags[TILE_OFFSETS], tags[TILE_COUNTS]) if tiled else (tags[STRIP_OFFSETS], tags[STRIP_COUNTS])
+    kind = np.dtype(f"{order}u{max(bits // 8, 1)}")
+    within = 1 if planar else per  # samples of a pixel that stand together
+    line = -(-bw * within * bits // 8)  # bytes of a block's row
+    across, down = -(-wide // bw), -(-high // bh)
+    each = across * down
+    if len(places) != len(counts) or len(places) < each * (per if planar else 1):
+        raise ValueError("blocks are missing")
+    if any(place + count > len(data) for place, count in zip(places, counts, strict=True)):
+        raise ValueError("cut short")
+    claimed, stored = high * wide * per * kind.itemsize, sum(counts)
+    if claimed > MOST_PAGE_BYTES or down * bh * across * line > (stored + 64) * (1 if how == PLAIN else MOST_GROWTH) + bh * line * across:
+        raise ValueError(f"{claimed} bytes of samples claimed by {stored} stored ones")
     out = np.empty((high, wide, per), kind)
-    across = -(-wide // bw)
-    for k, (place, count) in enumerate(zip(places, counts, strict=True)):
-        y, x = k // across * bh, k % across * bw
+    for k in range(each * (per if planar else 1)):
+        plane, at = divmod(k, each)
+        y, x = at // across * bh, at % across * bw
         rows = bh if tiled else min(bh, high - y)
-        if place + count > len(data):
-            raise ValueError("cut short")
-        block = np.frombuffer(_expand(data[place : place + count], how), kind, rows * bw * per).reshape(rows, bw, per)
+        raw = _expand(data[places[k] : places[k] + counts[k]], how, rows * line)
+        if bits < 8:
+            packed = np.frombuffer(raw, np.uint8, rows * line).reshape(rows, line)
+            single = np.unpackbits(packed, axis=1).reshape(rows, -1, bits)
+            block = (single @ (1 << np.arange(bits - 1, -1, -1, dtype=np.uint8))).astype(np.uint8)[:, : bw * within].reshape(rows, bw, within)
+        else:
+            block = np.frombuffer(raw, kind, rows * bw * within).reshape(rows, bw, within)
         if predictor == 2:
             block = np.cumsum(block, axis=1, dtype=kind.newbyteorder("="))
-        out[y : y + rows, x : x + bw] = block[: high - y, : wide - x]
-    if len(places) < across * -(-high // bh):
-        raise ValueError("blocks are missing")
+        part = block[: high - y, : wide - x]
+        if planar:
+            out[y : y + rows, x : x + bw, plane : plane + 1] = part
+        else:
+            out[y : y + rows, x : x + bw] = part
     return wide, high, per, bits, out
 
 
@@ -251,13 +287,13 @@ def read(data: bytes | None):
         seen.add(at)
         try:
             tags, at = _tags(data, at, order)
-        except struct.error as e:
+        except (struct.error, OverflowError, MemoryError) as e:
             yield page, None, None, None, None, None, f"directory: {e}"
             return
         try:
             wide, high, per, bits, samples = _page(data, tags, order)
             yield page, wide, high, per, bits, samples.tobytes(), None
-        except (KeyError, ValueError, zlib.error, IndexError) as e:
+        except (KeyError, ValueError, zlib.error, IndexError, ZeroDivisionError, OverflowError) as e:
             yield page, None, None, None, None, None, f"page: {e!r}"
         page += 1
 
@@ -267,13 +303,15 @@ PAGES = "page int, width int, height int, samples_per_pixel int, bits int, sampl
 
 def pages(df: DataFrame, bytes_col: str = "media", keep_cols: tuple[str, ...] = ()) -> DataFrame:
     """One row per page of each file; keep_cols are carried along. The pages of a file follow one another in one task."""
-    schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema if f.name in keep_cols] + [PAGES])
-    names = [*keep_cols, *(x.split()[0] for x in PAGES.split(", "))]
+    kept_fields = {f.name: f.dataType.simpleString() for f in df.schema}
+    own = common.fresh(df.select(*keep_cols), *(x.split()[0] for x in PAGES.split(", ")))
+    names = [*keep_cols, *own]
+    schema = ", ".join([f"`{c}` {kept_fields[c]}" for c in keep_cols] + [f"`{c}` {x.split()[1]}" for c, x in zip(own, PAGES.split(", "), strict=True)])
 
     def walk(batches):
         for pdf in batches:
             held, size = [], 0
-            for *kept, data in pdf[[*keep_cols, bytes_col]].itertuples(index=False, name=None):
+            for *kept, data in pdf.itertuples(index=False, name=None):
                 for row in read(data):
                     held.append((*kept, *row))
                     size += len(row[5] or b"")
@@ -283,11 +321,13 @@ def pages(df: DataFrame, bytes_col: str = "media", keep_cols: tuple[str, ...] =
             if held:
                 yield pd.DataFrame(held, columns=names)
 
-    return df.select(*keep_cols, bytes_col).mapInPandas(walk, schema)
+    source, = common.fresh(df.select(*keep_cols), "bytes")
+    return df.select(*keep_cols, F.col(bytes_col).alias(source)).mapInPandas(walk, schema)
 
 
 def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
-    """doc_id (0 where gone is true), gone, n_bytes, media: each text's UTF-8 bytes, padded with 0 to a positive multiple of 64, as a TIFF."""
+    """doc_id (0 where gone is true), gone, n_bytes, media: each text's UTF-8 bytes, padded with 0 to a positive multiple of 64, as a TIFF;
+    how: write()'s parameters, without any the coding is varied()."""
 
     def make(batches):
         for pdf in batches:
@@ -295,7 +335,8 @@ def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how
             for text in pdf["text"]:
                 raw = text.encode("utf-8", "surrogatepass")
                 n.append(len(raw))
-                media.append(write(raw + b"\0" * (-len(raw) % ROW or (0 if raw else ROW)), **how))
+                payload = raw + b"\0" * (-len(raw) % ROW or (0 if raw else ROW))
+                media.append(write(payload, **how) if how else varied(payload))
             yield pd.DataFrame({"doc_id": pdf["doc_id"], "gone": pdf["gone"], "n_bytes": n, "media": media})
 
     src = docs.select(*common.id_and_gone(id_col), common.whole_text(docs, text_col).alias("text"))
@@ -341,6 +382,6 @@ def _digests(batches):
 
 
 def op4_tiff_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
-    stored = store(common.documents(spark, sf_dir), compression=DEFLATE, predictor=1)
+    stored = store(common.documents(spark, sf_dir))
     told = stored.withColumn("media_bytes", F.length("media").cast("long")).withColumn("media_sha256", F.sha2("media", 256))
     return pages(told, "media", ("doc_id", "gone", "n_bytes", "media_bytes", "media_sha256")).mapInPandas(_digests, DIGESTS)

@@ -303,6 +303,63 @@ def test_tiff_broken():
     assert "loop" in list(tiff.read(bytes(loop)))[-1][6]
 
 
+def made_tiff(blocks, **tags):
+    """A little-endian file of one directory with these tags (by the module's names) over the given blocks."""
+    import struct
+
+    out, places = bytearray(b"II*\0\0\0\0\0"), []
+    for b in blocks:
+        places.append(len(out))
+        out += b
+    values = {getattr(tiff, k): v if isinstance(v, list) else [v] for k, v in tags.items()}
+    key, size = (tiff.TILE_OFFSETS, tiff.TILE_COUNTS) if tiff.TILE_WIDTH in values else (tiff.STRIP_OFFSETS, tiff.STRIP_COUNTS)
+    values |= {key: places, size: [len(b) for b in blocks]}
+    body = b""
+    for tag, v in sorted(values.items()):
+        at = len(out)
+        if len(v) > 1:
+            out += struct.pack(f"<{len(v)}I", *v)
+        body += struct.pack("<HHII", tag, 4, len(v), at if len(v) > 1 else v[0])
+    struct.pack_into("<I", out, 4, len(out))
+    return bytes(out + struct.pack("<H", len(values)) + body + struct.pack("<I", 0))
+
+
+def test_tiff_samples_of_other_widths():
+    got = next(tiff.read(made_tiff([bytes([0b10110000, 0b01000000]), bytes([0b11100000])], WIDTH=3, HEIGHT=3, BITS=1, ROWS_PER_STRIP=2)))
+    assert got[6] is None and list(got[5]) == [1, 0, 1, 0, 1, 0, 1, 1, 1]
+    got = next(tiff.read(made_tiff([bytes([0x1F, 0xA0])], WIDTH=3, HEIGHT=1, BITS=4)))
+    assert list(got[5]) == [1, 15, 10]
+    got = next(tiff.read(made_tiff([bytes([1, 2]), bytes([3, 4]), bytes([5, 6])], WIDTH=2, HEIGHT=1, BITS=[8, 8, 8], SAMPLES=3, PLANAR=2)))
+    assert list(got[5]) == [1, 3, 5, 2, 4, 6]
+    got = next(tiff.read(made_tiff([zlib.compress(bytes([1, 0, 1, 0]))], WIDTH=2, HEIGHT=1, BITS=16, COMPRESSION=tiff.DEFLATE, PREDICTOR=2)))
+    assert np.frombuffer(got[5], "<u2").tolist() == [1, 2]
+
+
+@pytest.mark.parametrize("tags", [{"ROWS_PER_STRIP": 0}, {"WIDTH": 0}, {"HEIGHT": 0}, {"SAMPLES": 0}, {"WIDTH": 0xFFFFFFFF, "HEIGHT": 0xFFFFFFFF}, {"WIDTH": 70_000, "HEIGHT": 70_000, "COMPRESSION": 8},
+    {"TILE_WIDTH": 0, "TILE_HEIGHT": 16}, {"TILE_WIDTH": 1 << 31, "TILE_HEIGHT": 1 << 31, "COMPRESSION": 5}, {"BITS": 7}, {"PREDICTOR": 3}, {"COMPRESSION": 99}, {"SAMPLES": 1 << 30}, {"HEIGHT": 1 << 20}])
+def test_tiff_hostile_tags(tags):
+    rows = list(tiff.read(made_tiff([b"x" * 64], **({"WIDTH": 8, "HEIGHT": 8, "BITS": 8} | tags))))
+    assert len(rows) == 1 and rows[0][6] and rows[0][5] is None
+
+
+def test_tiff_fuzzed():
+    r, good = random.Random(3), [tiff.write(bytes(range(64)) * 6, how, p, t, o) for how, p, t, o in tiff.VARIETY]
+    for _ in range(3000):
+        data = bytearray(r.choice(good))
+        for _ in range(r.randint(1, 4)):
+            data[r.randrange(len(data))] = r.choice((0, 1, 255, r.randrange(256)))
+        for row in tiff.read(bytes(data)):
+            assert (row[5] is None) == (row[6] is not None)
+
+
+def test_tiff_varied_runs_every_decoder(spark):
+    used = {zlib.crc32(raw + b"\0" * (-len(raw) % 64 or (0 if raw else 64))) % len(tiff.VARIETY) for (raw,) in ((r["text"].encode(),) for r in common.documents(spark, "/root/testdata/sf0.01").select("text").collect())}
+    assert used == set(range(len(tiff.VARIETY)))
+    kept = spark.createDataFrame([(1, "a", tiff.varied(b"x" * 64))], "page int, error string, media binary")
+    got = tiff.pages(kept, "media", ("page", "error", "media")).first().asDict()
+    assert got["page"] == 1 and got["error"] == "a" and got["page_"] == 0 and got["error_"] is None and bytes(got["samples"]) == b"x" * 64
+
+
 def test_tiff_query(awkward, empty, spark, sf):
     got = tiff.pages(tiff.store(awkward), "media", ("doc_id", "gone", "n_bytes"))
     assert got.where("error is not null").count() == 0
@@ -396,13 +453,47 @@ def test_pii_field():
     assert pii.all_spans("nothing here, version 2.0. or 2024-01-01 12:30", w)[1] == []
 
 
+def test_pii_field_adds_every_kind():
+    """Planted spans of a seed that the weights were not fitted on: by kind, what the patterns find and what is found in all."""
+    w, r = pii.fitted(), random.Random(123)
+    true, base, every = Counter(), Counter(), Counter()
+    for _ in range(400):
+        text, spans = pii._sample(r)
+        b, a = pii.all_spans(text, w)
+        for s, e, k in spans:
+            true[k], base[k], every[k] = true[k] + 1, base[k] + ((s, k, e) in b), every[k] + ((s, k, e) in a)
+    for k in range(4):
+        assert base[k] / true[k] < 0.75 and every[k] / true[k] > (0.85, 0.95)[k != 3], pii.KINDS[k]
+    for text, kind in (("mail jo (at) site (dot) org now", 0), ("jo @ site.org 1", 0), ("host 10[.]1[.]2[.]3 up", 1), ("host fe80::1ff:fe23:4567 up 1", 1), ("(826) 555-4081 was called", 3)):
+        b, a = pii.all_spans(text, w)
+        assert not b and [k for _, k, _ in a] == [kind], text
+
+
+@pytest.mark.parametrize("text", ["a" * 1_000_000 + "1", "a" * 1_000_000 + " 1", "1" + "b" * 1_000_000 + "@", "a." * 400_000 + "@b", "a@" * 200_000, "a@b." * 60_000, "\xa0" * 300_000 + "1", "+1 " * 100_000, "(at) " * 60_000])
+def test_pii_long_runs(text):
+    import time
+
+    w, t = pii.fitted(), time.monotonic()
+    pii.all_spans(text, w)
+    assert time.monotonic() - t < 4
+
+
+def test_pii_added_spans_touch_no_base_span_of_their_kind():
+    w, r = pii.fitted(), random.Random(6)
+    for _ in range(400):
+        text = " ".join(pii._sample(r)[0] for _ in range(2))
+        base = pii.base_spans(text)
+        want = [(s, k, e) for s, k, e in pii.field_spans(text, w) if not any(k == kk and s < b and a < e for a, kk, b in base)]
+        assert pii.all_spans(text, w)[1] == sorted(base + want)
+
+
 def test_pii_segmentation_against_all_segmentations():
     w = pii.fitted()
     r = random.Random(4)
     for _ in range(40):
         text, _ = pii._sample(r)
-        for m in pii.WINDOW.finditer(text):
-            bounds, segs = pii.candidates(text, *m.span())
+        for window in pii.windows(text):
+            bounds, segs = pii.candidates(text, *window)
             n = len(bounds) - 1
             if n > 14 or len(segs) > 12:
                 continue
