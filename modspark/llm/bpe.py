@@ -5,8 +5,8 @@ the task divided by its counters), the most frequent ones are compiled on the dr
 automaton's size is bounded) and every worker maps the compiled file. The second pass encodes and decodes. Which words the
 lexicon holds has no influence on any id.
 
-Defined results: a null text encodes as an empty one, to no ids; texts with added tokens in them or with characters beyond
-U+024F go through the library whole; texts of any length are encoded whole; repeated rows are encoded each for itself; an
+Defined results: a null text encodes as an empty one, to no ids; added tokens in a text are ids of their own, as in the library; a piece of
+text with code points that no category table knows goes through the library; texts of any length are encoded whole; repeated rows are encoded each for itself; an
 empty table gives an empty result and an empty lexicon; further columns of the input are kept apart.
 """
 
@@ -52,7 +52,7 @@ def frequent_words(docs: DataFrame, path: str, most: int, text_col: str = "text"
         counts: Counter = Counter()
         for pdf in batches:
             for text in pdf["text"]:
-                counts.update(coder.words(text) or ())
+                counts.update(coder.words(text))
                 if len(counts) > HELD:
                     counts = _less(counts, HELD // 2)
         counts = _less(counts, COUNTERS)

@@ -224,7 +224,7 @@ class _Codes(dict):
 
 
 #: The split rule of word_bpe_49k.json, in general and for texts of plain letters.
-WORD_RULE = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
+WORD_RULE = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\p{White_Space}\p{L}\p{N}]+")
 #: Letters and digits up to U+024F by their categories; a text of these and ASCII signs alone splits alike by the faster rule.
 LETTERS = "A-Za-zªµºÀ-ÖØ-öø-ɏ"
 DIGITS = "0-9²³¹¼-¾"
@@ -243,8 +243,26 @@ def usual(text: str) -> bool:
     return not UNUSUAL.search(text)
 
 
+@lru_cache(maxsize=1)
+def unassigned() -> re.Pattern:
+    """Code points without a category: what they count as differs between versions of the tables that rules are made of."""
+    cuts, inside = [], False
+    for cp in range(0x110000):
+        none = unicodedata.category(chr(cp)) == "Cn"
+        if none != inside:
+            cuts.append(cp - inside)
+            inside = none
+    cuts += [0x10FFFF] if inside else []
+    return re.compile("[" + "".join(f"\\U{a:08x}-\\U{b:08x}" for a, b in zip(cuts[::2], cuts[1::2], strict=True)) + "]")
+
+
 class LexiconCoder:
-    """word_bpe: normalises, splits, looks words up, merges the rest; decodes as the library's ids-to-text does."""
+    """word_bpe: normalises, splits, looks words up, merges the rest; decodes as the library's ids-to-text does.
+
+    Each distinct word that a worker meets goes through the automaton, and through the merges if that lacks it; a bounded table keeps
+    what they gave. Texts of any script are split here, added tokens apart; only what lies between code points that
+    no table knows (``unassigned``) is left to the library, piece by piece.
+    """
 
     def __init__(self, path: str, lexicon: Lexicon | None = None):
         self.signs = byte_signs()
@@ -253,7 +271,10 @@ class LexiconCoder:
         self.merge = self.library.model.tokenize
         with open(path, encoding="utf-8") as f:
             told = json.load(f)
-        self.added = [x["content"] for x in told["added_tokens"]]
+        self.added = {x["content"]: x["id"] for x in told["added_tokens"]}
+        if any(x["single_word"] or x["lstrip"] or x["rstrip"] or x["normalized"] for x in told["added_tokens"]):
+            raise ValueError("added tokens that take in what is beside them, or are looked for in normalised text")
+        self.parts = re.compile("(" + "|".join(map(re.escape, sorted(self.added, key=len, reverse=True))) + ")") if self.added else re.compile("(?!)")
         self.names = {i: p for p, i in told["model"]["vocab"].items()}
         self.codes = _Codes(self._code)
 
@@ -273,22 +294,35 @@ class LexiconCoder:
         ids = self.word_ids(word)
         return array("I", ids).tobytes(), "".join([" " + self.names[i] for i in ids])
 
-    def words(self, text: str) -> list[str] | None:
-        """The split words; None for texts that only the library normalises surely."""
-        if any(x in text for x in self.added):
-            return None
+    def _split(self, text: str) -> list[str] | None:
+        """The words of a text without added tokens; None where only the library knows them."""
         if usual(text):
             return FAST_WORD_RULE.findall(unicodedata.normalize("NFC", text).lower())
-        return None
+        if unassigned().search(text):
+            return None
+        return WORD_RULE.findall(self.library.normalizer.normalize_str(text))
 
-    def encode(self, text: str) -> tuple[bytes, str]:
-        """Ids as little-endian 32-bit integers, and the text they decode to."""
-        words = self.words(text)
+    def words(self, text: str) -> list[str]:
+        """The words that are looked up; those of pieces that go to the library are left out."""
+        if not any(x in text for x in self.added):
+            return self._split(text) or []
+        return [w for part in self.parts.split(text) if part and part not in self.added for w in self._split(part) or ()]
+
+    def _piece(self, text: str) -> tuple[bytes, str]:
+        words = self._split(text)
         if words is None:
             ids = self.library.encode(text, add_special_tokens=False).ids
-            return np.array(ids, "<u4").tobytes(), self.library.decode(ids, skip_special_tokens=False)
+            return array("I", ids).tobytes(), "".join([" " + self.names[i] for i in ids])
         codes = self.codes
         got = [codes[w] for w in words]
+        return b"".join([a for a, _ in got]), "".join([b for _, b in got])
+
+    def encode(self, text: str) -> tuple[bytes, str]:
+        """Ids as little-endian 32-bit integers, and the text they decode to."""
+        if not any(x in text for x in self.added):
+            ids, said = self._piece(text)
+            return ids, said[1:]
+        got = [(array("I", [self.added[x]]).tobytes(), " " + x) if x in self.added else self._piece(x) for x in self.parts.split(text) if x]
         return b"".join([a for a, _ in got]), "".join([b for _, b in got])[1:]
 
 

@@ -533,6 +533,44 @@ def test_tokens_equal_the_library(name, coder, spark, sf):
             assert got[1] == lib.decode(ids, skip_special_tokens=False), t[:50]
 
 
+def test_scripts_go_through_the_lexicon():
+    """Curly quotes, dashes, other scripts and added tokens: equal to the library, and none of it left to the library whole."""
+    name = P.path("word_bpe_49k.json")
+    lib, r = Tokenizer.from_file(name), random.Random(5)
+    plain = ["don\u2019t \u2014 she said \u201cno\u201d", "Привет, МИР №5", "Ωραία ΑΣ ΣΑΣ", "中文 テスト １２３", "नमस्ते दुनिया", "ﬁne ﬂow ½ Ⅷ ①", "a\u2028b\u00a0c\u3000d\u200be", "İ ı ſ K Å e\u0301", "🎉👩\u200d👩\u200d👧 ok", "<|startoftext|>Hi\u2026<|endoftext|><|endoftext|> x <|endoftext", "\u1c89\U0001e5d0 new letters"]
+    signs = [chr(c) for c in range(32, 0x3000, 7)] + list("\u2019\u201c\u2014 aA1\n") * 60 + ["<|endoftext|>"] * 9
+    texts = plain + ["".join(r.choice(signs) for _ in range(30)) for _ in range(1500)]
+    coder = tokens.LexiconCoder(name)
+    words = Counter(w for t in texts for w in coder.words(t))
+    lex = {w: coder.merged_ids(w) for w in list(words)[::2]}
+    coder.lexicon = tokens.Lexicon.mapped(tokens.pack_lexicon(lex))
+    left = []
+    whole = coder.library
+    class Counted:
+        normalizer = whole.normalizer
+
+        def encode(self, t, **how):
+            left.append(t)
+            return whole.encode(t, **how)
+
+    coder.library = Counted()
+    for t in texts:
+        ids = lib.encode(t, add_special_tokens=False).ids
+        assert coder.encode(t) == (np.array(ids, "<u4").tobytes(), lib.decode(ids, skip_special_tokens=False)), ascii(t)
+    assert all(tokens.unassigned().search(t) for t in left) and not any(t in left for t in plain[:-2])
+    assert any("\u2019" in w for w in words) and any("\u4e00" < w for w in words)
+
+
+def test_every_code_point_splits_as_in_the_library():
+    split, odd = Tokenizer.from_file(P.path("word_bpe_49k.json")).pre_tokenizer, tokens.unassigned()
+    for cp in range(0x80, 0x110000, 3):
+        c = chr(cp)
+        if 0xD800 <= cp < 0xE000 or odd.search(c):
+            continue
+        said = [b - a for _, (a, b) in split.pre_tokenize_str(f"a{c}{c}a")]
+        assert said == [len(x) for x in tokens.WORD_RULE.findall(f"a{c}{c}a")], hex(cp)
+
+
 def test_merges_spelled_out():
     c = tokens.LexiconCoder(P.path("word_bpe_49k.json"))
     m = tokens.Merger(P.path("word_bpe_49k.json"))
