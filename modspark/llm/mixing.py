@@ -15,13 +15,15 @@ from __future__ import annotations
 
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common
 
 #: Weights of the sources in order, repeating; copies that a document gets at most.
 WEIGHTS, MOST_COPIES = (5, 2, 1), 3
+#: Sources up to which their targets are broadcast (a hundred bytes each).
+MOST_BROADCAST = 50_000
 #: Rows that a leaf of the tree has on average, and leaves or nodes that meet in one node.
 LEAF, FAN = 4096, 16
 
@@ -70,12 +72,9 @@ def round_pair(p: float, a: float, q: float, b: float, u: float) -> tuple[float,
     up = min((1 - p) * a, q * b)  # size that can move from q to p
     down = min(p * a, (1 - q) * b)
     if u * (up + down) < down:
-        moved = up
         p, q = (1.0, q - up / b) if (1 - p) * a <= q * b else (p + up / a, 0.0)
     else:
-        moved = down
         p, q = (0.0, q + down / b) if p * a <= (1 - q) * b else (p - down / a, 1.0)
-    del moved
     return p, q
 
 
@@ -118,11 +117,13 @@ def mix(docs: DataFrame, weights: tuple = WEIGHTS, most: float = MOST_COPIES, se
     leaves = {s: max(1, -(-n // LEAF)) for s, _, n in per_source}
     spark = docs.sparkSession
     told = spark.createDataFrame([(s, sizes[s], targets[s], targets[s] / sizes[s] if sizes[s] else 0.0, leaves[s]) for s in sizes], "source string, source_size long, target double, copies double, leaves long")
-    same = sized.columns
-    with_rate = sized.alias("d").join(F.broadcast(told).alias("t"), F.col("d.source").eqNullSafe(F.col("t.source"))).select(*[F.col(f"d.{c}") for c in same], "source_size", "target", "copies", "leaves")
-    # repeated rows get numbers; the window's groups are rows that agree in all of this
-    number = F.row_number().over(Window.partitionBy("doc_id", "print", "source", "size").orderBy("size"))
-    keyed = with_rate.withColumn("number", F.when(F.col("doc_id").isNull() | (F.col("source_size") >= 0), number))
+    if len(sizes) <= MOST_BROADCAST:
+        told = F.broadcast(told)
+    # repeated rows are counted, then told apart by a number: no task gets a group of them as rows
+    alike = sized.groupBy("doc_id", "source", "size", "print").agg(F.count("*").alias("times"))
+    numbered = alike.withColumn("number", F.explode(F.sequence(F.lit(1).cast("long"), F.col("times")))).drop("times")
+    columns = [F.col(f"d.{c}") for c in numbered.columns]
+    keyed = numbered.alias("d").join(told.alias("t"), F.col("d.source").eqNullSafe(F.col("t.source"))).select(*columns, "source_size", "target", "copies", "leaves")
     keyed = keyed.withColumn("key", F.concat_ws(":", F.coalesce(F.col("doc_id").cast("string"), F.lit("-")), F.hex("print"), F.col("number")))
     whole = F.floor("copies").cast("long")
     items = keyed.select("key", "source", "size", whole.alias("whole"), (F.col("copies") - F.floor("copies")).alias("p"), F.pmod(F.xxhash64("key", F.lit(seed)), F.col("leaves")).alias("node"))
@@ -144,8 +145,8 @@ def mix(docs: DataFrame, weights: tuple = WEIGHTS, most: float = MOST_COPIES, se
         done = common.keep(up.groupBy("source", "node").applyInPandas(node(level), DECIDED), f"nodes{level}")
         decided.append(done.where("p is null"))
         open_ = done.where("p is not null")
-    last = F.udf(lambda key, p: 1 if _draw(seed, "last", key) < p else 0, "long")  # at most one row per source
-    decided.append(open_.withColumn("taken", F.col("size") * (F.col("whole") + last("key", "p"))))
+    drawn = F.pmod(F.xxhash64("key", F.lit(seed), F.lit("last")), F.lit(1 << 40)) / float(1 << 40)  # at most one row per source
+    decided.append(open_.withColumn("taken", F.col("size") * (F.col("whole") + F.when(drawn < F.col("p"), 1).otherwise(0))))
     taken = decided[0].select("key", F.col("taken"))
     for x in decided[1:]:
         taken = taken.unionByName(x.select("key", "taken"))
@@ -154,12 +155,13 @@ def mix(docs: DataFrame, weights: tuple = WEIGHTS, most: float = MOST_COPIES, se
 
 def repeat(docs: DataFrame, **how) -> DataFrame:
     """docs with each row as often as the mix takes it; rows of no size are not taken. Equal rows stand for one another."""
+    same, times, own, copy = common.fresh(docs, "print", "times", "print", "copy")
     n = F.coalesce(F.try_divide("taken", "size").cast("int"), F.lit(0))
-    times = mix(docs, **how).groupBy("print").agg(F.sum(n).cast("int").alias("_times")).withColumnRenamed("print", "_print")
+    wanted = mix(docs, **how).groupBy("print").agg(F.sum(n).cast("int").alias(times)).withColumnRenamed("print", same).where(F.col(times) > 0)
     names = {k: how[k] for k in ("id_col", "text_col", "source_col") if k in how}
-    joined = docs.withColumn("_print", row_print(**names)).join(times.where("_times > 0"), "_print")
-    one = joined.withColumn("_n", F.row_number().over(Window.partitionBy("_print").orderBy("_times"))).where("_n = 1")
-    return one.withColumn("_copy", F.explode(F.array_repeat(F.lit(1), F.col("_times")))).select(*docs.columns)
+    one = docs.withColumn(own, row_print(**names)).dropDuplicates([own])
+    joined = one.join(wanted, F.col(own) == F.col(same))
+    return joined.withColumn(copy, F.explode(F.array_repeat(F.lit(1), F.col(times)))).select(*docs.columns)
 
 
 def op5_pivotal_mix(spark: SparkSession, sf_dir: str) -> DataFrame:

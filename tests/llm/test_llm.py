@@ -415,6 +415,10 @@ def test_mix(spark, awkward, empty):
     assert mixing.mix(empty).count() == 0 and mixing.mix(awkward).count() == awkward.count()
     sizes = {r["doc_id"]: r["size"] for r in awkward.where("doc_id is not null").select("doc_id", mixing.word_count().alias("size")).collect()}
     assert sizes == {r["doc_id"]: len(re.findall(r"[^\x20\x09-\x0D]+", r["text"] or "")) for r in awkward.where("doc_id is not null").collect()}
+    clash = df.withColumn("_n", F.lit(77)).withColumn("_times", F.lit(1)).withColumn("times", F.lit(2)).withColumn("print", F.lit(3)).withColumn("number", F.lit(4)).withColumn("key", F.lit(5))
+    assert {tuple(x) for x in mixing.repeat(clash).select("_n", "_times", "times", "print", "number", "key").collect()} == {(77, 1, 2, 3, 4, 5)}
+    many = collected(mixing.mix(spark.createDataFrame([(1, "a b c", "en", "s", 5)] * 50 + [(2, "a b c d", "en", "t", 7)] * 50, SCHEMA)))
+    assert len(many) == 100 and {x["source"]: sum(y["size"] for y in many if y["source"] == x["source"]) for x in many} == {"s": 150, "t": 200}
     copies = mixing.repeat(df)
     assert copies.select(F.sum(mixing.word_count())).first()[0] == sum(x["taken"] for x in got) and copies.columns == df.columns
 
@@ -636,56 +640,91 @@ def test_shard_rows(awkward, empty):
 # --- 8 ---
 
 
-def brute_lines(rows, depth=3, min_tokens=3, min_body=8, min_docs=3):
-    """rows: distinct (id, text). Kept text of each."""
-    keys = {}
+def brute_lines(rows, depth=3, min_tokens=3, min_body=8, min_docs=3, long_tokens=50, long_docs=2, said=None):
+    """rows: distinct (id, text). Kept text of each; said: a dictionary that gets the templates of each."""
+    keys, words = {}, {}
     for i, t in rows:
         for pos, line in enumerate((t or "").split("\n")):
             w = [("<*>" if re.search("[0-9]", x) else x) for x in re.findall(r"[^\x20\x09-\x0D]+", line)]
-            n = len(w)
+            n, body = len(w), max(len(w) - depth, 0)
             if n < min_tokens:
                 continue
-            cut = depth + (n - depth + 1) // 2
-            keys[i, t, pos] = [("a", n, *w[:cut]), ("b", n, *w[:depth], "|", *w[cut:])] if n >= depth + min_body else [("w", n, *w)]
+            words[i, t, pos] = w
+            at = [depth + body * k // 4 for k in range(5)]
+            mine = [(0, *w)]
+            if body >= min_body:
+                pairs = [(x, y) for x in range(4) for y in range(x + 1, 4)]
+                mine += [(k + 1, *[x if p < depth or any(at[q] <= p < at[q + 1] for q in two) else None for p, x in enumerate(w)]) for k, two in enumerate(pairs)]
+            elif body >= 3:
+                mine += [(k + 1, *[None if p == depth + k else x for p, x in enumerate(w)]) for k in range(body)]
+            keys[i, t, pos] = mine
     seen = defaultdict(set)
     for (i, t, _), ks in keys.items():
         for k in ks:
             seen[k].add((i is None, i, t))
-    out = {}
+    least = lambda k: long_docs if k[0] == 0 and len(k) > long_tokens else min_docs
+    many = {k: (len(v), min(v, key=lambda x: (x[0], x[1] or 0))[1]) for k, v in seen.items() if len(v) >= least(k)}
+    gone, joined = set(), {}
+    for at, ks in keys.items():
+        mine = [k for k in ks if k in many]
+        if mine:
+            joined[at] = max(mine, key=lambda k: (many[k][0], -k[0]))
+            gone |= {at} if any(many[k][1] != at[0] for k in mine) else set()
+    out, members = {}, defaultdict(list)
+    for at, k in joined.items():
+        members[k].append(words[at])
+    text = {k: " ".join(x[0] if len(set(x)) == 1 else "<*>" for x in zip(*w, strict=True)) for k, w in members.items()}
     for i, t in rows:
         lines = (t or "").split("\n")
-        gone = {pos for pos in range(len(lines)) for k in keys.get((i, t, pos), []) if len(seen[k]) >= min_docs and min(seen[k], key=lambda x: (x[0], x[1] or 0))[1] != i}
-        out[i, t] = "\n".join(x for p, x in enumerate(lines) if p not in gone)
+        out[i, t] = "\n".join(x for p, x in enumerate(lines) if (i, t, p) not in gone)
+        if said is not None:
+            said[i, t] = [text[joined[i, t, p]] for p in range(len(lines)) if (i, t, p) in joined]
     return out
 
 
 def test_line_templates(spark, awkward, empty):
     r = random.Random(1)
     word = lambda: "".join(r.choice("abcdefgh") for _ in range(5))
-    boiler = [" ".join(word() for _ in range(k)) for k in (2, 3, 6, 14)]
+    boiler = [" ".join(word() for _ in range(k)) for k in (2, 3, 6, 14, 60)]
     docs = []
     for i in range(40):
         lines = [" ".join(word() for _ in range(r.randint(1, 15))) for _ in range(4)]
         b = r.choice(boiler).split()
-        b[-1] = word() if r.random() < 0.3 else b[-1]
-        docs.append((i, "\n".join([*lines[:2], f"  request {i} took 1{i}ms for user{i}  ", " ".join(b), r.choice(boiler), *lines[2:]])))
+        for _ in range(2):
+            p = r.randrange(len(b))
+            b[p] = word() if r.random() < 0.3 else b[p]
+        docs.append((i, "\n".join([*lines[:2], f"  request {i} took 1{i}ms for user{i}  ", f"connection from host {word()} closed by peer", " ".join(b), r.choice(boiler), *lines[2:]])))
+    pair = " ".join(word() for _ in range(55))
+    docs += [(100, pair + "\nfirst"), (101, "second\n" + pair), (102, " ".join(pair.split()[:40])), (103, " ".join(pair.split()[:40]))]
     df = spark.createDataFrame(docs, "doc_id long, text string")
     got = {(x["doc_id"]): x["text"] for x in line_templates.drop_recurring(df).collect()}
-    want = brute_lines(docs)
+    said: dict = {}
+    want = brute_lines(docs, said=said)
     assert all(got[i] == want[i, t] for i, t in docs) and any(got[i] != t for i, t in docs)
-    assert "request 7" not in got[7] and "request 0" in got[0]
+    assert "request 7" not in got[7] and "request 0" in got[0] and "connection" in got[0] and "connection" not in got[7]
+    assert pair in got[100] and got[101] == "second" and got[103] == docs[-1][1]
+    assert line_templates.drop_recurring(df, long_docs=3).where("doc_id = 101").first()["text"] == "second\n" + pair
+    left = common.keep(line_templates.dropped_lines(df), "t")
+    each = left.select("id", F.explode("told").alias("x")).select("id", "x.*")
+    text = each.join(line_templates.merged(each), "key").orderBy("id", "pos").collect()
+    assert all([x["template"] for x in text if x["id"] == i] == said[i, t] for i, t in docs)
+    assert "connection from host <*> closed by peer" in {x["template"] for x in text} and "request <*> took <*> for <*>" in {x["template"] for x in text}
     odd = [(x["doc_id"], x["text"]) for x in awkward.where("doc_id is not null").select("doc_id", "text").distinct().collect()]
     want = brute_lines(odd)
     for x in line_templates.drop_recurring(awkward).where("doc_id is not null").collect():
         assert (x["text"] or "") in {want[i, t] for i, t in odd if i == x["doc_id"]}
     assert line_templates.drop_recurring(awkward).count() == awkward.count() and line_templates.drop_recurring(empty).count() == 0
-    clash = df.withColumn("pos", F.lit(1)).withColumn("key", F.lit(2)).withColumn("row", F.lit(3)).withColumn("keys", F.lit(4))
-    assert line_templates.drop_recurring(clash).columns == clash.columns
+    clash = df
+    for c in ("pos", "key", "row", "keys", "found", "lines", "same", "id", "_gone", "_row", "leaf"):
+        clash = clash.withColumn(c, F.lit(7))
+    assert line_templates.drop_recurring(clash).columns == clash.columns and line_templates.drop_recurring(clash).where("found <> 7 or lines <> 7").count() == 0
 
 
 def test_line_templates_stay_in_the_jvm(spark, awkward):
-    df = line_templates.drop_recurring(awkward)
-    said = df._jdf.queryExecution().toString() + line_templates.line_keys(awkward)._jdf.queryExecution().toString()
+    frames = [line_templates.drop_recurring(awkward), line_templates.line_keys(awkward), line_templates.templates_of(awkward)]
+    left = line_templates.dropped_lines(awkward)
+    frames += [left, line_templates.merged(left.select(F.explode("told").alias("x")).select("x.*"))]
+    said = "".join(f._jdf.queryExecution().toString() for f in frames)
     assert "Python" not in said and "Arrow" not in said and "Pandas" not in said
 
 
@@ -747,7 +786,7 @@ def test_pipeline(spark, sf):
     kept = good.join(labels, "doc_id").groupBy("quality").count().collect()
     total = dict(raw.join(labels, "doc_id").groupBy("quality").count().collect())
     assert {r["quality"]: r["count"] for r in kept}[1] == total[1] and {r["quality"]: r["count"] for r in kept}.get(0, 0) < total[0]
-    want = brute_lines([(r["doc_id"], r["text"]) for r in good.collect()])
+    want = brute_lines([(r["doc_id"], r["text"]) for r in good.collect()], long_docs=3)
     assert {(r["doc_id"], r["text"]) for r in lines.collect()} == {(i, t) for (i, _), t in want.items()}
     classes = brute_classes([(r["doc_id"], r["text"]) for r in lines.collect()])
     assert sorted(r["doc_id"] for r in single.collect()) == sorted(i for i, _, c in classes if i == c)
