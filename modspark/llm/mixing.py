@@ -155,12 +155,13 @@ def mix(docs: DataFrame, weights: tuple = WEIGHTS, most: float = MOST_COPIES, se
 
 def repeat(docs: DataFrame, **how) -> DataFrame:
     """docs with each row as often as the mix takes it; rows of no size are not taken. Equal rows stand for one another."""
-    same, times, own, copy = common.fresh(docs, "print", "times", "print", "copy")
+    same, times, own, copy, of = common.fresh(docs, "print", "times", "print", "copy", "of")
+    id_col = how.get("id_col", "doc_id")
     n = F.coalesce(F.try_divide("taken", "size").cast("int"), F.lit(0))
-    wanted = mix(docs, **how).groupBy("print").agg(F.sum(n).cast("int").alias(times)).withColumnRenamed("print", same).where(F.col(times) > 0)
+    wanted = mix(docs, **how).groupBy(F.col("print").alias(same), F.col("doc_id").alias(of)).agg(F.sum(n).cast("int").alias(times)).where(F.col(times) > 0)
     names = {k: how[k] for k in ("id_col", "text_col", "source_col") if k in how}
-    one = docs.withColumn(own, row_print(**names)).dropDuplicates([own])
-    joined = one.join(wanted, F.col(own) == F.col(same))
+    one = docs.withColumn(own, row_print(**names)).dropDuplicates([own, id_col])
+    joined = one.join(wanted, (F.col(own) == F.col(same)) & F.col(id_col).cast("long").eqNullSafe(F.col(of)))
     return joined.withColumn(copy, F.explode(F.array_repeat(F.lit(1), F.col(times)))).select(*docs.columns)
 
 
