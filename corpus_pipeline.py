@@ -22,8 +22,12 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without the lines of recurring templates."""
-    return line_templates.drop_recurring(docs).withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
+    """Documents without the lines of recurring templates, from three documents on.
+
+    Long lines of two documents stay here: most are those of pairs of copies, which the next stage removes whole; cut here, the second
+    document of a pair would stay as what is left of it.
+    """
+    return line_templates.drop_recurring(docs, long_docs=line_templates.MIN_DOCS).withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
