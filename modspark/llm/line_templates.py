@@ -126,10 +126,14 @@ def dropped_lines(docs: DataFrame, **how) -> DataFrame:
 def merged(lines: DataFrame) -> DataFrame:
     """key, template, n_lines: the tokens of the lines (key, line) of each template merged, wildcards where they differ."""
     masked, split = _tokens("line")
-    tokens = lines.select("key", F.explode(F.array(masked)).alias("body")).select("key", split("body").alias("tokens"))
-    base = tokens.groupBy("key").agg(F.min("tokens").alias("base"), F.count("*").alias("n_lines"))
+    each = lines.select("key", F.explode(F.array(masked)).alias("body")).select("key", split("body").alias("tokens"))
+    # equal lines of a hot template are one row before they meet at their key
+    tokens = common.keep(each.groupBy("key", "tokens").agg(F.count("*").alias("n")), "tokens")
+    base = tokens.groupBy("key").agg(F.min("tokens").alias("base"), F.sum("n").alias("n_lines"))
     off = F.filter(F.transform("tokens", lambda t, i: F.when(t != F.get("base", i), i)), lambda i: i.isNotNull())
-    vary = tokens.join(base.select("key", "base"), "key").select("key", F.explode(off).alias("p")).groupBy("key").agg(F.collect_set("p").alias("vary"))
+    # a table of its own, so that a hot template's join can be split
+    vary = common.keep(tokens.join(base.select("key", "base"), "key").select("key", F.explode(off).alias("p")), "vary")
+    vary = vary.groupBy("key").agg(F.collect_set("p").alias("vary"))
     wild = F.transform("base", lambda t, i: F.when(F.array_contains("vary", i), WILD).otherwise(t))
     return base.join(vary, "key", "left").select("key", F.array_join(F.when(F.col("vary").isNull(), F.col("base")).otherwise(wild), " ").alias("template"), "n_lines")
 
