@@ -17,8 +17,8 @@ class MemeticConfig:
     tournament: int = 2
     islands: int = 2
     seed: int = 1
-    #: Quotient edges up to which whole populations evolve in single tasks; beyond, the quotient is clustered by parallel rounds.
-    island_max_edges: int = 20_000_000
+    #: Quotient edges up to which whole populations evolve in single tasks (some 200 bytes each there); beyond, one population of tables evolves.
+    island_max_edges: int = 2_000_000
 
 
 @dataclass(frozen=True)
@@ -40,9 +40,15 @@ class ClusterConfig:
     order: str = "input"
     candidates: str = "assigned"
     seed: int = 1
-    n_batches: int = 8
-    max_subrounds: int = 6
-    #: Arcs up to which a graph is streamed node by node in one task; beyond, in chunks over all tasks.
+    #: The waves of the parallel pass: how a chunk grows over the ones before, the share of a node's earlier weight that must be placed,
+    #: and the share of the waiting nodes that a wave takes at least.
+    growth: int = 4
+    ready: float = 0.9
+    least: float = 0.1
+    #: For the candidate rule "all", which goes in chunks and sub-rounds.
+    n_batches: int = 32
+    max_subrounds: int = 16
+    #: Arcs of the stream's beginning that one task places node by node (all of a smaller graph); the rest goes in waves over all tasks.
     exact_limit_arcs: int = 2_000_000
     memetic: MemeticConfig = field(default_factory=MemeticConfig)
     restream: RestreamConfig = field(default_factory=RestreamConfig)

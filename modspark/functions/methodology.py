@@ -43,6 +43,12 @@ def performance_profile(scores: DataFrame, taus: list[float], better: str = "min
     return grid.groupBy("metric", "algo", "tau").agg(F.avg(F.when(near(F.col("tau")), 1.0).otherwise(0.0)).alias("share"))
 
 
+def within(scores: DataFrame, a: str, b: str, share: float) -> DataFrame:
+    """One row: on how many instances a's value is at least 1 - share of b's."""
+    near = F.col("x") >= (1 - share) * F.col("y")
+    return _pair(scores, a, b).agg(F.count("*").alias("instances"), F.count_if(near).alias("within"), F.avg(F.when(near, 1.0).otherwise(0.0)).alias("share"))
+
+
 def box_summary(scores: DataFrame) -> DataFrame:
     """Five numbers per algo and metric."""
     q = [F.percentile("value", p).alias(n) for n, p in (("low", 0.0), ("q1", 0.25), ("mid", 0.5), ("q3", 0.75), ("high", 1.0))]

@@ -51,4 +51,7 @@ def best_cluster(scored: DataFrame) -> DataFrame:
 
 def gain_components(scored: DataFrame, two_m: int) -> DataFrame:
     """The gain's two parts: of links, which change only with a neighbour's move, and of volumes."""
-    return scored.select("src", "cid", (F.lit(two_m) * (F.col("k") - F.col("k_cur"))).alias("link_part"), (-F.col("d") * (F.col("d") + F.col("vol") - F.col("vol_cur"))).alias("volume_part"), "gain")
+    kind = "long" if two_m < MAX_INT_2M else "decimal(38,0)"
+    link = F.lit(two_m).cast(kind) * (F.col("k") - F.col("k_cur")).cast(kind)
+    volume = -F.col("d").cast(kind) * (F.col("d") + F.col("vol") - F.col("vol_cur")).cast(kind)
+    return scored.select("src", "cid", link.alias("link_part"), volume.alias("volume_part"), "gain")

@@ -60,6 +60,30 @@ def split_words_udtf():
     return SplitWords
 
 
+def neighbours_udtf():
+    """Table function: the neighbours and weights of a node's adjacency arrays, heaviest first, ties by id."""
+
+    @F.udtf(returnType="place: int, dst: bigint, w: bigint")
+    class Neighbours:
+        def eval(self, ids: list, weights: list):
+            for i, (w, d) in enumerate(sorted(zip((-w for w in weights or []), ids or [], strict=True))):
+                yield i, d, -w
+
+    return Neighbours
+
+
+def cluster_figures(nodes: DataFrame, assign: DataFrame) -> DataFrame:
+    """cid, n, vol, heaviest: a group of Arrow tables per cluster."""
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    def figures(table: pa.Table) -> pa.Table:
+        one = lambda x: pa.array([x], pa.int64())
+        return pa.table({"cid": table["cid"][:1].combine_chunks(), "n": one(table.num_rows), "vol": one(pc.sum(table["wdeg"]).as_py()), "heaviest": one(pc.max(table["wdeg"]).as_py())})
+
+    return nodes.join(assign, "id").select("cid", "wdeg").groupBy("cid").applyInArrow(figures, "cid long, n long, vol long, heaviest long")
+
+
 def bisect_groups(arcs: DataFrame, assign: DataFrame, seed: int = 1) -> DataFrame:
     """id, half: every cluster split into two blocks of about equal size, a cluster per group."""
     from ..functions.measures import labelled_arcs

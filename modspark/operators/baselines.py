@@ -3,11 +3,12 @@
 from __future__ import annotations
 
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import io
 from ..config import MemeticConfig
+from ..functions import numbering
 from . import kernels, memetic
 from .prep import Graph
 
@@ -17,12 +18,12 @@ def edge_table(graph: Graph, order: str = "input", seed: int = 1, truth: DataFra
     e = graph.arcs.where("src < dst").select(F.col("src").alias("u"), F.col("dst").alias("v"))
     by = [F.col("u"), F.col("v")]
     if order == "shuffle":
-        by = [F.xxhash64("u", "v", F.lit(seed)), *by]
+        by = [F.md5(F.concat_ws("-", "u", "v", F.lit(seed))), *by]
     elif order == "intra_first":
         a, b = truth.select(F.col("id").alias("u"), F.col("label").alias("lu")), truth.select(F.col("id").alias("v"), F.col("label").alias("lv"))
         e = e.join(a, "u", "left").join(b, "v", "left")
         by = [F.coalesce((F.col("lu") != F.col("lv")).cast("int"), F.lit(1)), *by]
-    return e.withColumn("seq", (F.row_number().over(Window.orderBy(*by)) - 1).cast("long")).select("seq", "u", "v")
+    return numbering.ranked(e, by, "seq").select("seq", "u", "v")
 
 
 def cap(graph: Graph, v_max) -> int | None:
@@ -65,7 +66,7 @@ def edge_stream_sweep(graph: Graph, caps: list, order: str = "input", seed: int
 def edge_stream_batches(graph: Graph, v_max=10_000, n_batches: int = 8, order: str = "input") -> DataFrame:
     """The same rule in batches, for edge streams that no task can order: in a batch, each node decides once, on its first edge, against the
     volumes of the batch's end; two nodes that would swap are kept from it by the lighter side's id."""
-    edges = io.settle(edge_table(graph, order), "edges")
+    edges = edge_table(graph, order)
     limit, m = cap(graph, v_max), edges.count()
     state = io.settle(graph.nodes.select("id", F.col("id").alias("cid"), F.lit(0).cast("long").alias("d")), "state")
     step = max(1, -(-m // n_batches))

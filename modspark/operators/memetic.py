@@ -1,21 +1,25 @@
-"""Memetic refinement: populations of clusterings of the quotient graph, one per task (island), with exchanges between epochs.
+"""Memetic refinement: populations of clusterings of the quotient graph.
 
-The overlay, the cut distance, tournament and replacement exist as table operators as well, over a long table population(ind, cid, lab),
-for quotients that no task can hold.
+A quotient that a task can hold evolves in islands: one population per task, with exchanges between epochs. Beyond that, one population
+of tables evolves by the same rules (``evolve_tables``): every member is a table, and individuals, overlays, both recombinations, mutation,
+fitness and cut distance are joins, aggregates and the parallel rounds.
 """
 
 from __future__ import annotations
 
+import functools
 import pickle
+import random
 import time
 
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import io
-from ..config import MAX_INT_2M, MemeticConfig
-from . import kernels, louvain, quotient
+from ..config import MAX_INT_2M, MemeticConfig, RestreamConfig
+from ..functions import measures
+from . import kernels, louvain, quotient, restream
 from .prep import Graph
 
 
@@ -24,7 +28,9 @@ def overlay(*assigns: DataFrame) -> DataFrame:
     out = assigns[0].select("cid", F.col("lab").alias("l0"))
     for i, a in enumerate(assigns[1:], 1):
         out = out.join(a.select("cid", F.col("lab").alias(f"l{i}")), "cid")
-    return out.withColumn("lab_", F.min("cid").over(Window.partitionBy(*[f"l{i}" for i in range(len(assigns))]))).select("cid", F.col("lab_").alias("lab"))
+    cell = [f"l{i}" for i in range(len(assigns))]
+    named = out.groupBy(*cell).agg(F.min("cid").alias("lab"))  # the minimum combines before the shuffle, whatever a cell's size
+    return out.join(named, cell).select("cid", "lab")
 
 
 def cut_symdiff(edges: DataFrame, a: DataFrame, b: DataFrame) -> DataFrame:
@@ -52,24 +58,155 @@ def tournament_winner(fit: DataFrame, draws: DataFrame) -> DataFrame:
     return best.select("round", (-F.col("b.neg")).alias("winner"), F.col("b.qnum").alias("qnum"))
 
 
+def cut_distances(edges: DataFrame, population: DataFrame, child: DataFrame) -> DataFrame:
+    """ind, distance: edges that exactly one of the member and the child cuts. One scan for all members."""
+    x = edges.where("ci <> cj").join(child.select(F.col("cid").alias("ci"), F.col("lab").alias("ki")), "ci").join(child.select(F.col("cid").alias("cj"), F.col("lab").alias("kj")), "cj")
+    x = x.join(population.select("ind", F.col("cid").alias("ci"), F.col("lab").alias("pi")), "ci").join(population.select("ind", F.col("cid").alias("cj"), F.col("lab").alias("pj")), ["ind", "cj"])
+    return x.groupBy("ind").agg(F.sum(((F.col("ki") != F.col("kj")) != (F.col("pi") != F.col("pj"))).cast("long")).alias("distance"))
+
+
 def replacement_choice(edges: DataFrame, population: DataFrame, child: DataFrame) -> DataFrame:
     """Zero or one row: the member to give way to the child (cid, lab): not better than it, and cut most alike."""
     own = population.unionByName(child.withColumn("ind", F.lit(-1)))
     fit = fitness(edges, own)
     q = fit.where("ind = -1").select(F.col("qnum").alias("qc"))
-    x = edges.where("ci <> cj").join(child.select(F.col("cid").alias("ci"), F.col("lab").alias("ki")), "ci").join(child.select(F.col("cid").alias("cj"), F.col("lab").alias("kj")), "cj")
-    x = x.join(population.select("ind", F.col("cid").alias("ci"), F.col("lab").alias("pi")), "ci").join(population.select("ind", F.col("cid").alias("cj"), F.col("lab").alias("pj")), ["ind", "cj"])
-    far = x.groupBy("ind").agg(F.sum(((F.col("ki") != F.col("kj")) != (F.col("pi") != F.col("pj"))).cast("long")).alias("distance"))
+    far = cut_distances(edges, population, child)
     able = fit.where("ind >= 0").join(F.broadcast(q)).where("qnum <= qc").join(far, "ind")
     return able.agg(F.min(F.struct("distance", "qnum", "ind")).alias("b")).where("b is not null").select(F.col("b.ind").alias("ind"), F.col("b.distance").alias("distance"))
 
 
 def choose_engine(n_edges: int, two_m: int, cfg: MemeticConfig) -> str:
-    return "island" if n_edges <= cfg.island_max_edges and two_m < MAX_INT_2M else "rounds"
+    return "island" if n_edges <= cfg.island_max_edges and two_m < MAX_INT_2M else "tables"
+
+
+# --- one population of tables ---
+
+
+def quotient_graph(edges: DataFrame, supernodes: DataFrame) -> Graph:
+    """The quotient (ci, cj, w) and its supernodes as a graph; ids are the clusters' names."""
+    arcs = io.settle(quotient.as_arcs(edges), "arcs")
+    deg = arcs.groupBy(F.col("src").alias("cid")).agg(F.count("*").alias("deg"))
+    nodes = supernodes.join(deg, "cid", "left").select(F.col("cid").alias("id"), F.col("cid").cast("string").alias("okey"), F.col("cid").alias("rank"), F.coalesce("deg", F.lit(0)).cast("long").alias("deg"), F.col("vol").alias("wdeg"), "cw")
+    return Graph(arcs, io.settle(nodes, "nodes"))
+
+
+def score(graph: Graph, member: DataFrame) -> int:
+    return int(measures.modularity_num(measures.cluster_sums(graph.arcs, graph.nodes, member)).first()["qnum"] or 0)
+
+
+def individual_table(graph: Graph, seed: int) -> DataFrame:
+    """A start for the population: bounded label propagation with drawn halves, then Louvain from it."""
+    r = random.Random(seed)
+    total, heaviest, n = (int(x or 0) for x in graph.nodes.agg(F.sum("cw"), F.max("cw"), F.count("*")).first())
+    bound = max(heaviest, int(total / (2 + r.random() * max(2, n // 4))))
+    return louvain.louvain_parallel(graph, start=louvain.label_propagation(graph.arcs, graph.nodes, bound, 3, r.randrange(1 << 30)))
+
+
+def _named(a: DataFrame) -> DataFrame:
+    return a.select(F.col("id").alias("cid"), F.col("cid").alias("lab"))
+
+
+def recombine_flat_table(graph: Graph, a: DataFrame, b: DataFrame) -> DataFrame:
+    """Louvain on what the overlay of both contracts to."""
+    cells = io.settle(overlay(_named(a), _named(b)).select(F.col("cid").alias("id"), F.col("lab").alias("cid")), "overlay")
+    top = louvain.louvain_parallel(louvain.contracted(graph, cells))
+    return io.settle(quotient.project(cells, _named(top)), "child")
+
+
+def recombine_multilevel_table(graph: Graph, a: DataFrame, b: DataFrame, better: DataFrame, seed: int, levels: int = 6) -> DataFrame:
+    """Coarsens inside the overlay's cells, starts at the coarsest level from the better parent, refines on every level back."""
+    cfg = RestreamConfig(min_rel_gain=1e-3, time_limit_s=None)
+    cells, own, level, path = overlay(_named(a), _named(b)).select(F.col("cid").alias("id"), F.col("lab").alias("cell")), better, graph, []
+    for k in range(levels):
+        total, n = (int(x or 0) for x in level.nodes.agg(F.sum("cw"), F.count("*")).first())
+        cells = io.settle(cells, "cells")
+        ends = cells.select(F.col("id").alias("dst"), F.col("cell").alias("other"))
+        inside = level.arcs.join(cells.select(F.col("id").alias("src"), "cell"), "src").join(ends, "dst").where("cell = other").select("src", "dst", "w")
+        to = louvain.label_propagation(inside, level.nodes, max(2, total // 4), 2, seed + k)
+        if to.select("cid").distinct().count() == n:
+            break
+        path.append((level, to))
+        level = louvain.contracted(level, to)
+        # a coarse node lies in one cell, and so in one cluster of the parent
+        cells = cells.join(to, "id").groupBy(F.col("cid").alias("id")).agg(F.min("cell").alias("cell"))
+        own = io.settle(own.withColumnRenamed("cid", "lab").join(to, "id").groupBy(F.col("cid").alias("id")).agg(F.min("lab").alias("cid")), "own")
+    child, _ = restream.restream_parallel(level, own, cfg)
+    for fine, to in reversed(path):
+        child, _ = restream.restream_parallel(fine, io.settle(quotient.project(to, _named(child)), "child"), cfg)
+    return child
+
+
+def split_table(graph: Graph, member: DataFrame, seed: int, most: int = 200_000) -> DataFrame:
+    """Every cluster in two blocks of about equal weight: by growth and exchange in a task of its own up to most rows, by hash beyond."""
+    own = member.withColumnRenamed("cid", "lab")
+    there = own.select(F.col("id").alias("dst"), F.col("lab").alias("other"))
+    inside = graph.arcs.where("src <> dst").join(own.withColumnRenamed("id", "src"), "src").join(there, "dst").where("lab = other").select("lab", F.col("src").alias("a"), F.col("dst").alias("b"), "w")
+    rows = inside.union(graph.nodes.join(own, "id").select("lab", F.col("id").alias("a"), F.lit(None).cast("long").alias("b"), F.col("cw").alias("w")))
+    size = rows.groupBy("lab").agg(F.count("*").alias("rows"))
+    small, large = rows.join(size.where(F.col("rows") <= most).select("lab"), "lab", "left_semi"), own.join(size.where(F.col("rows") > most).select("lab"), "lab", "left_semi")
+
+    def halve(pdf: pd.DataFrame) -> pd.DataFrame:
+        node = pdf["b"].isna().to_numpy()
+        ids = sorted(pdf["a"][node].tolist())
+        place = {x: i for i, x in enumerate(ids)}
+        weight = [0] * len(ids)
+        for x, w in zip(pdf["a"][node].tolist(), pdf["w"][node].tolist(), strict=True):
+            weight[place[x]] = w
+        arcs = sorted((place[x], place[int(y)], w) for x, y, w in zip(pdf["a"][~node].tolist(), pdf["b"][~node].tolist(), pdf["w"][~node].tolist(), strict=True))
+        block = set(kernels.bisect(kernels.Mem(len(ids), arcs, weight), list(range(len(ids))), random.Random(seed + ids[0])))
+        first = [ids[min(block)] if block else 0, ids[min(set(range(len(ids))) - block)] if len(block) < len(ids) else 0]
+        return pd.DataFrame({"id": ids, "cid": [first[i not in block] for i in range(len(ids))]})
+
+    cut = small.groupBy("lab").applyInPandas(halve, "id long, cid long")
+    side = large.select("id", "lab", F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(2)).alias("side"))
+    return io.settle(cut.union(side.join(side.groupBy("lab", "side").agg(F.min("id").alias("cid")), ["lab", "side"]).select("id", "cid")), "split")
+
+
+def evolve_tables(graph: Graph, cfg: MemeticConfig):
+    """(id, cid) of the best member and rows (epoch, island, round, kind, child, best, replaced), as of one island. Scores are kept per member."""
+    r, began = random.Random(cfg.seed), time.monotonic()
+    edges = graph.arcs.where("src <= dst").select(F.col("src").alias("ci"), F.col("dst").alias("cj"), "w")
+    pop = [individual_table(graph, r.randrange(1 << 30)) for _ in range(cfg.population)]
+    fit, rows = [score(graph, p) for p in pop], []
+
+    def pick():
+        return max(r.sample(range(len(pop)), min(cfg.tournament, len(pop))), key=lambda i: (fit[i], -i))
+
+    for k in range(cfg.max_rounds):
+        if cfg.time_limit_s is not None and time.monotonic() - began > cfg.time_limit_s:
+            break
+        i, j = pick(), pick()
+        for _ in range(8):
+            if i != j or len(pop) < 2:
+                break
+            j = pick()
+        better, seed = max((i, j), key=lambda x: (fit[x], -x)), r.randrange(1 << 30)
+        if r.random() < cfg.p_mutation:
+            kind, a, b = "mutation", split_table(graph, pop[i], seed), split_table(graph, pop[j], seed + 1)
+            child = recombine_multilevel_table(graph, a, b, max((a, b), key=lambda x: score(graph, x)), seed)
+        elif r.random() < cfg.p_flat:
+            kind, child = "flat", recombine_flat_table(graph, pop[i], pop[j])
+        else:
+            kind, child = "multilevel", recombine_multilevel_table(graph, pop[i], pop[j], pop[better], seed)
+        q = score(graph, child)
+        if kind != "mutation" and q < fit[better]:
+            child, q = pop[better], fit[better]
+        able = [x for x in range(len(pop)) if fit[x] <= q]
+        at = -1
+        if able:
+            members = [_named(pop[x]).select(F.lit(x).alias("ind"), "cid", "lab") for x in able]
+            far = {int(x["ind"]): int(x["distance"]) for x in cut_distances(edges, functools.reduce(DataFrame.unionByName, members), _named(child)).collect()}  # a row per member
+            at = min(able, key=lambda x: (far.get(x, 0), fit[x], x))
+            pop[at], fit[at] = child, q
+        rows.append((0, 0, k, kind, q, max(fit), at))
+    return pop[max(range(len(pop)), key=lambda x: (fit[x], -x))], rows
+
+
+# --- islands ---
 
 
-def _island(cfg: MemeticConfig, epoch: int, epochs: int, share: int, starts: list | None):
-    """The kernel of one island and epoch."""
+def _island(cfg: MemeticConfig, epoch: int, epochs: int, share: int):
+    """The kernel of one island and epoch. Rows of kind 0 are supernodes, 1 arcs, 2 the labels of a clustering to begin from."""
 
     def evolve(pdf: pd.DataFrame) -> pd.DataFrame:
         island = int(pdf["island"].iloc[0])
@@ -78,11 +215,15 @@ def _island(cfg: MemeticConfig, epoch: int, epochs: int, share: int, starts: lis
         by = a[own].argsort()
         ids, weight = a[own][by].tolist(), b[own][by].tolist()
         place = {c: i for i, c in enumerate(ids)}
-        arcs = sorted((place[x], place[y], z) for x, y, z in zip(a[~own].tolist(), b[~own].tolist(), w[~own].tolist(), strict=True))
+        arc, given = kind == 1, kind == 2
+        arcs = sorted((place[x], place[y], z) for x, y, z in zip(a[arc].tolist(), b[arc].tolist(), w[arc].tolist(), strict=True))
+        starts = [[0] * len(ids) for _ in set(w[given].tolist())]
+        for x, lab, which in zip(a[given].tolist(), b[given].tolist(), w[given].tolist(), strict=True):
+            starts[which][place[x]] = place[lab]
         g = kernels.Mem(len(ids), arcs, weight)
         t0 = time.monotonic()
         late = (lambda: time.monotonic() - t0 > cfg.time_limit_s / epochs) if cfg.time_limit_s is not None else None
-        label, trace, _ = kernels.evolve(g, max(cfg.population, len(starts or [])), share, cfg.seed * 1000 + epoch * 100 + island, cfg.p_mutation, cfg.p_flat, cfg.tournament, [list(s) for s in starts or []], late)
+        label, trace, _ = kernels.evolve(g, max(cfg.population, len(starts)), share, cfg.seed * 1000 + epoch * 100 + island, cfg.p_mutation, cfg.p_flat, cfg.tournament, starts, late)
         first: dict[int, int] = {}
         lab = [first.setdefault(c, ids[i]) for i, c in enumerate(label)]
         return pd.DataFrame({"island": island, "cid": [*ids, -1], "lab": [*lab, 0], "told": [b""] * len(ids) + [pickle.dumps((g.qnum(label), trace))]})
@@ -100,28 +241,24 @@ def memetic(edges: DataFrame, supernodes: DataFrame, cfg: MemeticConfig | None =
     n_edges = edges.count()
     two_m = int(supernodes.agg(F.coalesce(F.sum("vol"), F.lit(0))).first()[0])
     if choose_engine(n_edges, two_m, cfg) != "island":
-        nodes = supernodes.select(F.col("cid").alias("id"), F.col("cid").cast("string").alias("okey"), F.col("cid").alias("rank"), F.lit(1).cast("long").alias("deg"), F.col("vol").alias("wdeg"), "cw")
-        got = louvain.louvain_parallel(Graph(quotient.as_arcs(edges), nodes, two_m))
-        return got.select(F.col("id").alias("cid"), F.col("cid").alias("lab")), []
+        got, told = evolve_tables(quotient_graph(edges, supernodes), cfg)
+        return _named(got), told
     null = F.lit(0).cast("long")
     rows = supernodes.select(F.lit(0).alias("kind"), F.col("cid").alias("a"), "cw", null.alias("w")).union(quotient.as_arcs(edges).select(F.lit(1), "src", "dst", "w"))
-    starts, told, best = None, [], None
+    told, best = [], None
     epochs = 2 if cfg.islands > 1 else 1
     began = time.monotonic()
     for epoch in range(epochs):
         share = max(1, cfg.max_rounds // epochs)
         copies = rows.withColumn("island", F.explode(F.sequence(F.lit(0), F.lit(cfg.islands - 1))))
 
-        got = io.settle(copies.groupBy("island").applyInPandas(_island(cfg, epoch, epochs, share, starts), "island int, cid long, lab long, told binary"), "islands")
+        got = io.settle(copies.groupBy("island").applyInPandas(_island(cfg, epoch, epochs, share), "island int, cid long, lab long, told binary"), "islands")
         marks = {r["island"]: pickle.loads(r["told"]) for r in got.where("cid = -1").select("island", "told").collect()}
         told += [(epoch, i, *row) for i, (_, trace) in sorted(marks.items()) for row in trace]
         win = max(marks, key=lambda i: (marks[i][0], -i))
         best = got.where((F.col("island") == win) & (F.col("cid") >= 0)).select("cid", "lab")
-        if epoch + 1 < epochs:  # the islands' best, at most as many numbers as islands times supernodes of a graph that fits a task
-            tables = {i: [] for i in marks}
-            for r in got.where("cid >= 0").orderBy("island", "cid").select("island", "lab").toLocalIterator():
-                tables[r["island"]].append(r["lab"])
-            starts = [tables[i] for i in sorted(tables)]
+        # the islands' best, for all islands of the next epoch
+        rows = rows.union(got.where("cid >= 0").select(F.lit(2), "cid", "lab", F.col("island").cast("long")))
         if cfg.time_limit_s is not None and time.monotonic() - began > cfg.time_limit_s:
             break
     return best, told

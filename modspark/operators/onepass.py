@@ -1,17 +1,17 @@
-"""One pass over the node stream: exact in one task, in chunks over all tasks, or in waves."""
+"""One pass over the node stream: exact in one task, in waves over all tasks, or in chunks of sub-rounds."""
 
 from __future__ import annotations
 
 import itertools
 
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import io
 from ..config import MAX_INT_2M, ClusterConfig
 from ..functions import scoring
-from . import kernels, rounds
+from . import kernels, rounds, waves
 from .local import run_local
 from .prep import Graph
 
@@ -62,23 +62,30 @@ def _settle_nodes(graph: Graph, assign: DataFrame, todo: DataFrame, arcs: DataFr
     After max_subrounds the nodes that are left choose in rank order, in one task, once their arcs are no more than task_arcs; until
     then further sub-rounds follow. Each admits a move, so none that still gains is left out.
     """
-    left = itertools.count(1)
+    left, mine = itertools.count(1), []
     while True:
         vols = scoring.cluster_volumes(graph.nodes, assign)
         props, n = io.settle_counted(scoring.best_cluster(scoring.scored_candidates(arcs, graph.nodes, assign, graph.two_m, vols)), "props")
         if not n:
+            io.drop(props)
             return assign
         # arcs to earlier nodes alone show a conflict to one of its ends; both must see it
         both = arcs.select("src", "dst").union(arcs.select("dst", "src"))
-        moves = io.settle(rounds.admit(rounds.independent_set(both, props), graph.two_m), "moves")
+        moves = io.settle(rounds.admit(rounds.independent_set(both, props), graph.two_m, n), "moves")
+        old = [*mine, props]
         assign = io.settle(rounds.commit(assign, moves), "assign")
         arcs, n_arcs = io.settle_counted(arcs.join(moves.select("src"), "src", "left_anti"), "arcs")
+        mine = [assign, arcs]
+        io.drop(*old, moves)
         if next(left) >= max_subrounds and n_arcs <= task_arcs:
             return io.settle(rounds.commit(assign, _place_in_order(graph, assign, arcs)), "assign") if n_arcs else assign
 
 
-def stream_pass_batches(graph: Graph, n_batches: int = 8, max_subrounds: int = 6, candidates: str = "assigned", task_arcs: int = ClusterConfig.exact_limit_arcs) -> DataFrame:
-    """The stream in chunks of ranks; a chunk's nodes see the clusters of all earlier ranks and of their own chunk's, as they settle."""
+def stream_pass_batches(graph: Graph, n_batches: int = 32, max_subrounds: int = 16, candidates: str = "assigned", task_arcs: int = ClusterConfig.exact_limit_arcs) -> DataFrame:
+    """The stream in equal chunks of ranks; a chunk's nodes see the clusters of all earlier ranks and of their own chunk's, as they settle.
+
+    Kept for the candidate rule "all" and for comparison: the waves come closer to the sequential pass in fewer rounds.
+    """
     n = graph.nodes.count()
     assign = io.settle(init_singletons(graph.nodes), "assign")
     r = graph.nodes.select("id", "rank")
@@ -92,38 +99,22 @@ def stream_pass_batches(graph: Graph, n_batches: int = 8, max_subrounds: int = 6
     return assign
 
 
-def stream_pass_wavefront(graph: Graph, max_waves: int = 12, n_batches: int = 4, max_subrounds: int = 4) -> DataFrame:
-    """Waves of nodes whose earlier neighbours are all placed; after max_waves the rest goes in chunks.
+def stream_pass_wavefront(graph: Graph, max_waves: int | None = None) -> DataFrame:
+    """Waves of nodes whose earlier neighbours are all placed, without chunks: link weights are the sequential pass's, volumes those of the
+    wave's beginning. As many waves as the longest path of rising ranks is long; nodes that max_waves leave over stay alone."""
+    return waves.stream_pass_waves(graph, first=0, growth=1 << 40, ready=1.0, least=0.0, max_waves=max_waves)[0]
 
-    Within a wave link weights are exact, volumes those of the wave's beginning (admission bounds what they become).
-    """
-    r = graph.nodes.select("id", "rank")
-    back = graph.arcs.join(r.select(F.col("id").alias("src"), F.col("rank").alias("rs")), "src").join(r.select(F.col("id").alias("dst"), F.col("rank").alias("rd")), "dst").where("rd < rs").select("src", "dst", "w")
-    back = io.settle(back, "back")
-    assign, waiting = io.settle(init_singletons(graph.nodes), "assign"), io.settle(r.select("id"), "waiting")
-    for _ in range(max_waves):
-        blocked = back.join(waiting.select(F.col("id").alias("dst")), "dst", "left_semi").select(F.col("src").alias("id")).distinct()
-        ready = io.settle(waiting.join(blocked, "id", "left_anti"), "ready")
-        if ready.isEmpty():
-            return assign
-        assign = _settle_nodes(graph, assign, ready, io.settle(back.join(ready.select(F.col("id").alias("src")), "src", "left_semi"), "wave"), max_subrounds)
-        waiting = io.settle(waiting.join(ready, "id", "left_anti"), "waiting")
-    rest = waiting.join(r, "id")
-    n = rest.count()
-    if n:
-        cuts = [x[0] for x in rest.select("rank").sort("rank").withColumn("k", F.ntile(n_batches).over(Window.orderBy("rank"))).groupBy("k").agg(F.max("rank").alias("m")).sort("m").select("m").collect()]
-        low = -1
-        for high in cuts:
-            chunk = io.settle(rest.where((F.col("rank") > low) & (F.col("rank") <= high)).select("id"), "chunk")
-            assign = _settle_nodes(graph, assign, chunk, io.settle(back.join(chunk.select(F.col("id").alias("src")), "src", "left_semi"), "wave"), max_subrounds)
-            low = high
-    return assign
 
+def stream_pass(graph: Graph, cfg: ClusterConfig | None = None, with_quotient: bool = False) -> tuple[DataFrame, DataFrame | None]:
+    """(assign, quotient or None). The beginning of the stream, up to the limit, node by node in one task, the rest in waves.
 
-def stream_pass(graph: Graph, cfg: ClusterConfig | None = None) -> DataFrame:
-    """Exact below the size limit, in chunks beyond."""
+    The quotient is kept alongside the waves; a graph that one task places has none yet. The candidate rule "all" goes in chunks
+    beyond the limit.
+    """
     cfg = cfg or ClusterConfig()
     arcs = graph.nodes.agg(F.sum("deg")).first()[0] or 0
     if arcs <= cfg.exact_limit_arcs and graph.two_m < MAX_INT_2M:
-        return stream_pass_exact(graph, cfg.candidates)
-    return stream_pass_batches(graph, cfg.n_batches, cfg.max_subrounds, cfg.candidates, cfg.exact_limit_arcs)
+        return stream_pass_exact(graph, cfg.candidates), None
+    if cfg.candidates != "assigned":
+        return stream_pass_batches(graph, cfg.n_batches, cfg.max_subrounds, cfg.candidates, cfg.exact_limit_arcs), None
+    return waves.stream_pass_waves(graph, None, cfg.growth, cfg.ready, cfg.least, cfg.exact_limit_arcs, cfg.seed, None, with_quotient)[:2]

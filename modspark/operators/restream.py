@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import functools
 import time
 
 from pyspark.sql import DataFrame
@@ -30,37 +31,59 @@ def proposals(arcs: DataFrame, graph: Graph, assign: DataFrame, vols: DataFrame)
     return scoring.best_cluster(scoring.scored_candidates(arcs, graph.nodes, assign, graph.two_m, vols))
 
 
-def subround(graph: Graph, assign: DataFrame, active: DataFrame | None) -> tuple[DataFrame, int, int, DataFrame]:
-    """One conflict-free set of moves: the new assignment, how many proposed, how many moved, the moves."""
-    arcs = graph.arcs if active is None else io.settle(active_arcs(graph.arcs, active), "active")
-    vols = scoring.cluster_volumes(graph.nodes, assign)
+def moved_volumes(vols: DataFrame, moves: DataFrame) -> DataFrame:
+    """cid, vol after the moves (cur, target, d), and was: the volume before. Clusters that lose their last node stay, with volume 0."""
+    change = moves.select(F.col("target").alias("cid"), "d").union(moves.select("cur", -F.col("d"))).groupBy("cid").agg(F.sum("d").alias("change"))
+    return vols.select("cid", F.col("vol").alias("was")).join(change, "cid", "left").select("cid", (F.col("was") + F.coalesce("change", F.lit(0))).alias("vol"), "was")
+
+
+def exact_gain(moves: DataFrame, vols: DataFrame, two_m: int) -> int:
+    """What conflict-free moves add to the modularity's numerator: their links' weight, and the squares of the volumes that they change."""
+    links = int(moves.agg(F.coalesce(F.sum("links"), F.lit(0)).alias("x")).first()["x"])
+    v, w = F.col("vol").cast("decimal(38,0)"), F.col("was").cast("decimal(38,0)")
+    squares = vols.where("vol <> was").agg(F.sum((v * v - w * w).cast("decimal(38,0)")).alias("x")).first()["x"]
+    return 2 * two_m * links - int(squares or 0)
+
+
+def subround(graph: Graph, assign: DataFrame, arcs: DataFrame, vols: DataFrame) -> tuple[DataFrame, DataFrame, int, int, DataFrame, int]:
+    """One conflict-free set of moves: the new assignment and volumes, how many proposed, how many moved, the moves, and the gain."""
     props, n = io.settle_counted(proposals(arcs, graph, assign, vols), "props")
     if not n:
-        return assign, 0, 0, props.limit(0)
-    moves, moved = io.settle_counted(rounds.admit(rounds.independent_set(arcs, props), graph.two_m), "moves")
-    return io.settle(rounds.commit(assign, moves), "assign"), n, moved, moves
+        return assign, vols, 0, 0, props, 0
+    moves, moved = io.settle_counted(rounds.admit(rounds.independent_set(arcs, props), graph.two_m, n), "moves")
+    io.drop(props)
+    after = io.settle(moved_volumes(vols, moves), "volumes")
+    return io.settle(rounds.commit(assign, moves), "assign"), after, n, moved, moves, exact_gain(moves, after, graph.two_m)
 
 
 def restream_parallel(graph: Graph, assign: DataFrame, cfg: RestreamConfig | None = None, max_subrounds: int | None = None):
-    """assign and trace rows. A sweep settles the active nodes in sub-rounds; the relative gain is tested per sweep."""
+    """assign and trace rows. A sweep settles the active nodes in sub-rounds, whose arcs are read once; the relative gain is tested per sweep.
+
+    Volumes and the score are carried along by what the moves change, not computed anew. A sweep ends where all proposed moves were
+    admitted, none is left, or after max_subrounds (cfg's): what then still gains is active in the next sweep.
+    """
     cfg, rows, began = cfg or RestreamConfig(), [], time.monotonic()
-    q = lambda a: int(measures.modularity_num(measures.cluster_sums(graph.arcs, graph.nodes, a)).first()["qnum"])
-    now, active, scale = q(assign), None, float(graph.two_m) ** 2
+    now, active, scale = int(measures.modularity_num(measures.cluster_sums(graph.arcs, graph.nodes, assign)).first()["qnum"]), None, float(graph.two_m) ** 2
+    vols, mine = io.settle(scoring.cluster_volumes(graph.nodes, assign), "volumes"), []
+    n_all, arcs_all = (int(x or 0) for x in graph.nodes.agg(F.count("*"), F.sum("deg")).first())
     for r in range(cfg.max_rounds):
-        before, moved, movers, read = now, 0, None, 0
-        pending = active
-        n_active = graph.nodes.count() if active is None else active.count()
+        before, moved, movers, open_, own = now, 0, [], False, []
+        arcs, read, n_active = graph.arcs, arcs_all, n_all
+        if active is not None:
+            arcs, read = io.settle_counted(active_arcs(graph.arcs, active), "active")
+            n_active, own = active.count(), [arcs]
         for _ in range(max_subrounds or cfg.max_subrounds):
-            assign, proposed, admitted, moves = subround(graph, assign, pending)
-            moved += admitted
+            assign_, vols_, proposed, admitted, moves, gain = subround(graph, assign, arcs, vols)
+            open_ = admitted < proposed
             if not admitted:
+                io.drop(moves)
                 break
-            moves = moves.select("src")
-            movers = moves if movers is None else movers.union(moves)
-            if admitted == proposed:
+            io.drop(vols, *mine)
+            assign, vols, mine = assign_, vols_, [assign_]
+            now, moved = now + gain, moved + admitted
+            movers.append(moves)
+            if not open_:
                 break
-        read = int(graph.arcs.count() if active is None else active_arcs(graph.arcs, active).count())
-        now = q(assign) if moved else before
         gained = now - before
         stop = ""
         if not moved:
@@ -72,9 +95,17 @@ def restream_parallel(graph: Graph, assign: DataFrame, cfg: RestreamConfig | Non
         elif r == cfg.max_rounds - 1:
             stop = "rounds"
         rows.append(("restream", r, n_active, moved, gained / scale, now / scale, read, stop))
+        if not stop and cfg.active != "all":
+            old, active = active, next_active(graph.arcs, functools.reduce(DataFrame.union, [m.select("src") for m in movers]).distinct(), cfg.include_movers)
+            if open_:  # proposals that the last sub-round turned away
+                active = active.union(arcs.select(F.col("src").alias("id"))).distinct()
+            active = io.settle(active, "near")
+            if old is not None:
+                io.drop(old)
+        io.drop(*own, *movers)
         if stop:
             break
-        active = None if cfg.active == "all" else io.settle(next_active(graph.arcs, movers.distinct(), cfg.include_movers), "near")
+    io.drop(vols)
     return assign, rows
 
 

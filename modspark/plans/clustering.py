@@ -17,9 +17,6 @@ from ..operators.prep import Graph, with_order
 #: mode -> (refine the quotient, re-stream)
 MODES = {"single_pass": (False, False), "single_pass_restream": (False, True), "single_pass_memetic": (True, False), "full": (True, True)}
 
-#: What a mode is reported as where its quotient is beyond the islands' limit: there parallel rounds take the evolution's place.
-BEYOND = {"single_pass_memetic": "single_pass_louvain", "full": "full_louvain"}
-
 
 @dataclass
 class ClusterResult:
@@ -46,12 +43,13 @@ def cluster(graph: Graph, mode: str = "full", cfg: ClusterConfig | None = None)
         took[f"{name}_s"] = round(time.monotonic() - t, 3)
         return got
 
-    out.assign = timed("pass", lambda: onepass.stream_pass(graph, cfg))
+    out.assign, out.quotient = timed("pass", lambda: onepass.stream_pass(graph, cfg, refine))
     out.stats["k_pass"] = out.assign.select("cid").distinct().count()
     if refine:
 
         def evolve():
-            out.quotient = io.settle(quotient.contract(graph.arcs, out.assign), "quotient")
+            if out.quotient is None:  # placed by one task; the waves keep it alongside
+                out.quotient = io.settle(quotient.contract(graph.arcs, out.assign), "quotient")
             supernodes = io.settle(quotient.supernodes(out.quotient, graph.nodes, out.assign), "supernodes")
             best, rows = memetic.memetic(out.quotient, supernodes, cfg.memetic)
             before = measures.modularity_num(measures.cluster_sums(graph.arcs, graph.nodes, out.assign)).first()["qnum"]
@@ -62,8 +60,7 @@ def cluster(graph: Graph, mode: str = "full", cfg: ClusterConfig | None = None)
             scale = float(graph.two_m) ** 2 or 1.0
             out.trace += [("memetic", r, 0, int(at >= 0), 0.0, best_q / scale, 0, kind) for _, _, r, kind, _, best_q, at in rows]
             out.stats["q_edges"] = out.quotient.count()
-            if memetic.choose_engine(out.stats["q_edges"], graph.two_m, cfg.memetic) != "island":
-                out.stats["mode"] = BEYOND[mode]
+            out.stats["engine"] = memetic.choose_engine(out.stats["q_edges"], graph.two_m, cfg.memetic)
 
         timed("memetic", evolve)
     if again:

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import os
 import resource
+import threading
 import time
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from .. import schema
 from ..config import ClusterConfig, MemeticConfig, RestreamConfig
@@ -50,6 +53,61 @@ def peak_mb() -> float:
     return resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024
 
 
+def _resident_mb() -> dict[str, float]:
+    """Resident memory of this process, its JVM and their Python workers, where there is a /proc (one machine)."""
+    parent, held, name = {}, {}, {}
+    for pid in filter(str.isdigit, os.listdir("/proc")):
+        try:
+            with open(f"/proc/{pid}/stat") as f:
+                said = f.read()
+            with open(f"/proc/{pid}/statm") as f:
+                held[int(pid)] = int(f.read().split()[1]) * os.sysconf("SC_PAGE_SIZE") / 1e6
+        except OSError:
+            continue
+        name[int(pid)] = said[said.index("(") + 1 : said.rindex(")")]
+        parent[int(pid)] = int(said[said.rindex(")") + 2 :].split()[1])
+    out = {"driver": held.get(os.getpid(), 0.0), "jvm": 0.0, "workers": 0.0}
+    for pid in parent:
+        up = pid
+        while up > 1 and up != os.getpid():
+            up = parent.get(up, 0)
+        if up == os.getpid() and pid != os.getpid():
+            out["jvm" if name[pid] == "java" else "workers"] += held[pid]
+    return out
+
+
+class Memory:
+    """Peak memory while a block runs, sampled: all processes, and Python workers alone. added_mb: beyond what was there before."""
+
+    def __init__(self, every: float = 0.1):
+        self.every, self.peak, self.workers, self._stop = every, 0.0, 0.0, threading.Event()
+
+    def __enter__(self):
+        self.before = sum(_resident_mb().values())
+        self._thread = threading.Thread(target=self._watch, daemon=True)
+        self._thread.start()
+        return self
+
+    def _watch(self):
+        while True:
+            now = _resident_mb()
+            self.peak, self.workers = max(self.peak, sum(now.values())), max(self.workers, now["workers"])
+            if self._stop.wait(self.every):
+                return
+
+    def __exit__(self, *_):
+        self._stop.set()
+        self._thread.join()
+        self.added = max(0.0, self.peak - self.before)
+
+
+def run_measured(g: Graph, algo: str, cfg: ClusterConfig, v_max="n") -> tuple[DataFrame, dict]:
+    """run_one(), with peak memory of all processes and of the Python workers."""
+    with Memory() as m:
+        assign, figures = run_one(g, algo, cfg, v_max)
+    return assign, figures | {"memory_mb": m.peak, "worker_mb": m.workers, "added_mb": m.added}
+
+
 def score_rows(name: str, algo: str, g: Graph, truth: DataFrame | None, assign: DataFrame, figures: dict) -> list[tuple]:
     algo = figures.get("mode", algo)
     rows = [(name, algo, "modularity", measures.modularity(g.arcs, g.nodes, assign)), (name, algo, "k", float(assign.select("cid").distinct().count()))]
@@ -65,20 +123,44 @@ def compare(spark: SparkSession, sf_dir: str, names: list[str], cfg: ClusterConf
     for name in names:
         g, truth = load(spark, sf_dir, name)
         for algo in algos:
-            assign, figures = run_one(g, algo, cfg)
+            assign, figures = run_measured(g, algo, cfg)
             rows += score_rows(name, algo, g, truth, assign, figures)
     return spark.createDataFrame(rows, schema.SCORES)
 
 
+STREAMING = (*clustering.MODES, "edge_stream")
+
+
+def resource_boxes(scores: DataFrame) -> DataFrame:
+    """scope, algo, metric and five numbers of seconds and memory: streaming methods on all graphs; all methods on graphs that all finished."""
+    own = scores.where("metric in ('seconds', 'memory_mb', 'worker_mb', 'state_rows')")
+    every = methodology.box_summary(own.where(own["algo"].isin(list(STREAMING)))).withColumn("scope", F.lit("streaming, all graphs"))
+    timed = own.where("metric <> 'state_rows'")
+    common = methodology.box_summary(methodology.common_instances(timed, list(ALGOS))).withColumn("scope", F.lit("all, common graphs"))
+    return every.unionByName(common).select("scope", "algo", "metric", "low", "q1", "mid", "q3", "high", "runs")
+
+
+def scaling(spark: SparkSession, edges: tuple = (100_000, 1_000_000, 10_000_000), mode: str = "single_pass", cfg: ClusterConfig | None = None) -> DataFrame:
+    """Planted graphs of growing size under one mode: seconds, modularity, state rows and peak memory per number of edges."""
+    rows = []
+    for m in edges:
+        n = m // 5
+        g = normalise_graph(synth.planted_partition(spark, n, max(10, n // 100), 10, 0.8))
+        assign, figures = run_measured(g, mode, cfg or ClusterConfig())
+        name = f"planted {m}"
+        rows += [(name, mode, k, float(v)) for k, v in figures.items() if k != "mode"]
+        rows += [(name, mode, "modularity", measures.modularity(g.arcs, g.nodes, assign)), (name, mode, "nodes", float(n)), (name, mode, "state_rows_per_node", figures["state_rows"] / n)]
+    return spark.createDataFrame(rows, schema.SCORES)
+
+
 def quality_table(scores: DataFrame) -> DataFrame:
     """One row per graph, one column per algo."""
-    ran = {r["algo"] for r in scores.select("algo").distinct().collect()}
-    return scores.where("metric = 'modularity'").groupBy("instance").pivot("algo", [*ALGOS, *(x for x in clustering.BEYOND.values() if x in ran)]).max("value")
+    return scores.where("metric = 'modularity'").groupBy("instance").pivot("algo", list(ALGOS)).max("value")
 
 
 def mode_profiles(scores: DataFrame, modes: tuple = tuple(clustering.MODES)) -> DataFrame:
     """Profiles of modularity (falling from 1), seconds and state rows."""
-    own = scores.where(scores["algo"].isin([*modes, *(clustering.BEYOND[m] for m in modes if m in clustering.BEYOND)]))
+    own = scores.where(scores["algo"].isin(list(modes)))
     up = methodology.performance_profile(own.where("metric = 'modularity' and value > 0"), [1.0, 0.99, 0.95, 0.9, 0.8, 0.5], "max")
     down = methodology.performance_profile(own.where("metric in ('seconds', 'state_rows')"), [1.0, 1.5, 2.0, 5.0, 10.0, 20.0], "min")
     return up.unionByName(down)
@@ -125,7 +207,7 @@ def restream_ablation(spark: SparkSession, sf_dir: str, names: list[str]) -> Dat
     rows = []
     for name in names:
         g, _ = load(spark, sf_dir, name)
-        start = onepass.stream_pass(g)
+        start, _ = onepass.stream_pass(g)
         for active in ("neighbours", "all"):
             for x in (0.0, 0.05):
                 a, trace = restream.restream_exact(g, start, RestreamConfig(min_rel_gain=x, active=active, max_rounds=100, time_limit_s=None))

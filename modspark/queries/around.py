@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from .. import io
 from ..functions import scoring, udf
-from ..operators import components
+from ..operators import components, onepass
 from ..plans import inspect, state
 from ..sources import edges, metis
 from ..streaming import streams
@@ -440,6 +440,20 @@ def _(spark, sf_dir):
     return h.groupBy("cid").agg(F.count("*").alias("n"), (F.abs(2 * F.sum("half") - F.count("*")) <= 2).alias("balanced"))
 
 
+@query("udf_grouped_arrow", with_graph("G6", "SELECT id % 7 AS cid, count(*) AS n, CAST(sum(wdeg) AS BIGINT) AS vol, max(wdeg) AS heaviest FROM nodes GROUP BY 1"))
+def _(spark, sf_dir):
+    g = graph(spark, sf_dir, "G6")
+    return udf.cluster_figures(g.nodes, mod_assign(g, 7))
+
+
+@query("udtf_neighbours", with_graph("G1w", "SELECT src, CAST(row_number() OVER (PARTITION BY src ORDER BY w DESC, dst) - 1 AS INTEGER) AS place, dst, w FROM arcs", unit=False))
+def _(spark, sf_dir):
+    g = graph(spark, sf_dir, "G1w", False)
+    spark.udtf.register("node_neighbours", udf.neighbours_udtf())
+    g.arcs.groupBy("src").agg(F.collect_list(F.struct("dst", "w")).alias("a")).select("src", "a.dst", "a.w").createOrReplaceTempView("ms_adjacency")
+    return spark.sql("SELECT src, n.place, n.dst, n.w FROM ms_adjacency, LATERAL node_neighbours(ms_adjacency.dst, ms_adjacency.w) n")
+
+
 @query("udaf_grouped_agg", "SELECT round(-sum(p * ln(p)), 6) AS entropy FROM (SELECT count(*) / CAST(sum(count(*)) OVER () AS DOUBLE) AS p FROM customer GROUP BY c_nationkey)")
 def _(spark, sf_dir):
     return table(spark, sf_dir, "customer").groupBy(F.lit(0).alias("all")).agg(udf.entropy_udaf()("c_nationkey").alias("e")).select(r6("e", "entropy"))
@@ -510,6 +524,16 @@ def _(spark, sf_dir):
     return streams.run_all(streams.edge_degrees(spark, streams.split_files(e, "u", 4, "edges"), "u long, v long"), "complete")
 
 
+@query("stream_pass_microbatch_certificate", _FACTS)
+def _(spark, sf_dir):
+    """A stream of node records against the batch form of the same chunks: lost, doubled or differing nodes are violations."""
+    g = graph(spark, sf_dir, "G8")
+    half = -(-g.nodes.count() // 2)
+    got, batch = streams.node_stream_pass(g, 2, 2), onepass.stream_pass_batches(g, 2, 2)
+    off = got.join(batch.withColumnRenamed("cid", "other"), "id", "full").where(~F.col("cid").eqNullSafe(F.col("other"))).count() if half else 0
+    return _facts(graph(spark, sf_dir, "G6"), onepass.init_singletons(graph(spark, sf_dir, "G6").nodes), off)
+
+
 @query("stream_foreach_batch_assign", _FACTS)
 def _(spark, sf_dir):
     g = graph(spark, sf_dir, "G6")

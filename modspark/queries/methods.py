@@ -7,12 +7,12 @@ from pyspark.sql import functions as F
 
 from ..config import ClusterConfig, MemeticConfig, RestreamConfig
 from ..functions import measures, methodology, scoring
-from ..operators import baselines, components, kernels, louvain, memetic, onepass, quotient, restream
+from ..operators import baselines, components, kernels, louvain, memetic, onepass, quotient, restream, waves
 from ..operators.local import run_local
 from ..plans import clustering
 from ..sources import graphs
 from .base import graph, mod_assign, query, r6, table
-from .sqlgraph import edge_stream, one_pass, with_graph
+from .sqlgraph import edge_stream, one_pass, wave_pass, with_graph
 from .sqlgraph import restream as restream_sql
 
 # --- graphs ---
@@ -287,7 +287,27 @@ def _(spark, sf_dir):
 @query("single_pass_wavefront_certificate", _FACTS)
 def _(spark, sf_dir):
     g = graph(spark, sf_dir, "G6")
-    return _facts(g, onepass.stream_pass_wavefront(g, 3, 1, 2))
+    return _facts(g, onepass.stream_pass_wavefront(g, 4))
+
+
+@query("single_pass_waves", with_graph("G6", "SELECT id, coalesce(cid, id) AS cid FROM w4", wave_pass(4)))
+def _(spark, sf_dir):
+    """The parallel pass over the whole stream, four waves far: its clusters, node by node."""
+    return waves.stream_pass_waves(graph(spark, sf_dir, "G6"), first=0, growth=1 << 40, ready=0.9, least=0.0, max_waves=4)[0]
+
+
+@query("single_pass_waves_quotient", with_graph("G6", "SELECT CAST(least(x.cid, y.cid) AS BIGINT) AS ci, CAST(greatest(x.cid, y.cid) AS BIGINT) AS cj, CAST(sum(CASE WHEN x.cid = y.cid THEN 2 * h.w ELSE h.w END) AS BIGINT) AS w FROM half h JOIN asg x ON x.id = h.u JOIN asg y ON y.id = h.v GROUP BY 1, 2", wave_pass(3) + ", asg AS MATERIALIZED (SELECT id, coalesce(cid, id) AS cid FROM w3)"))
+def _(spark, sf_dir):
+    """The quotient that the parallel pass keeps alongside, three waves far."""
+    return waves.stream_pass_waves(graph(spark, sf_dir, "G6"), first=0, growth=1 << 40, ready=0.9, least=0.0, max_waves=3, with_quotient=True)[1]
+
+
+@query("single_pass_waves_full")
+def _(spark, sf_dir):
+    """The parallel pass with its defaults behind a short prefix, and the sequential pass: modularity of both."""
+    g = graph(spark, sf_dir, "G6")
+    a, b = waves.stream_pass_waves(g, first=64)[0], onepass.stream_pass_exact(g)
+    return spark.createDataFrame([(name, measures.modularity(g.arcs, g.nodes, x)) for name, x in (("waves", a), ("sequential", b))], "form string, modularity double")
 
 
 # --- quotient on G6 by remainder ---
@@ -377,6 +397,13 @@ def _(spark, sf_dir):
     return restream.next_active(g.arcs, restream.proposals(g.arcs, g, a, scoring.cluster_volumes(g.nodes, a)))
 
 
+@query("restream_first_round_exact", with_graph("G6", "SELECT k AS id, com AS cid FROM st WHERE k >= 0", restream_sql("SELECT id, id % 7 AS cid FROM nodes", 1)))
+def _(spark, sf_dir):
+    """The first round, over all nodes."""
+    g = graph(spark, sf_dir, "G6")
+    return restream.restream_exact(g, mod_assign(g, 7), RestreamConfig(min_rel_gain=0.0, max_rounds=1, time_limit_s=None))[0]
+
+
 @query("restream_trace", with_graph("G8", "SELECT count(*) AS nodes, CAST(0 AS BIGINT) AS violations FROM nodes"))
 def _(spark, sf_dir):
     g = graph(spark, sf_dir, "G8")
@@ -414,7 +441,22 @@ def _(spark, sf_dir):
     return baselines.edge_stream_capped(graph(spark, sf_dir, "G8"), "n", materialise=True)
 
 
-@query("edge_stream_sweep")
+_SHUFFLED = "md5(least(u, v) || '-' || greatest(u, v) || '-1'), least(u, v), greatest(u, v)"
+
+
+def _shuffled(cap_sql: str, body: str) -> str:
+    return with_graph("G6", body, edge_stream(cap_sql, _SHUFFLED).replace("AS seq, u, v FROM half", "AS seq, least(u, v) AS u, greatest(u, v) AS v FROM half"))
+
+
+@query("edge_stream_shuffled", _shuffled("(SELECT n FROM tot)", "SELECT k AS id, com AS cid FROM st WHERE k >= 0"))
+def _(spark, sf_dir):
+    return baselines.edge_stream_capped(graph(spark, sf_dir, "G6"), "n", "shuffle")
+
+
+_CAPS = {"n": "(SELECT n FROM tot)", "sqrt": "(SELECT CAST(floor(two_m / sqrt(n)) AS BIGINT) FROM tot)", "10000": "10000"}
+
+
+@query("edge_stream_sweep", " UNION ALL ".join(f"SELECT * FROM ({_shuffled(x, 'SELECT ' + repr(c) + ' AS v_max, count(DISTINCT com) AS k, count(*) AS n FROM st WHERE k >= 0')})" for c, x in _CAPS.items()))
 def _(spark, sf_dir):
     g = graph(spark, sf_dir, "G6")
     got = baselines.edge_stream_sweep(g, ["n", "sqrt", 10_000], "shuffle")
@@ -461,6 +503,15 @@ def _(spark, sf_dir):
     return _facts(g, a, sum(y < x for x, y in zip(track, track[1:], strict=False)))
 
 
+@query("louvain_levels_monotone", _FACTS)
+def _(spark, sf_dir):
+    """Levels never fall, and the last one is the clustering's score."""
+    g = graph(spark, sf_dir, "G6")
+    a, track = louvain.louvain_exact(g, 5)
+    last = int(measures.modularity_num(measures.cluster_sums(g.arcs, g.nodes, a)).first()["qnum"])
+    return _facts(g, a, sum(y < x for x, y in zip(track, track[1:], strict=False)) + int(track[-1] != last))
+
+
 @query("louvain_parallel_certificate", _FACTS)
 def _(spark, sf_dir):
     g = graph(spark, sf_dir, "G6")
@@ -585,10 +636,13 @@ _ALL = [*(f"G{i}" for i in range(1, 11)), *(f"S{i}" for i in range(1, 7))]
 
 for _mode in clustering.MODES:
 
-    @query(f"mode_{_mode}", _FACTS)
+    @query(f"mode_{_mode}", with_graph("G6", "SELECT node AS id, cid FROM st", one_pass("assigned")) if _mode == "single_pass" else _FACTS)
     def _(spark, sf_dir, mode=_mode):
+        """single_pass: the assignment itself; the others: facts, with a lower score than the one pass's and lost nodes as violations."""
         g = graph(spark, sf_dir, "G6")
         r = clustering.cluster(g, mode, _CFG)
+        if mode == "single_pass":
+            return r.assign
         s = measures.modularity_num(measures.cluster_sums(g.arcs, g.nodes, r.assign)).first()
         base = onepass.stream_pass_exact(g)
         facts = _facts(g, base)
@@ -618,6 +672,22 @@ def _(spark, sf_dir):
     return experiments.mode_profiles(experiments.compare(spark, sf_dir, _ALL, _CFG, tuple(clustering.MODES)))
 
 
+@query("rq_time_and_memory")
+def _(spark, sf_dir):
+    """Boxes of seconds and memory: the streaming methods on all graphs, and all methods on the graphs that all finished."""
+    from ..plans import experiments
+
+    return experiments.resource_boxes(experiments.compare(spark, sf_dir, _ALL, _CFG))
+
+
+@query("rq_scaling")
+def _(spark, sf_dir):
+    """The growing planted graphs: seconds, state rows, bytes of state per node and scratch, by number of edges."""
+    from ..plans import experiments
+
+    return experiments.scaling(spark, (20_000, 100_000, 500_000))
+
+
 @query("rq_ground_truth")
 def _(spark, sf_dir):
     from ..plans import experiments
@@ -716,6 +786,12 @@ def _(spark, sf_dir):
     return methodology.relative(scores(spark), "full", "louvain").select("instance", "metric", r6("relative", "relative"))
 
 
+@query("within_ten_percent", f"WITH {_S} SELECT count(*) AS instances, count(*) FILTER (WHERE x.value >= 0.9 * y.value) AS within, round(avg(CASE WHEN x.value >= 0.9 * y.value THEN 1.0 ELSE 0.0 END), 6) AS share FROM s x JOIN s y ON x.instance = y.instance WHERE x.algo = 'single_pass_restream' AND y.algo = 'full'")
+def _(spark, sf_dir):
+    """On how many instances the re-streamed pass is within ten percent of the strongest mode."""
+    return methodology.within(scores(spark), "single_pass_restream", "full", 0.1).select("instances", "within", r6("share", "share"))
+
+
 for _better, _taus, _op in (("max", [1.0, 0.95, 0.9, 0.75, 0.5], ">="), ("min", [1.0, 1.1, 1.5, 2.0, 5.0], "<=")):
 
     @query(f"performance_profile_{_better}", f"WITH {_S}, b AS (SELECT *, {_better}(value) OVER (PARTITION BY instance, metric) AS best FROM s) SELECT metric, algo, CAST(tau AS DOUBLE) AS tau, round(avg(CASE WHEN value / best {_op} tau THEN 1.0 ELSE 0.0 END), 6) AS share FROM b, (SELECT unnest({_taus}) AS tau) GROUP BY 1, 2, 3")
@@ -726,6 +802,3 @@ for _better, _taus, _op in (("max", [1.0, 0.95, 0.9, 0.75, 0.5], ">="), ("min",
 @query("box_summary", f"WITH {_S} SELECT algo, metric, round(min(value), 6) AS low, round(quantile_cont(value, 0.25), 6) AS q1, round(quantile_cont(value, 0.5), 6) AS mid, round(quantile_cont(value, 0.75), 6) AS q3, round(max(value), 6) AS high, count(value) AS runs FROM s GROUP BY 1, 2")
 def _(spark, sf_dir):
     return methodology.box_summary(scores(spark)).select("algo", "metric", *[r6(c, c) for c in ("low", "q1", "mid", "q3", "high")], "runs")
-
-
-

@@ -100,15 +100,16 @@ st(k, com, deg) USING KEY (k) AS (
       FROM es e JOIN (SELECT com AS c FROM st WHERE k = -1) cur ON e.seq = cur.c JOIN recurring.st a ON a.k = e.u JOIN recurring.st b ON b.k = e.v) y) z)"""
 
 
-def restream(start: str) -> str:
-    """CTEs begin (id, cid) from the SQL start, and st (k, com, d, due0, due1): flags of even and odd rounds; row -1 holds (round, last id)."""
+def restream(start: str, rounds: int = 1 << 30) -> str:
+    """CTEs begin (id, cid) from the SQL start, and st (k, com, d, due0, due1): flags of even and odd rounds; row -1 holds (round, last id).
+    rounds: how many are made at most."""
     return f"""begin_ AS MATERIALIZED ({start}),
 st(k, com, d, due0, due1) USING KEY (k) AS (
   SELECT n.id, b.cid, n.wdeg, true, false FROM nodes n JOIN begin_ b ON b.id = n.id UNION ALL SELECT -1, 0, -1, false, false
   UNION ALL
   SELECT o.k, o.com, o.d, o.due0, o.due1 FROM (
     WITH cur AS (SELECT com AS r, d AS last FROM recurring.st WHERE k = -1),
-    nxt AS (SELECT min(s.k) AS v FROM recurring.st s, cur WHERE s.k > cur.last AND s.k >= 0 AND CASE WHEN cur.r % 2 = 0 THEN s.due0 ELSE s.due1 END),
+    nxt AS (SELECT min(s.k) AS v FROM recurring.st s, cur WHERE cur.r < {rounds} AND s.k > cur.last AND s.k >= 0 AND CASE WHEN cur.r % 2 = 0 THEN s.due0 ELSE s.due1 END),
     lk AS (SELECT s.com AS c, sum(a.w) AS k FROM arcs a JOIN nxt ON a.src = nxt.v JOIN recurring.st s ON s.k = a.dst GROUP BY 1),
     me AS (SELECT s.k AS v, s.com AS cur, s.d, s.due0, s.due1, coalesce((SELECT lk.k FROM lk WHERE lk.c = s.com), 0) AS own FROM recurring.st s JOIN nxt ON s.k = nxt.v),
     vol AS (SELECT com AS c, sum(d) AS x FROM recurring.st WHERE k >= 0 GROUP BY 1),
@@ -123,5 +124,22 @@ st(k, com, d, due0, due1) USING KEY (k) AS (
     UNION ALL
     SELECT -1, cur.r, nxt.v, false, false FROM cur, nxt WHERE nxt.v IS NOT NULL
     UNION ALL
-    SELECT -1, cur.r + 1, -1, false, false FROM cur, nxt WHERE nxt.v IS NULL
+    SELECT -1, cur.r + 1, -1, false, false FROM cur, nxt WHERE nxt.v IS NULL AND cur.r + 1 < {rounds}
       AND EXISTS (SELECT 1 FROM recurring.st s, cur c2 WHERE s.k >= 0 AND CASE WHEN c2.r % 2 = 0 THEN s.due1 ELSE s.due0 END)) o)"""
+
+
+def wave_pass(n_waves: int, ready: int = 900) -> str:
+    """CTEs w0 .. w<n_waves> (id, cid): the first waves of the pass over the whole stream in id order; cid is null while a node waits."""
+    out = ["w0 AS MATERIALIZED (SELECT id, CAST(NULL AS BIGINT) AS cid FROM nodes)"]
+    for i in range(n_waves):
+        out.append(f"""r{i} AS MATERIALIZED (SELECT n.id, n.wdeg AS d FROM nodes n JOIN w{i} s ON s.id = n.id AND s.cid IS NULL
+  LEFT JOIN (SELECT a.src, sum(a.w) AS b, coalesce(sum(a.w) FILTER (WHERE t.cid IS NOT NULL), 0) AS have FROM arcs a JOIN w{i} t ON t.id = a.dst WHERE a.dst < a.src GROUP BY 1) x ON x.src = n.id
+  WHERE x.b IS NULL OR x.have * 1000 // x.b >= {ready}),
+v{i} AS MATERIALIZED (SELECT s.cid, sum(n.wdeg) AS vol FROM w{i} s JOIN nodes n USING (id) WHERE s.cid IS NOT NULL GROUP BY 1),
+g{i} AS MATERIALIZED (SELECT k.id, k.d, k.cid, k.k, v.vol, (SELECT two_m FROM tot) * k.k - k.d * v.vol AS gain FROM
+  (SELECT r.id, r.d, s.cid, sum(a.w) AS k FROM r{i} r JOIN arcs a ON a.src = r.id JOIN w{i} s ON s.id = a.dst AND s.cid IS NOT NULL GROUP BY 1, 2, 3) k JOIN v{i} v USING (cid)),
+b{i} AS MATERIALIZED (SELECT id, any_value(d) AS d, arg_max((cid, k, vol, gain), (gain, -cid)) AS b FROM g{i} WHERE gain > 0 GROUP BY id),
+j{i} AS MATERIALIZED (SELECT id, d, b[1] AS cid, b[2] AS k, b[3] AS vol, coalesce(sum(d) OVER (PARTITION BY b[1] ORDER BY floor(log2(CAST(b[4] AS DOUBLE)) * 8) DESC, id >> 16, b[4] DESC, id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS joined FROM b{i}),
+w{i + 1} AS MATERIALIZED (SELECT s.id, CASE WHEN s.cid IS NOT NULL THEN s.cid WHEN r.id IS NULL THEN NULL WHEN j.id IS NULL THEN s.id
+  WHEN (SELECT two_m FROM tot) * j.k - j.d * (j.vol + j.joined) > 0 THEN j.cid END AS cid FROM w{i} s LEFT JOIN r{i} r USING (id) LEFT JOIN j{i} j USING (id))""")
+    return ",\n".join(out)
