@@ -42,8 +42,9 @@ WORDS, OVER, UNDER = 5, 3, 4
 STAR_ROUNDS = 2
 #: Matches that a node may ask for, and the costs of a list entry and of a verification in relation.
 LEVELS, LIST_COST, VERIFY_COST = (1, 2, 3, 4, 6, 8, 12, 16, 24, 32, 48, 64), 1.0, 40.0
-#: Input bytes for a bucket, and the least and greatest number of buckets (beyond 8 TB of input, buckets grow).
-BUCKET_BYTES, LEAST_BUCKETS, MOST_BUCKETS = 8 << 20, 16, 1 << 20
+#: Input bytes for a bucket, and the least and greatest number of buckets (beyond 16 TB of input, buckets grow); up to MOST_TASKS of them,
+#: each has a task of its own.
+BUCKET_BYTES, LEAST_BUCKETS, MOST_BUCKETS, MOST_TASKS = 16 << 20, 64, 1 << 20, 1 << 16
 #: A shingle is common in a batch of texts from this share of them on (and HOT_LEAST texts), and from fewer on where a bucket would get more
 #: than HOT_ENTRIES of its entries from all batches.
 HOT_SHARE, HOT_LEAST, HOT_ENTRIES = 1 / 64, 8, 1 << 19
@@ -482,14 +483,19 @@ def _verify(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame(out, columns=["u", "v"], dtype="int64")
 
 
+def _by_bucket(df: DataFrame, buckets: int):
+    """df grouped by bucket; dealt out by the bucket's number itself, where hashing would put several buckets into one task and none into others."""
+    return (df.repartitionById(buckets, "bucket") if buckets <= MOST_TASKS else df).groupBy("bucket")
+
+
 def link_classes(docs: DataFrame, star_rounds: int = STAR_ROUNDS, id_col: str = "doc_id", text_col: str = "text", list_nodes: int = LIST_NODES, hot: int | None = None, held: int = HELD_PAIRS) -> DataFrame:
     """doc_id, n_shingles, component_id of every row. list_nodes: nodes of a prefix list from which it is paired block by block. held:
     pairs that a task holds before it hands them on. hot: texts of a batch from which a shingle is common in it, whatever its share (None: by the number of batches)."""
     src = docs.select(*common.id_and_gone(id_col), common.whole_text(docs, text_col).alias("text"))
     buckets = min(common.task_count(src, LEAST_BUCKETS, BUCKET_BYTES), MOST_BUCKETS)
     sent = src.mapInPandas(_deal(buckets, max(HOT_LEAST, HOT_ENTRIES // common.task_count(src)) if hot is None else hot), SENT)
-    counted = sent.groupBy("bucket").applyInPandas(_count(buckets), SENT)
-    told = common.keep(counted.groupBy("bucket").applyInPandas(_nodes, NODES), "nodes")
+    counted = _by_bucket(sent, buckets).applyInPandas(_count(buckets), SENT)
+    told = common.keep(_by_bucket(counted, buckets).applyInPandas(_nodes, NODES), "nodes")
     rows = told.where("kind = 0").select(F.when(~F.col("gone"), F.col("doc_id")).alias("doc_id"), "digest", "size")
     nodes = told.where("kind = 1").drop("kind", "doc_id", "gone")
     firsts = rows.where("size > 0").groupBy("digest").agg(F.min("doc_id").alias("least"))
