@@ -49,7 +49,7 @@ BUCKET_BYTES, LEAST_BUCKETS, MOST_BUCKETS, MOST_TASKS = 16 << 20, 64, 1 << 20, 1
 #: than HOT_ENTRIES of its entries from all batches.
 HOT_SHARE, HOT_LEAST, HOT_ENTRIES = 1 / 64, 8, 1 << 19
 #: Nodes of a prefix list that one task pairs by itself, and blocks that a longer one is cut into at most; pairs that a task holds.
-LIST_NODES, MOST_BLOCKS, HELD_PAIRS = 1024, 64, 2_000_000
+LIST_NODES, MOST_BLOCKS, HELD_PAIRS = 1024, 64, 1_000_000
 
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 _MULT = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
@@ -57,7 +57,7 @@ _MULT = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667
 
 class _WordHashes(dict):
     def __missing__(self, word):
-        if len(self) > 500_000:
+        if len(self) > 200_000:
             self.clear()
         got = self[word] = xxhash.xxh3_64_intdigest(word)
         return got
@@ -149,11 +149,21 @@ def _named(low: np.ndarray, bucket) -> np.ndarray:
     return (low & np.uint64((1 << 48) - 1)) | (np.asarray(bucket).astype(np.uint64) & np.uint64(0xFFFF)) << np.uint64(48)
 
 
+def _portions(batches, chars: int = 8 << 20):
+    """The batches cut after so many characters of text: what a task holds depends on these, not on the rows of a batch."""
+    for pdf in batches:
+        ends, at = np.cumsum(pdf["text"].str.len().to_numpy()), 0
+        while at < len(pdf):
+            to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + chars, "right")))
+            yield pdf.iloc[at:to]
+            at = to
+
+
 def _deal(buckets: int, hot: int = 1 << 30):
     """hot: texts from which a shingle is common in a batch of any size."""
     def deal(batches):
         cache = _WordHashes()
-        for pdf in batches:
+        for pdf in _portions(batches):
             sets = [shingles(t, cache) for t in pdf["text"]]
             digests = np.array([xxhash.xxh3_64_intdigest(s.tobytes(), len(s)) for s in sets], np.uint64)
             sizes = np.array([len(s) for s in sets], np.int64)
@@ -167,7 +177,7 @@ def _deal(buckets: int, hot: int = 1 << 30):
             firsts = firsts[sizes[firsts] > 0]
             if len(firsts):
                 each = np.concatenate([sets[i] for i in firsts])
-                owner = np.repeat(firsts, sizes[firsts])
+                owner = np.repeat(firsts.astype(np.int32), sizes[firsts])
                 place = ((each >> np.uint64(40)) * np.uint64(buckets) >> np.uint64(24)).astype(np.uint16 if buckets <= 1 << 16 else np.uint32)
                 order = np.argsort(place, kind="stable")
                 each, owner, place = each[order], owner[order], place[order]
@@ -368,7 +378,7 @@ class _Finder:
 def _some_pairs(finder: _Finder, one: list, other: list | None, held: int):
     """All pairs of two blocks, or within one, some rows of their table at a time."""
     n, m = len(one[0]), len((other or one)[0])
-    step = max(1, 1_000_000 // max(m, 1))
+    step = max(1, 500_000 // max(m, 1))
     for at in range(0, n, step):
         if other is None:
             i, j = np.triu_indices(min(step, n - at), 1, n - at)
@@ -400,8 +410,8 @@ def _pairs(buckets: int, star: int | None, list_nodes: int = LIST_NODES, held: i
         if star is not None:
             head = np.repeat(cuts[:-1] + star, lengths)
             use = np.flatnonzero(np.repeat(lengths > star + (star == 0), lengths) & (head != np.arange(len(token))))
-            for at in range(0, len(use), 1_000_000):
-                part = use[at : at + 1_000_000]
+            for at in range(0, len(use), 500_000):
+                part = use[at : at + 500_000]
                 finder.add([c[head[part]] for c in columns], [c[part] for c in columns])
                 if (out := finder.packed(held)) is not None:
                     yield out
