@@ -25,7 +25,7 @@ from . import common, tokens
 
 LEXICON_WORDS = 32_768
 #: Counters that a task ends with, and those it holds while counting.
-COUNTERS, HELD = 65_536, 600_000
+COUNTERS, HELD = 65_536, 200_000
 #: Rows that leave an encoding worker at once.
 CHUNK = 256
 

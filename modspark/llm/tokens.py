@@ -25,7 +25,7 @@ import regex
 from tokenizers import Tokenizer
 
 #: Words whose codes a worker keeps at once.
-KEPT_WORDS = 400_000
+KEPT_WORDS = 100_000
 
 
 @lru_cache(maxsize=1)
