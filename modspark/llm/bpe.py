@@ -78,7 +78,7 @@ def compile_lexicon(docs: DataFrame, path: str, most: int = LEXICON_WORDS, text_
 
 def coder_for(path: str, blob: bytes) -> tokens.LexiconCoder:
     """This worker's coder over the mapped lexicon."""
-    return tokens.worker_cache(("coder", path, hashlib.sha256(blob).hexdigest()), lambda: tokens.LexiconCoder(path, tokens.Lexicon.mapped(blob)))
+    return tokens.worker_cache(("coder", path), lambda: tokens.LexiconCoder(path, tokens.Lexicon.mapped(blob)), hashlib.sha256(blob).digest())
 
 
 def encode(docs: DataFrame, path: str | None = None, lexicon_words: int = LEXICON_WORDS, text_col: str = "text", decoded: bool = True) -> DataFrame:

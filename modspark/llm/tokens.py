@@ -2,7 +2,7 @@
 
 ``LexiconCoder``: a minimal acyclic transducer holds frequent words with their ids as outputs. Words with equal endings share
 states; an id sequence is found through a minimal perfect hash (each arc carries the number of words that sort before it).
-The automaton and its outputs are three flat arrays in one file, memory-mapped by every Python worker of a machine. A word
+The automaton and its outputs are flat arrays in one file in memory, which each Python worker maps. A word
 that the lexicon lacks is merged pair by pair, by rank, and kept in a bounded table.
 
 ``ByteCoder``: the byte-level file, by its rank table, with the same bounded table.
@@ -10,12 +10,10 @@ that the lexicon lacks is merged pair by pair, by rank, and kept in a bounded ta
 
 from __future__ import annotations
 
-import hashlib
 import json
 import mmap
 import os
 import re
-import tempfile
 import unicodedata
 from array import array
 from functools import lru_cache
@@ -190,18 +188,10 @@ class Lexicon:
 
     @classmethod
     def mapped(cls, blob: bytes) -> Lexicon:
-        """Maps the file that this machine already has, or writes it first: one copy for all workers, named by its content."""
-        path = os.path.join(tempfile.gettempdir(), f"lexicon-{hashlib.sha256(blob).hexdigest()[:24]}")
-        try:
-            same = os.path.getsize(path) == len(blob)
-        except OSError:
-            same = False
-        if not same:
-            part = f"{path}.{os.getpid()}"
-            with open(part, "wb") as f:
-                f.write(blob)
-            os.replace(part, path)
-        with open(path, "rb") as f:
+        """Maps the bytes of a lexicon file from a file in memory, which no folder holds: it goes with its worker."""
+        with open(os.memfd_create("lexicon"), "wb+") as f:
+            f.write(blob)
+            f.flush()
             return cls(mmap.mmap(f.fileno(), 0, access=mmap.ACCESS_READ))
 
     def ids(self, word: str) -> np.ndarray | None:
@@ -256,6 +246,18 @@ def unassigned() -> re.Pattern:
     return re.compile("[" + "".join(f"\\U{a:08x}-\\U{b:08x}" for a, b in zip(cuts[::2], cuts[1::2], strict=True)) + "]")
 
 
+@lru_cache(maxsize=1)
+def _word_file(path: str) -> tuple[Tokenizer, dict[str, int], re.Pattern, dict[int, str]]:
+    """A word-level file's library model, added tokens, the rule that cuts these out, and pieces by id; once for all coders of a worker."""
+    with open(path, encoding="utf-8") as f:
+        told = json.load(f)
+    added = {x["content"]: x["id"] for x in told["added_tokens"]}
+    if any(x["single_word"] or x["lstrip"] or x["rstrip"] or x["normalized"] for x in told["added_tokens"]):
+        raise ValueError("added tokens that take in what is beside them, or are looked for in normalised text")
+    parts = re.compile("(" + "|".join(map(re.escape, sorted(added, key=len, reverse=True))) + ")") if added else re.compile("(?!)")
+    return Tokenizer.from_file(path), added, parts, {i: p for p, i in told["model"]["vocab"].items()}
+
+
 class LexiconCoder:
     """word_bpe: normalises, splits, looks words up, merges the rest; decodes as the library's ids-to-text does.
 
@@ -265,17 +267,9 @@ class LexiconCoder:
     """
 
     def __init__(self, path: str, lexicon: Lexicon | None = None):
-        self.signs = byte_signs()
         self.lexicon = lexicon
-        self.library = Tokenizer.from_file(path)
+        self.library, self.added, self.parts, self.names = _word_file(path)
         self.merge = self.library.model.tokenize
-        with open(path, encoding="utf-8") as f:
-            told = json.load(f)
-        self.added = {x["content"]: x["id"] for x in told["added_tokens"]}
-        if any(x["single_word"] or x["lstrip"] or x["rstrip"] or x["normalized"] for x in told["added_tokens"]):
-            raise ValueError("added tokens that take in what is beside them, or are looked for in normalised text")
-        self.parts = re.compile("(" + "|".join(map(re.escape, sorted(self.added, key=len, reverse=True))) + ")") if self.added else re.compile("(?!)")
-        self.names = {i: p for p, i in told["model"]["vocab"].items()}
         self.codes = _Codes(self._code)
 
     def merged_ids(self, word: str) -> list[int]:
@@ -347,8 +341,10 @@ class ByteCoder:
         return b"".join(map(self.codes.__getitem__, rule.findall(text)))
 
 
-def worker_cache(key, make, _made: dict = {}):  # noqa: B006  one per Python worker
-    if key not in _made:
-        _made[key] = make()
-    return _made[key]
+def worker_cache(key, make, version=None, _made: dict = {}):  # noqa: B006  one per Python worker
+    """What make() gave for the key in this worker; another version takes its place, so that workers of a long session don't fill up."""
+    if key not in _made or _made[key][0] != version:
+        _made.pop(key, None)
+        _made[key] = version, make()
+    return _made[key][1]
 
