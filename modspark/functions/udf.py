@@ -85,7 +85,7 @@ def cluster_figures(nodes: DataFrame, assign: DataFrame) -> DataFrame:
 
 
 def bisect_groups(arcs: DataFrame, assign: DataFrame, seed: int = 1) -> DataFrame:
-    """id, half: every cluster split into two blocks of about equal size, a cluster per group."""
+    """id, half: every cluster split into two blocks that differ by two nodes at most, a cluster per group."""
     from ..functions.measures import labelled_arcs
     from ..operators import kernels
 
@@ -98,7 +98,7 @@ def bisect_groups(arcs: DataFrame, assign: DataFrame, seed: int = 1) -> DataFram
         ids = sorted(pdf["src"].unique().tolist())
         place = {x: i for i, x in enumerate(ids)}
         g = kernels.Mem(len(ids), sorted((place[a], place[b], w) for a, b, w in zip(pdf["src"].tolist(), pdf["dst"].tolist(), pdf["w"].tolist(), strict=True) if w))
-        block = set(kernels.bisect(g, list(range(len(ids))), random.Random(seed)))
+        block = set(kernels.bisect(g, list(range(len(ids))), random.Random(seed), min(0.03, 2 / len(ids))))
         return pd.DataFrame({"id": ids, "half": [int(i in block) for i in range(len(ids))], "cid": int(pdf["cid"].iloc[0])})
 
     return inner.unionByName(alone).groupBy("cid").applyInPandas(halve, "id long, half int, cid long")
