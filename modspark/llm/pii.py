@@ -195,9 +195,10 @@ def candidates(text: str, start: int, end: int) -> tuple[list[int], list[tuple[i
         for kind in kinds:
             if kind == 0 and i and text[bounds[i] - 1] in _LOCAL:
                 continue  # an address begins where its run does
-            if not FORMS[kind].match(text, bounds[i], end):
+            longest = FORMS[kind].match(text, bounds[i], end)  # the forms are greedy: none of its kind ends later
+            if not longest:
                 continue
-            most = bounds[i] + LONGEST[kind]
+            most = min(bounds[i] + LONGEST[kind], longest.end())
             for j in range(i + 1, min(n, i + REACH) + 1):
                 if bounds[j] > most:
                     break
