@@ -24,6 +24,8 @@ from tokenizers import Tokenizer
 
 #: Words whose codes a worker keeps at once.
 KEPT_WORDS = 100_000
+#: Pieces of a byte-level file in each of a worker's two generations.
+KEPT_PIECES = 200_000
 
 
 @lru_cache(maxsize=1)
@@ -213,6 +215,24 @@ class _Codes(dict):
         return got
 
 
+class _AgedCodes(_Codes):
+    """_Codes in two generations: when the newer one is full it becomes the older, from which words that come up again return."""
+
+    def __init__(self, make, most: int = KEPT_PIECES):
+        super().__init__(make, most)
+        self.old: dict = {}
+
+    def __missing__(self, word):
+        if len(self) >= self.most:
+            self.old = dict(self)
+            self.clear()
+        got = self.old.get(word)
+        if got is None:
+            got = self.make(word)
+        self[word] = got
+        return got
+
+
 #: The split rule of word_bpe_49k.json, in general and for texts of plain letters.
 WORD_RULE = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\p{White_Space}\p{L}\p{N}]+")
 #: Letters and digits up to U+024F by their categories; a text of these and ASCII signs alone splits alike by the faster rule.
@@ -269,6 +289,7 @@ class LexiconCoder:
     def __init__(self, path: str, lexicon: Lexicon | None = None):
         self.lexicon = lexicon
         self.library, self.added, self.parts, self.names = _word_file(path)
+        self.signs = byte_signs()
         self.merge = self.library.model.tokenize
         self.codes = _Codes(self._code)
 
@@ -329,7 +350,7 @@ class ByteCoder:
         self.merge = self.library.model.tokenize
         with open(path, encoding="utf-8") as f:
             self.added = [x["content"] for x in json.load(f)["added_tokens"]]
-        self.codes = _Codes(self._code)
+        self.codes = _AgedCodes(self._code)
 
     def _code(self, piece: str) -> bytes:
         return array("I", [x.id for x in self.merge(signed(piece))]).tobytes()
