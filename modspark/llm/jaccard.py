@@ -24,7 +24,6 @@ with (null if none); an empty table gives an empty result; further columns are n
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -42,9 +41,16 @@ WORDS, OVER, UNDER = 5, 3, 4
 STAR_ROUNDS = 2
 #: Matches that a node may ask for, and the costs of a list entry and of a verification in relation.
 LEVELS, LIST_COST, VERIFY_COST = (1, 2, 3, 4, 6, 8, 12, 16, 24, 32, 48, 64), 1.0, 40.0
-#: Input bytes for a bucket, and the least and greatest number of buckets (beyond 16 TB of input, buckets grow); up to MOST_TASKS of them,
+#: Bytes of text for a bucket, and the least and greatest number of buckets (beyond 16 TB of text, buckets grow); up to MOST_TASKS of them,
 #: each has a task of its own.
 BUCKET_BYTES, LEAST_BUCKETS, MOST_BUCKETS, MOST_TASKS = 16 << 20, 64, 1 << 20, 1 << 16
+#: Characters of text that are dealt out at once.
+PORTION = 8 << 20
+#: Bytes of list entries for a bucket of lists; of nodes' shingles for a bucket of verifications; of pairs that are merged at once: those of a
+#: bucket of verifications are in so many shares.
+LIST_BYTES, SET_BYTES, PAIR_BYTES, SHARES = 4 << 20, 16 << 20, 8 << 20, 16
+#: Shingles that are held as Python sets at once (some 110 bytes each), and from how many on a text's are no set but stay an array.
+SET_TOKENS, LONG_SET = 500_000, 50_000
 #: A shingle is common in a batch of texts from this share of them on (and HOT_LEAST texts), and from fewer on where a bucket would get more
 #: than HOT_ENTRIES of its entries from all batches.
 HOT_SHARE, HOT_LEAST, HOT_ENTRIES = 1 / 64, 8, 1 << 19
@@ -114,6 +120,13 @@ def _runs(keys: np.ndarray) -> np.ndarray:
     return np.concatenate(([0], np.flatnonzero(keys[1:] != keys[:-1]) + 1, [len(keys)]))
 
 
+def _short_runs(keys: np.ndarray) -> np.ndarray:
+    """As _runs(), with long runs cut, so that a byte holds a run's length."""
+    cuts = _runs(keys)
+    long = np.flatnonzero(np.diff(cuts) > 255)
+    return np.unique(np.concatenate([cuts, *(np.arange(cuts[i], cuts[i + 1], 255) for i in long.tolist())])) if len(long) else cuts
+
+
 def bucket_of(digests: np.ndarray, buckets: int) -> np.ndarray:
     return ((digests >> np.uint64(40)) % np.uint64(buckets)).astype(np.int64)
 
@@ -149,7 +162,7 @@ def _named(low: np.ndarray, bucket) -> np.ndarray:
     return (low & np.uint64((1 << 48) - 1)) | (np.asarray(bucket).astype(np.uint64) & np.uint64(0xFFFF)) << np.uint64(48)
 
 
-def _portions(batches, chars: int = 8 << 20):
+def _portions(batches, chars: int = PORTION):
     """The batches cut after so many characters of text: what a task holds depends on these, not on the rows of a batch."""
     for pdf in batches:
         ends, at = np.cumsum(pdf["text"].str.len().to_numpy()), 0
@@ -196,8 +209,8 @@ def _deal(buckets: int, hot: int = 1 << 30):
                     each, owner, place = each[~is_common], owner[~is_common], place[~is_common]
                 cuts = _runs(place)
                 for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
-                    runs = _runs(owner[lo:hi])
-                    rows.append((int(place[lo]), SOME, _pack(_low(each[lo:hi]), digests[owner[lo:hi][runs[:-1]]], np.diff(runs).astype("<u4"))))
+                    runs = _short_runs(owner[lo:hi])
+                    rows.append((int(place[lo]), SOME, _pack(_low(each[lo:hi]), digests[owner[lo:hi][runs[:-1]]], np.diff(runs).astype("u1"))))
             yield pd.DataFrame(rows, columns=["bucket", "kind", "payload"])
 
     return deal
@@ -218,7 +231,7 @@ def _count(buckets: int):
         names = np.unique(np.concatenate(names)) if names else np.empty(0, np.uint64)
         tokens, digests = [], []
         for p in pdf["payload"][pdf["kind"] == SOME]:
-            low, owner, n = _unpack(p, "u1", "<u8", "<u4")
+            low, owner, n = _unpack(p, "u1", "<u8", "u1")
             tokens.append(_wide(low))
             digests.append(np.repeat(owner, n))
         if tokens:
@@ -314,15 +327,17 @@ def _post(buckets: int):
             reach = pdf["reach"].to_numpy().astype(np.int64)
             token = np.concatenate([np.frombuffer(t, "<u8", r) for t, r in zip(pdf["tokens"], reach, strict=True)]) if len(pdf) else np.empty(0, np.uint64)
             node = np.repeat(np.arange(len(pdf)), reach)
+            begins = np.cumsum(reach) - reach
+            at = np.arange(len(token)) - np.repeat(begins, reach)  # among the node's known shingles
             place = ((token * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(32)) % np.uint64(buckets)).astype(np.int64)
             order = np.argsort(place, kind="stable")
-            token, node, place = token[order], node[order], place[order]
+            token, node, place, at = token[order], node[order], place[order], at[order].astype("<u4")
             digest, label = pdf["digest"].to_numpy().astype(np.int64), pdf["label"].to_numpy().astype(np.int64)
             size, known, level = (pdf[c].to_numpy().astype("<u4") for c in ("size", "known", "level"))
             cuts, rows = _runs(place), []
             for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
                 k = node[lo:hi]
-                rows.append((int(place[lo]), _pack(token[lo:hi], digest[k], label[k], size[k], known[k], level[k])))
+                rows.append((int(place[lo]), _pack(token[lo:hi], digest[k], label[k], size[k], known[k], level[k], at[lo:hi])))
             yield pd.DataFrame(rows, columns=["bucket", "payload"])
 
     return post
@@ -331,7 +346,7 @@ def _post(buckets: int):
 PAIRS = "bucket int, part int, payload binary"
 #: Parts of what pairing makes: pairs with their matches, and pairs of blocks of a long list, still to be paired.
 FOUND, BLOCKS = 0, 1
-_LIST = ("<i8", "<i8", "<u4", "<u4", "<u4")  # digest, label, size, known, level
+_LIST = ("<i8", "<i8", "<u4", "<u4", "<u4", "<u4")  # digest, label, size, known, level, known shingles of the node before this one
 
 
 class _Finder:
@@ -341,9 +356,11 @@ class _Finder:
         self.buckets, self.ordered, self.found, self.held = buckets, ordered, [], 0
 
     def add(self, one, other) -> None:
-        """one, other: columns of _LIST, row by row a pair."""
+        """one, other: columns of _LIST, row by row a pair. Known shingles have one order in all nodes: what two nodes share stands before this
+        shingle in both, or from it on in both."""
         lo, hi = np.minimum(one[2], other[2]).astype(np.int64), np.maximum(one[2], other[2]).astype(np.int64)
-        most = np.minimum(np.minimum(one[3], other[3]), lo)
+        before, rest = np.minimum(one[5], other[5]).astype(np.int64), np.minimum(one[3].astype(np.int64) - one[5], other[3].astype(np.int64) - other[5])
+        most = np.minimum(before + rest, lo)
         ok = np.flatnonzero((one[1] != other[1]) & (UNDER * lo >= OVER * hi) & (UNDER * most >= OVER * (lo + hi - most)))
         if len(ok):
             a, b = one[0][ok], other[0][ok]
@@ -398,13 +415,13 @@ def _pairs(buckets: int, star: int | None, list_nodes: int = LIST_NODES, held: i
     """
 
     def pairs(pdfs: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        token, digest, label, size, known, level = _gathered([p for pdf in pdfs for p in pdf["payload"]], "<u8", *_LIST)
+        token, digest, label, size, known, level, before = _gathered([p for pdf in pdfs for p in pdf["payload"]], "<u8", *_LIST)
         size, known = size.astype(np.int64), known.astype(np.int64)
         # the fullest nodes of a list come first: those with the least share of shingles of their own, then by digest
         share = (known << 20) // np.maximum(size, 1)
         order = np.lexsort((digest, -share, token))
         token = token[order]
-        columns = [c[order] for c in (digest, label, size, known, level)]
+        columns = [c[order] for c in (digest, label, size, known, level, before)]
         cuts, finder = _runs(token), _Finder(buckets, star is None)
         lengths = np.diff(cuts)
         if star is not None:
@@ -445,7 +462,7 @@ def _block_pairs(buckets: int, held: int = HELD_PAIRS):
             finder = _Finder(buckets, True)
             for p in pdf["payload"]:
                 got = _unpack(p, *_LIST, *_LIST)
-                yield from _some_pairs(finder, got[:5], got[5:] if len(got[5]) else None, held)
+                yield from _some_pairs(finder, got[: len(_LIST)], got[len(_LIST) :] if len(got[len(_LIST)]) else None, held)
             if (out := finder.packed()) is not None:
                 yield out
 
@@ -453,7 +470,7 @@ def _block_pairs(buckets: int, held: int = HELD_PAIRS):
 
 
 def _wanted(star: bool):
-    """Pairs of one bucket that are to be verified, packed; and a row for each node whose shingles that takes."""
+    """Pairs of a share, or several, of one bucket that are to be verified, packed; and a row for each node whose shingles that takes."""
 
     def wanted(pdf: pd.DataFrame) -> pd.DataFrame:
         a, b, n, need = _gathered(pdf["payload"], "<i8", "<i8", "<u4", "<u4")
@@ -471,7 +488,7 @@ def _wanted(star: bool):
             a, b = a[first], b[first]
         else:
             a, b = a[n >= need], b[n >= need]
-        here = int(pdf["bucket"].iloc[0])
+        here = int(pdf["bucket"].iloc[0]) // SHARES
         rows = [(here, 0, _pack(a, b))] if len(a) else []
         rows += [(here, d, None) for d in np.unique(np.concatenate((a, b))).tolist()]
         return pd.DataFrame(rows, columns=["bucket", "digest", "pairs"])
@@ -479,20 +496,51 @@ def _wanted(star: bool):
     return wanted
 
 
+class _Sets:
+    """Nodes' shingles, as arrays over what came in; as sets only so many at once."""
+
+    def __init__(self, rows):
+        self.arrays = {int(d): (np.frombuffer(t, "<u8"), int(n)) for d, t, n in rows}
+        self.sets, self.held = {}, 0
+
+    def of(self, node: int) -> set:
+        got = self.sets.get(node)
+        if got is None:
+            if self.held > SET_TOKENS:
+                self.sets.clear()
+                self.held = 0
+            got = self.sets[node] = set(self.arrays[node][0].tolist())
+            self.held += len(got)
+        return got
+
+    def linked(self, x: int, y: int) -> bool:
+        (s, n), (t, m) = self.arrays[x], self.arrays[y]
+        if max(len(s), len(t)) > LONG_SET:
+            return enough(len(np.intersect1d(s, t)), n, m)
+        return enough(len(self.of(x) & self.of(y)), n, m)
+
+
 def _verify(pdf: pd.DataFrame) -> pd.DataFrame:
     """The links among one bucket's pairs."""
     has = pdf["tokens"].notna()
-    sets = {int(d): (set(np.frombuffer(t, "<u8").tolist()), int(n)) for d, t, n in zip(pdf["digest"][has], pdf["tokens"][has], pdf["size"][has], strict=True)}
+    sets = _Sets(zip(pdf["digest"][has], pdf["tokens"][has], pdf["size"][has], strict=True))
     out = []
     for p in pdf["pairs"][pdf["pairs"].notna()]:
         a, b = _unpack(p, "<i8", "<i8")
-        for x, y in zip(a.tolist(), b.tolist(), strict=True):
-            (s, n), (t, m) = sets[x], sets[y]
-            if enough(len(s & t), n, m):
-                out.append((x, y))
+        out += [(x, y) for x, y in zip(a.tolist(), b.tolist(), strict=True) if sets.linked(x, y)]
     return pd.DataFrame(out, columns=["u", "v"], dtype="int64")
 
 
+def bucket_count(text_bytes: int) -> int:
+    return min(max(LEAST_BUCKETS, -(-text_bytes // BUCKET_BYTES)), MOST_BUCKETS)
+
+
+def part_counts(nodes: DataFrame) -> tuple[int, int]:
+    """Buckets of lists and of verifications for nodes: the planner's size of a table says nothing of its packed columns, so that these are summed."""
+    known, reach = nodes.agg(F.sum("known"), F.sum("reach")).first()
+    return max(LEAST_BUCKETS, -(-40 * (reach or 0) // LIST_BYTES)), max(LEAST_BUCKETS, -(-8 * (known or 0) // SET_BYTES))
+
+
 def _by_bucket(df: DataFrame, buckets: int):
     """df grouped by bucket; dealt out by the bucket's number itself, where hashing would put several buckets into one task and none into others."""
     return (df.repartitionById(buckets, "bucket") if buckets <= MOST_TASKS else df).groupBy("bucket")
@@ -502,8 +550,10 @@ def link_classes(docs: DataFrame, star_rounds: int = STAR_ROUNDS, id_col: str =
     """doc_id, n_shingles, component_id of every row. list_nodes: nodes of a prefix list from which it is paired block by block. held:
     pairs that a task holds before it hands them on. hot: texts of a batch from which a shingle is common in it, whatever its share (None: by the number of batches)."""
     src = docs.select(*common.id_and_gone(id_col), common.whole_text(docs, text_col).alias("text"))
-    buckets = min(common.task_count(src, LEAST_BUCKETS, BUCKET_BYTES), MOST_BUCKETS)
-    sent = src.mapInPandas(_deal(buckets, max(HOT_LEAST, HOT_ENTRIES // common.task_count(src)) if hot is None else hot), SENT)
+    # the planner takes a text for 20 bytes beside the other columns: by its size of src, buckets would grow with what isn't read
+    text_bytes = src.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    buckets = bucket_count(text_bytes)
+    sent = src.mapInPandas(_deal(buckets, max(HOT_LEAST, HOT_ENTRIES // max(1, -(-text_bytes // PORTION))) if hot is None else hot), SENT)
     counted = _by_bucket(sent, buckets).applyInPandas(_count(buckets), SENT)
     told = common.keep(_by_bucket(counted, buckets).applyInPandas(_nodes, NODES), "nodes")
     rows = told.where("kind = 0").select(F.when(~F.col("gone"), F.col("doc_id")).alias("doc_id"), "digest", "size")
@@ -511,23 +561,28 @@ def link_classes(docs: DataFrame, star_rounds: int = STAR_ROUNDS, id_col: str =
     firsts = rows.where("size > 0").groupBy("digest").agg(F.min("doc_id").alias("least"))
     # the label of a node: the least id of its component so far; an unnamed node is labelled below all ids
     labels = common.keep(nodes.select("digest").join(firsts, "digest").select("digest", F.coalesce("least", F.col("digest").bitwiseOR(F.lit(-(1 << 63)))).alias("label")), "labels")
-    parts = max(LEAST_BUCKETS, math.ceil(common.input_bytes(nodes) / BUCKET_BYTES))
+    parts, sets_parts = part_counts(nodes)
     for star in [*range(star_rounds), None]:
         posted = nodes.join(labels, "digest").mapInPandas(_post(parts), "bucket int, payload binary")
-        pairs = posted.groupBy("bucket").applyInPandas(_pairs(parts, star, list_nodes, held), PAIRS)
+        pairs = posted.groupBy("bucket").applyInPandas(_pairs(sets_parts * SHARES, star, list_nodes, held), PAIRS)
+        merged = SHARES  # that many shares at once: the pairs of a star round are no more than the lists' entries
         if star is None:
             pairs = common.keep(pairs, "blocks")  # what each list's task makes, before the blocks are dealt out
+            size = {r["part"]: r["n"] for r in pairs.groupBy("part").agg(F.sum(F.length("payload")).alias("n")).collect()}
             blocks = pairs.where(F.col("part") == BLOCKS)
             pairs = pairs.where(F.col("part") == FOUND)
-            if not blocks.isEmpty():
-                tasks = max(LEAST_BUCKETS, math.ceil(common.input_bytes(pairs) / BUCKET_BYTES))
-                pairs = pairs.unionByName(blocks.repartition(tasks, "bucket").mapInPandas(_block_pairs(parts, held), PAIRS))
-        wanted = common.keep(pairs.groupBy("bucket").applyInPandas(_wanted(star is not None), "bucket int, digest long, pairs binary"), "pairs")
+            if BLOCKS in size:  # how many pairs they make isn't known yet
+                tasks = max(LEAST_BUCKETS, -(-size[BLOCKS] // BUCKET_BYTES))
+                pairs = pairs.unionByName(blocks.repartition(tasks, "bucket").mapInPandas(_block_pairs(sets_parts * SHARES, held), PAIRS))
+                merged = 1
+            while merged > 1 and size.get(FOUND, 0) * merged > PAIR_BYTES * sets_parts * SHARES:
+                merged //= 2
+        wanted = common.keep(pairs.groupBy(F.floor(F.col("bucket") / merged)).applyInPandas(_wanted(star is not None), "bucket int, digest long, pairs binary"), "pairs")
         if wanted.isEmpty():
             if star is None:
                 break
             continue
-        sets = wanted.where("pairs is null").select("bucket", "digest").join(nodes.select("digest", "size", "tokens"), "digest")
+        sets = wanted.where("pairs is null").select("bucket", "digest").distinct().join(nodes.select("digest", "size", "tokens"), "digest")
         both = sets.select("bucket", "digest", "size", "tokens", F.lit(None).cast("binary").alias("pairs")).unionByName(wanted.where("pairs is not null").select("bucket", F.lit(0).cast("long").alias("digest"), F.lit(0).cast("long").alias("size"), F.lit(None).cast("binary").alias("tokens"), "pairs"))
         links = both.groupBy("bucket").applyInPandas(_verify, "u long, v long")
         named = links.join(labels.select(F.col("digest").alias("u"), F.col("label").alias("lu")), "u").join(labels.select(F.col("digest").alias("v"), F.col("label").alias("lv")), "v")
