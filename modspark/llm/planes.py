@@ -122,8 +122,8 @@ def shards(docs: DataFrame, path: str | None = None, end_id: int = 2, kind: int
         part, number, end = TaskContext.get().partitionId(), 0, np.array([end_id], "<u4").tobytes()
         held, doc_ids, lengths, n = [], [], [], 0
         for pdf in batches:
-            for doc_id, gone, text in zip(pdf["doc_id"], pdf["gone"], pdf["text"], strict=True):
-                ids = coder.encode(text) + end
+            for doc_id, gone, ids in zip(pdf["doc_id"], pdf["gone"], coder.encode_each(pdf["text"]), strict=True):
+                ids += end
                 held.append(ids)
                 doc_ids.append(None if gone else int(doc_id))
                 lengths.append(len(ids) // 4)

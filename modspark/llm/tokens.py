@@ -5,7 +5,8 @@ states; an id sequence is found through a minimal perfect hash (each arc carries
 The automaton and its outputs are flat arrays in one file in memory, which each Python worker maps. A word
 that the lexicon lacks is merged pair by pair, by rank, and kept in a bounded table.
 
-``ByteCoder``: the byte-level file, by its rank table, with the same bounded table.
+``ByteCoder``: the byte-level file. Many texts at once are split, and their distinct pieces merged round by round, as arrays
+(``PieceRounds``); what these don't cover goes through the library's model, with the same bounded table.
 """
 
 from __future__ import annotations
@@ -16,9 +17,11 @@ import os
 import re
 import unicodedata
 from array import array
+from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
 import numpy as np
+import pyarrow as pa
 import regex
 from tokenizers import Tokenizer
 
@@ -26,6 +29,9 @@ from tokenizers import Tokenizer
 KEPT_WORDS = 100_000
 #: Pieces of a byte-level file in each of a worker's two generations.
 KEPT_PIECES = 200_000
+#: Characters of texts that are split and merged as arrays at once (a longer text is by itself), and bytes of the longest piece merged so.
+CHUNK_CHARS = 8 << 20
+LONG_PIECE = 64
 
 
 @lru_cache(maxsize=1)
@@ -341,6 +347,148 @@ class LexiconCoder:
         return b"".join([a for a, _ in got]), "".join([b for _, b in got])[1:]
 
 
+#: Kinds of code points up to U+024F, as FAST_BYTE_RULE tells them apart; CUT stands between texts.
+LETTER, DIGIT, GAP, OTHER, CUT = range(5)
+
+
+@lru_cache(maxsize=1)
+def _kinds() -> np.ndarray:
+    sets = [(LETTER, re.compile(f"[{LETTERS}]")), (DIGIT, re.compile(f"[{DIGITS}]")), (GAP, re.compile(f"[{_GAP}]"))]
+    return np.array([next((k for k, found in sets if found.match(chr(c))), OTHER) for c in range(0x250)], np.uint8)
+
+
+def piece_starts(texts: list[str]) -> tuple[bytes, np.ndarray, np.ndarray]:
+    """FAST_BYTE_RULE as arrays, for texts that are usual: all bytes with one byte after each text; where pieces start, and
+    which of them are the bytes after a text."""
+    raw = [t.encode("utf-8") for t in texts]
+    data = b"\n".join([*raw, b""])
+    chars, kinds = np.frombuffer(data, np.uint8), _kinds()
+    cuts = np.cumsum([len(r) + 1 for r in raw]) - 1
+    kind = np.concatenate((kinds[:128], np.zeros(128, np.uint8)))[chars]
+    high = np.flatnonzero(chars >= 0x80)
+    lead = high[::2]  # usual texts have two bytes a character there
+    kind[lead] = kind[lead + 1] = kinds[(chars[lead].astype(np.int64) & 31) << 6 | chars[lead + 1] & 63]
+    kind[cuts] = CUT
+    start = np.ones(len(chars), bool)
+    np.not_equal(kind[1:], kind[:-1], out=start[1:])
+    start[cuts] = True
+    start[cuts[:-1] + 1] = True
+    # a run of white space leaves its last character to what follows: before it if that is a space, else by itself
+    runs = np.flatnonzero(start[1:] & (kind[:-1] == GAP) & (kind[1:] != CUT)) + 1
+    start[runs - 1 - (chars[runs - 1] >= 0x80)] = True
+    start[runs[chars[runs - 1] == 32]] = False
+    # an apostrophe where a piece starts takes an ending with it
+    marks = np.flatnonzero((chars == 39) & start)
+    if len(marks):
+        one = chars[np.minimum(marks + 1, len(chars) - 1)]
+        two = chars[np.minimum(marks + 2, len(chars) - 1)]
+        short = np.isin(one, np.frombuffer(b"stmd", np.uint8))
+        long = ((one == 114) | (one == 118)) & (two == 101) | (one == 108) & (two == 108)
+        start[marks[short | long] + 1] = False
+        start[marks[short] + 2] = True
+        start[marks[long] + 3] = True
+    at = np.flatnonzero(start)
+    return data, at, np.searchsorted(at, cuts)
+
+
+class PieceRounds:
+    """Ranked pair merges of many distinct pieces at once: in a round each piece merges its lowest-ranked pair, wherever that stands.
+
+    That is the merges' own order if no merge makes a pair of a lower rank than its own: a token comes from one merge, after
+    those of its parts. ``fits`` says whether a file is of this form.
+    """
+
+    NONE = np.int32(2**31 - 1)
+
+    def __init__(self, model: dict):
+        vocab = model["vocab"]
+        pairs = [tuple(x) if isinstance(x, list) else tuple(x.split(" ")) for x in model["merges"]]
+        plain = not any(model.get(k) for k in ("dropout", "continuing_subword_prefix", "end_of_word_suffix", "ignore_merges", "byte_fallback"))
+        self.fits = bool(pairs) and plain and all(s in vocab for s in byte_signs()) and all(a in vocab and b in vocab and a + b in vocab for a, b in pairs)
+        if not self.fits:
+            return
+        self.base = np.array([vocab[s] for s in byte_signs()], np.int32)
+        left, right, self.made = (np.array([vocab[x] for x in side], np.int64) for side in ([a for a, _ in pairs], [b for _, b in pairs], [a + b for a, b in pairs]))
+        born = np.full(max(vocab.values()) + 1, len(pairs), np.int64)
+        born[self.base] = -1
+        once = len(set(self.made.tolist())) == len(pairs) and not np.isin(self.made, self.base).any()
+        born[self.made] = np.arange(len(pairs))
+        self.fits = once and bool((np.maximum(born[left], born[right]) < np.arange(len(pairs))).all())
+        # pair -> rank: open addressing, a fifth full at most
+        self.bits = int(np.ceil(np.log2(5 * len(pairs))))
+        self.keys, self.ranks = np.full(1 << self.bits, -1, np.int64), np.full(1 << self.bits, self.NONE, np.int32)
+        keys = left << 32 | right
+        for rank, (key, at) in enumerate(zip(keys.tolist(), self._slot(keys).tolist(), strict=True)):
+            while self.keys[at] >= 0:
+                at = (at + 1) & ((1 << self.bits) - 1)
+            self.keys[at], self.ranks[at] = key, rank
+        self.first = self.rank(np.repeat(self.base, 256), np.tile(self.base, 256)).reshape(256, 256)
+
+    def _slot(self, keys: np.ndarray) -> np.ndarray:
+        return (keys.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - self.bits)).view(np.int64)
+
+    def rank(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Ranks of pairs of ids; NONE where they don't merge."""
+        keys = left.astype(np.int64) << 32 | right
+        at = self._slot(keys)
+        there = self.keys[at]
+        out = np.where(there == keys, self.ranks[at], self.NONE)
+        open_ = np.flatnonzero((there != keys) & (there >= 0))
+        while len(open_):
+            at[open_] = (at[open_] + 1) & ((1 << self.bits) - 1)
+            there = self.keys[at[open_]]
+            same = there == keys[open_]
+            out[open_[same]] = self.ranks[at[open_[same]]]
+            open_ = open_[~same & (there >= 0)]
+        return out
+
+    def ids(self, chars: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Pieces as bytes in a row, with their sizes (none is 0): ids, and where in them each piece's begin and how many they are."""
+        begin, many = np.zeros(len(sizes), np.int64), np.zeros(len(sizes), np.int64)
+        if not len(sizes):
+            return np.zeros(0, np.int32), begin, many
+        number, done, n_done = np.arange(len(sizes)), [], 0
+        now = self.base[chars]
+        at = np.cumsum(sizes) - sizes
+        head = np.zeros(len(now) + 1, bool)
+        head[at] = head[-1] = True
+        rank = np.full(len(now), self.NONE, np.int32)
+        rank[:-1] = self.first[chars[:-1], chars[1:]]
+        rank[head[1:]] = self.NONE
+        while True:
+            best = np.minimum.reduceat(rank, at)
+            over = best == self.NONE
+            if over.any():
+                gone = np.repeat(over, sizes)
+                done.append(now[gone])
+                many[number[over]] = sizes[over]
+                begin[number[over]] = n_done + np.cumsum(sizes[over]) - sizes[over]
+                n_done += len(done[-1])
+                if len(done[-1]) == len(now):
+                    return np.concatenate(done), begin, many
+                stay = ~gone
+                now, rank, head = now[stay], rank[stay], np.append(head[:-1][stay], True)
+                number, sizes, best = number[~over], sizes[~over], best[~over]
+            place = np.flatnonzero(rank == np.repeat(best, sizes))
+            # x x x: the leftmost pair first, so every second place of a run
+            count = np.arange(len(place))
+            broken = np.ones(len(place), bool)
+            np.not_equal(np.diff(place), 1, out=broken[1:])
+            place = place[(count - np.maximum.accumulate(np.where(broken, count, 0))) % 2 == 0]
+            now[place] = self.made[rank[place]]
+            stay = np.ones(len(now), bool)
+            stay[place + 1] = False
+            now, rank, head = now[stay], rank[stay], np.append(head[:-1][stay], True)
+            place -= np.arange(len(place))
+            at = np.flatnonzero(head)
+            sizes, at = np.diff(at), at[:-1]
+            near = np.concatenate((place, place[~head[place]] - 1))
+            ends = head[near + 1]
+            rank[near[ends]] = self.NONE
+            near = near[~ends]
+            rank[near] = self.rank(now[near], now[near + 1])
+
+
 class ByteCoder:
     """byte_bpe: ids of a text as 32-bit integers."""
 
@@ -349,8 +497,10 @@ class ByteCoder:
         self.library = Tokenizer.from_file(path)
         self.merge = self.library.model.tokenize
         with open(path, encoding="utf-8") as f:
-            self.added = [x["content"] for x in json.load(f)["added_tokens"]]
+            told = json.load(f)
+        self.added = [x["content"] for x in told["added_tokens"]]
         self.codes = _AgedCodes(self._code)
+        self.rounds = PieceRounds(told["model"])
 
     def _code(self, piece: str) -> bytes:
         return array("I", [x.id for x in self.merge(signed(piece))]).tobytes()
@@ -361,6 +511,46 @@ class ByteCoder:
         rule = FAST_BYTE_RULE if usual(text) else BYTE_RULE
         return b"".join(map(self.codes.__getitem__, rule.findall(text)))
 
+    def encode_each(self, texts: Iterable[str]) -> Iterator[bytes]:
+        """encode() of each text, in order; the distinct pieces of a chunk of texts are merged together."""
+        chunk, n = [], 0
+        for text in texts:
+            if chunk and n + len(text) > CHUNK_CHARS:
+                yield from self._encode_chunk(chunk)
+                chunk, n = [], 0
+            chunk.append(text)
+            n += len(text)
+        if chunk:
+            yield from self._encode_chunk(chunk)
+
+    def _encode_chunk(self, texts: list[str]) -> list[bytes]:
+        plain = [self.rounds.fits and not any(x in t for x in self.added) and usual(t) for t in texts]
+        if not any(plain):
+            return [self.encode(t) for t in texts]
+        data, at, cuts = piece_starts([t for t, p in zip(texts, plain, strict=True) if p])
+        pieces = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(at), [None, pa.py_buffer(np.append(at, len(data))), pa.py_buffer(data)]).dictionary_encode()
+        known = pieces.dictionary
+        offsets = np.frombuffer(known.buffers()[1], np.int64, len(known) + 1)
+        chars, sizes = np.frombuffer(known.buffers()[2], np.uint8, offsets[-1]), np.diff(offsets)
+        short = sizes <= LONG_PIECE
+        begin, many = np.zeros(len(known), np.int64), np.zeros(len(known), np.int64)
+        ids, begin[short], many[short] = self.rounds.ids(chars[np.repeat(short, sizes)], sizes[short])
+        ids, n = [ids.astype("<u4")], len(ids)
+        for k in np.flatnonzero(~short).tolist():
+            ids.append(np.frombuffer(self._code(known[k].as_py().decode("utf-8")), "<u4"))
+            begin[k], many[k] = n, len(ids[-1])
+            n += len(ids[-1])
+        which = pieces.indices.to_numpy()
+        counts = many[which]
+        counts[cuts] = 0
+        ends = np.cumsum(counts)
+        places = np.repeat(begin[which] - (ends - counts), counts)
+        places += np.arange(len(places))
+        found = np.concatenate(ids)[places].tobytes()
+        ends = (4 * ends[cuts]).tolist()
+        got = (found[a:b] for a, b in zip([0, *ends], ends, strict=False))
+        return [next(got) if p else self.encode(t) for t, p in zip(texts, plain, strict=True)]
+
 
 def worker_cache(key, make, version=None, _made: dict = {}):  # noqa: B006  one per Python worker
     """What make() gave for the key in this worker; another version takes its place, so that workers of a long session don't fill up."""
