@@ -535,18 +535,18 @@ class ByteCoder:
         short = sizes <= LONG_PIECE
         begin, many = np.zeros(len(known), np.int64), np.zeros(len(known), np.int64)
         ids, begin[short], many[short] = self.rounds.ids(chars[np.repeat(short, sizes)], sizes[short])
-        ids, n = [ids.astype("<u4")], len(ids)
-        for k in np.flatnonzero(~short).tolist():
-            ids.append(np.frombuffer(self._code(known[k].as_py().decode("utf-8")), "<u4"))
-            begin[k], many[k] = n, len(ids[-1])
-            n += len(ids[-1])
+        raw, far = memoryview(known.buffers()[2]), np.flatnonzero(~short)
+        own = [self.codes[str(raw[a:b], "utf-8")] for a, b in zip(offsets[far].tolist(), offsets[far + 1].tolist(), strict=True)]
+        many[far] = np.array([len(x) // 4 for x in own], np.int64)
+        begin[far] = len(ids) + np.cumsum(many[far]) - many[far]
+        ids = np.concatenate((ids.astype("<u4"), np.frombuffer(b"".join(own), "<u4")))
         which = pieces.indices.to_numpy()
         counts = many[which]
         counts[cuts] = 0
         ends = np.cumsum(counts)
         places = np.repeat(begin[which] - (ends - counts), counts)
         places += np.arange(len(places))
-        found = np.concatenate(ids)[places].tobytes()
+        found = ids[places].tobytes()
         ends = (4 * ends[cuts]).tolist()
         got = (found[a:b] for a, b in zip([0, *ends], ends, strict=False))
         return [next(got) if p else self.encode(t) for t, p in zip(texts, plain, strict=True)]
